@@ -6,9 +6,12 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from outline_engine.llm import packing
+from outline_engine.llm import packing, warc
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
+    "op8_warc": warc.op8_warc,
     "op9_packing": packing.op9_packing,
 }
-ORACLES: dict[str, str] = {}
+ORACLES: dict[str, str] = {
+    "op8_warc": warc.OP8_SQL,
+}
