@@ -6,12 +6,15 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from outline_engine.llm import packing, warc
+from outline_engine.llm import packing, quality_rules, warc
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
+    "op5_quality_rules": quality_rules.op5_quality_rules,
     "op8_warc": warc.op8_warc,
     "op9_packing": packing.op9_packing,
 }
 ORACLES: dict[str, str] = {
+    "op5_quality_rules": quality_rules.op5_quality_rules,
+    "op5_quality_rules": quality_rules.OP5_SQL,
     "op8_warc": warc.OP8_SQL,
 }
