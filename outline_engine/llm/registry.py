@@ -6,10 +6,11 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from outline_engine.llm import chat, fingerprints, packing, quality_rules, warc
+from outline_engine.llm import chat, fingerprints, packing, quality_rules, simhash, warc
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op1_chat": chat.op1_chat,
+    "op2_simhash": simhash.op2_simhash,
     "op5_quality_rules": quality_rules.op5_quality_rules,
     "op8_warc": warc.op8_warc,
     "op9_packing": packing.op9_packing,
@@ -17,6 +18,7 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
 }
 ORACLES: dict[str, str] = {
     "op1_chat": chat.op1_chat,
+    "op2_simhash": simhash.op2_simhash,
     "op5_quality_rules": quality_rules.op5_quality_rules,
     "op1_chat": chat.OP1_SQL,
     "op5_quality_rules": quality_rules.OP5_SQL,
