@@ -6,12 +6,13 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from outline_engine.llm import chat, fingerprints, packing, quality_rules, simhash, warc
+from outline_engine.llm import chat, classifier, fingerprints, packing, quality_rules, simhash, warc
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op1_chat": chat.op1_chat,
     "op2_simhash": simhash.op2_simhash,
     "op5_quality_rules": quality_rules.op5_quality_rules,
+    "op7_classifier": classifier.op7_classifier,
     "op8_warc": warc.op8_warc,
     "op9_packing": packing.op9_packing,
     "op10_syncmers": fingerprints.op10_syncmers,
