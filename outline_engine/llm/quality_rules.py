@@ -24,7 +24,7 @@ from outline_engine.llm.storage import materialise, table
 
 LEAST_BASE_WORDS = 50
 MOST_REPEATED_PERCENT = 50
-COMMON = 24
+COMMON = 16
 LEAST_WORDS = 80
 LEAST_CHARS = 200
 LEAST_REFERENCE = 1000
@@ -32,42 +32,58 @@ CHAR_LIMIT = 0.20
 WORD_LIMIT = 0.45
 BROADCAST_LANGUAGES = 4096
 
+SYMBOLS = "#*$%&|<>"
 PUNCTUATION = r"[.,;:!?'\"()\-]"
 OTHER = r"[^\p{L}\p{N}\x20\x09-\x0D.,;:!?'\"()\-]"
 
 
-def char_classes(text: Column) -> Column:
-    """Counts of: capitals, digits, blanks, line ends, punctuation, other signs, remaining letters."""
+def scanned(text: Column) -> Column:
+    """chars: counts of capitals, digits, blanks, line ends, punctuation, other signs, remaining letters;
+    n_symbols; n_space.  Plain small letters and blanks, most of a text, are taken out first."""
     n = F.length(text)
-    counts = [
-        F.regexp_count(text, F.lit(r"\p{Lu}")),
-        F.regexp_count(text, F.lit(r"\p{N}")),
-        n - F.length(F.translate(text, " \t", "")),
-        n - F.length(F.translate(text, "\n\x0b\x0c\r", "")),
-        F.regexp_count(text, F.lit(PUNCTUATION)),
-        F.regexp_count(text, F.lit(OTHER)),
-    ]
-    return let(F.array(*counts), lambda c: F.concat(c, F.array(n - F.aggregate(c, F.lit(0), lambda a, x: a + x))))
+    blanks = n - F.length(F.replace(text, F.lit(" "), F.lit("")))
+
+    def counts(rest: Column) -> Column:
+        tabs, ends = F.regexp_count(rest, F.lit(r"\t")), F.regexp_count(rest, F.lit(r"[\x0A-\x0D]"))
+        six = F.array(
+            F.regexp_count(rest, F.lit(r"\p{Lu}")),
+            F.regexp_count(rest, F.lit(r"\p{N}")),
+            blanks + tabs,
+            ends,
+            F.regexp_count(rest, F.lit(PUNCTUATION)),
+            F.regexp_count(rest, F.lit(OTHER)),
+        )
+        return F.struct(
+            let(six, lambda c: F.concat(c, F.array(n - F.aggregate(c, F.lit(0), lambda a, x: a + x)))).alias("chars"),
+            (F.length(rest) - F.length(F.translate(rest, SYMBOLS, ""))).cast("long").alias("n_symbols"),
+            (blanks + tabs + ends).cast("long").alias("n_space"),
+        )
+
+    return let(F.regexp_replace(text, "[a-zß-öø-ÿ ]+", ""), counts)
 
 
 def repeated_words(words: Column) -> Column:
     """Number of words inside 3-word windows that occur at least twice in the text."""
     windows = F.transform(indices(F.size(words) - 2), lambda i: F.xxhash64(F.get(words, i), F.get(words, i + 1), F.get(words, i + 2)))
 
+    def same(i: Column, j: Column) -> Column:
+        return (F.get(words, i) == F.get(words, j)) & (F.get(words, i + 1) == F.get(words, j + 1)) & (F.get(words, i + 2) == F.get(words, j + 2))
+
+    def place(packed: Column) -> Column:
+        return packed.bitwiseAND(F.lit(0xFFFFFF)).cast("int")
+
     def covered(hashes: Column) -> Column:
-        ordered = F.array_sort(F.transform(hashes, lambda h, i: F.struct(h.alias("h"), i.alias("i"))))
-        again = let(
+        # 40 bits of the hash and the window's number in one long sort fast; equal neighbours are compared word by word.
+        ordered = F.array_sort(F.transform(hashes, lambda h, i: h.bitwiseAND(F.lit(~0xFFFFFF)).bitwiseOR(i.cast("long"))))
+        # Pairs of equal neighbours, each as its two windows' numbers; few in a usual text.
+        pairs = let(
             ordered,
-            lambda o: F.array_sort(
-                F.transform(
-                    F.filter(
-                        F.transform(o, lambda x, j: F.struct(x["i"].alias("i"), ((j > 0) & (F.get(o, F.greatest(j - 1, F.lit(0)))["h"] == x["h"]) | F.coalesce(F.get(o, j + 1)["h"] == x["h"], F.lit(False))).alias("twice"))),
-                        lambda x: x["twice"],
-                    ),
-                    lambda x: x["i"],
-                )
+            lambda o: F.transform(
+                F.filter(indices(F.size(o) - 1), lambda j: F.shiftright(F.get(o, j).bitwiseXOR(F.get(o, j + 1)), 24) == 0),
+                lambda j: F.array(place(F.get(o, j)), place(F.get(o, j + 1))),
             ),
         )
+        again = F.array_sort(F.array_distinct(F.flatten(F.filter(pairs, lambda p: same(F.get(p, F.lit(0)), F.get(p, F.lit(1)))))))
         return let(again, lambda a: F.aggregate(F.transform(a, lambda i, j: F.least(F.lit(3), F.coalesce(F.get(a, j + 1) - i, F.lit(3)))), F.lit(0), lambda s, x: s + x))
 
     return let(windows, lambda h: F.when(F.size(F.array_distinct(h)) == F.size(h), F.lit(0)).otherwise(covered(h)))
@@ -85,7 +101,7 @@ def references(docs: DataFrame) -> DataFrame:
     by_count = Window.partitionBy("lang").orderBy(F.desc("n"), "word")
     top = counted.withColumn("rank", F.row_number().over(by_count)).where(F.col("rank") <= COMMON)
     top = top.groupBy("lang").agg(F.array_sort(F.collect_list(F.struct("rank", "word", "n"))).alias("top"))
-    classes = texts.select("lang", F.size(words_of(F.col("text"))).alias("n_words"), char_classes(F.col("text")).alias("c"))
+    classes = texts.select("lang", F.size(words_of(F.col("text"))).alias("n_words"), scanned(F.col("text"))["chars"].alias("c"))
     sums = classes.groupBy("lang").agg(F.sum("n_words").alias("n_words"), F.array(*[F.sum(F.get("c", F.lit(i))) for i in range(7)]).alias("chars"))
     joined = sums.join(top, "lang", "left").withColumn("top", F.coalesce("top", F.array().cast("array<struct<rank:int,word:string,n:bigint>>")))
     top_counts = F.transform("top", lambda x: x["n"])
@@ -95,7 +111,7 @@ def references(docs: DataFrame) -> DataFrame:
             F.col("lang").alias("ref_lang"),
             F.col("n_words").alias("ref_words"),
             F.col("chars").alias("ref_chars"),
-            F.transform("top", lambda x: x["word"]).alias("common"),
+            F.transform("top", lambda x: F.concat(F.lit(" "), x["word"], F.lit(" "))).alias("padded"),
             F.concat(top_counts, F.array(others)).alias("ref_common"),
         ),
         "quality-references",
@@ -123,21 +139,24 @@ def judge(docs: DataFrame, refs: DataFrame) -> DataFrame:
     lang = F.coalesce(F.col("row.lang").cast("string"), F.lit(""))
     joined = rows.join(F.broadcast(refs) if few else refs, lang == F.col("ref_lang"), "left").withColumn("text", text_of("row.text"))
     counted = joined.withColumn("words", words_of(F.col("text")))
-    hits = F.filter(F.transform("words", lambda w: F.array_position("common", w)), lambda p: p > 0)
-    bins = let(
-        hits,
-        lambda h: F.concat(F.transform(F.col("common"), lambda _, k: F.size(F.filter(h, lambda p: p == k + 1)).cast("long")), F.array((F.size("words") - F.size(h)).cast("long"))),
-    )
+    # Between doubled blanks, every occurrence of a word has two of its own.
+    spaced = F.concat(F.lit(" "), F.array_join("words", "  "), F.lit(" "))
+    held = lambda t, k: F.coalesce((F.octet_length(t) - F.octet_length(F.replace(t, F.get("padded", F.lit(k)), F.lit("")))) / F.octet_length(F.get("padded", F.lit(k))), F.lit(0)).cast("int")
+    hits = let(spaced, lambda t: F.array(*[held(t, k) for k in range(COMMON)]))
+    counts = let(hits, lambda h: F.concat(h, F.array(F.size("words") - F.aggregate(h, F.lit(0), lambda a, x: a + x))))
+    # The bins of a reference with fewer common words than COMMON: those, and the last.
+    bins = let(counts, lambda c: F.concat(F.slice(c, 1, F.size("padded")), F.array(F.element_at(c, -1))))
+    counted = counted.withColumn("scan", scanned(F.col("text")))
     stats = counted.select(
         "row",
         "ref_words",
         F.size("words").cast("long").alias("n_words"),
-        F.length(F.regexp_replace("text", r"[\x20\x09-\x0D]+", "")).cast("long").alias("word_chars"),
-        (F.length("text") - F.length(F.translate("text", "#*$%&|<>", ""))).cast("long").alias("n_symbols"),
+        (F.length("text") - F.col("scan.n_space")).cast("long").alias("word_chars"),
+        F.col("scan.n_symbols").alias("n_symbols"),
         repeated_lines(F.col("text")).cast("long").alias("n_dup_lines"),
         repeated_words(F.col("words")).cast("long").alias("n_repeat_words"),
         F.length("text").alias("n_chars"),
-        divergence(char_classes(F.col("text")), F.col("ref_chars")).alias("char_divergence"),
+        divergence(F.col("scan.chars"), F.col("ref_chars")).alias("char_divergence"),
         divergence(bins, F.col("ref_common")).alias("word_divergence"),
     )
     failed = (F.col("n_words") < LEAST_BASE_WORDS) | (100 * F.col("n_repeat_words") > MOST_REPEATED_PERCENT * F.col("n_words"))
