@@ -22,15 +22,15 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from outline_engine.llm.columns import indices, let, text_of
+from outline_engine.llm.columns import indices, let, text_of, words_of
 from outline_engine.llm.storage import materialise, table
 
 K = 3
 SKETCH = 128
-_ALONE = r"\p{IsHan}\p{IsHiragana}\p{IsKatakana}\p{IsThai}"
+_ALONE = r"\x{0E00}-\x{0E7F}\x{3040}-\x{30FF}\x{3400}-\x{9FFF}\x{F900}-\x{FAFF}\x{20000}-\x{3FFFF}"
 TOKEN = rf"[{_ALONE}]|[^\x20\x09-\x0D{_ALONE}]+"
 
-ANCHORS = "array<struct<hash:bigint,pos:int>>"
+ANCHORS = "array<struct<hash:int,pos:int>>"
 
 
 def anchors(text: Column) -> Column:
@@ -50,11 +50,11 @@ def anchors(text: Column) -> Column:
         hashed = F.transform(words, lambda w: F.xxhash64(w))
         return F.when(F.size(words) == 0, F.array().cast(ANCHORS)).when(F.size(words) < K, few(words)).otherwise(let(hashed, lambda h: chosen(words, h)))
 
-    return let(F.regexp_extract_all(text, F.lit(TOKEN), F.lit(0)), pick)
+    return let(F.when(text.rlike(f"[{_ALONE}]"), F.regexp_extract_all(text, F.lit(TOKEN), F.lit(0))).otherwise(words_of(text)), pick)
 
 
 def _short(h: Column) -> Column:
-    return h.bitwiseAND(F.lit(0xFFFFFFFF))
+    return F.shiftright(h, 32).cast("int")
 
 
 def sketch(text: Column) -> Column:
@@ -68,20 +68,21 @@ def sketch(text: Column) -> Column:
 
 def spell(found: Column) -> Column:
     """A sketch as text: 8 hexadecimal digits of the hash and the position, joined by points."""
-    return F.array_join(F.transform(found, lambda x: F.concat(F.lower(F.lpad(F.hex(x["hash"]), 8, "0")), F.lit(":"), x["pos"].cast("string"))), ".")
+    return F.array_join(F.transform(found, lambda x: F.concat(F.lower(F.lpad(F.hex(x["hash"].cast("long").bitwiseAND(F.lit(0xFFFFFFFF))), 8, "0")), F.lit(":"), x["pos"].cast("string"))), ".")
+
+
+def hashes(found: Column) -> Column:
+    return F.transform(found, lambda e: e["hash"])
 
 
 def likeness(a: Column, b: Column) -> Column:
-    """Jaccard estimate of two sketches."""
+    """Jaccard estimate of two sketches, given as their hashes."""
 
     def compare(x: Column, y: Column) -> Column:
         union = F.slice(F.array_sort(F.array_union(x, y)), 1, SKETCH)
         return let(union, lambda u: F.when(F.size(u) == 0, F.lit(1.0)).otherwise(F.size(F.array_intersect(u, F.array_intersect(x, y))) / F.size(u)))
 
-    def hashes(s: Column) -> Column:
-        return F.transform(s, lambda e: e["hash"])
-
-    return F.round(let(hashes(a), lambda x: let(hashes(b), lambda y: compare(x, y))), 6)
+    return F.round(let(a, lambda x: let(b, lambda y: compare(x, y))), 6)
 
 
 def shift(a: Column, b: Column) -> Column:
@@ -114,26 +115,36 @@ def compare_edits(docs: DataFrame) -> DataFrame:
     """Fingerprint each text and its edit: the last third replaced by the head of the next document."""
     parts = int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
     near = neighbours(docs)
-    base = docs.select(F.col("doc_id"), text_of().alias("text")).repartition(parts, "doc_id")
-    one = base.withColumn("rank", F.row_number().over(Window.partitionBy("doc_id").orderBy("text"))).where("rank = 1 AND doc_id IS NOT NULL")
-    sent = one.join(near, "doc_id").select(F.col("prev_id").alias("doc_id"), F.substring("text", F.lit(1), F.col("borrowed")).alias("head"), sketch(F.col("text")).alias("next_sketch"))
+    texts = docs.select(F.col("doc_id"), text_of().alias("text"))
+    # Both sides of the join start from this one exchange of the texts.
+    base = texts.where("doc_id IS NOT NULL").repartition(parts, "doc_id")
+    one = base.withColumn("rank", F.row_number().over(Window.partitionBy("doc_id").orderBy("text"))).where("rank = 1")
+    sent = one.join(near, "doc_id").select(F.col("prev_id").alias("doc_id"), F.substring("text", F.lit(1), F.col("borrowed")).alias("head"), hashes(sketch(F.col("text"))).alias("next_hashes"))
+    joined = base.join(sent, "doc_id", "left").unionByName(texts.where("doc_id IS NULL"), allowMissingColumns=True)
     n = F.length("text")
     third = F.floor(n / 3).cast("int")
-    edited = base.join(sent, "doc_id", "left").select(
+    edited = joined.select(
         "doc_id",
         "text",
-        "next_sketch",
+        "next_hashes",
         F.concat(F.substring("text", F.lit(1), n - third), F.substring(F.coalesce("head", F.lit("")), F.lit(1), third)).alias("edited"),
     )
-    made = edited.select("doc_id", F.length("text").cast("long").alias("n_chars"), F.sha2(F.col("edited").cast("binary"), 256).alias("edited_sha256"), sketch(F.col("text")).alias("own"), sketch(F.col("edited")).alias("other"), F.coalesce("next_sketch", F.array().cast(ANCHORS)).alias("next_sketch"))
+    made = edited.select(
+        "doc_id",
+        F.length("text").cast("long").alias("n_chars"),
+        F.sha2(F.col("edited").cast("binary"), 256).alias("edited_sha256"),
+        sketch(F.col("text")).alias("own"),
+        sketch(F.col("edited")).alias("other"),
+        F.coalesce("next_hashes", F.array().cast("array<int>")).alias("next_hashes"),
+    )
     return made.select(
         "doc_id",
         "n_chars",
         "edited_sha256",
         spell(F.col("own")).alias("fingerprint"),
         spell(F.col("other")).alias("edited_fingerprint"),
-        likeness(F.col("own"), F.col("other")).alias("near_edited"),
-        likeness(F.col("own"), F.col("next_sketch")).alias("near_next"),
+        likeness(hashes(F.col("own")), hashes(F.col("other"))).alias("near_edited"),
+        likeness(hashes(F.col("own")), F.col("next_hashes")).alias("near_next"),
     )
 
 
