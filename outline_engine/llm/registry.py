@@ -6,12 +6,13 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from outline_engine.llm import bpe, chat, classifier, fingerprints, packing, quality_rules, rollups, simhash, warc
+from outline_engine.llm import bpe, chat, classifier, fingerprints, katz, packing, quality_rules, rollups, simhash, warc
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op1_chat": chat.op1_chat,
     "op2_simhash": simhash.op2_simhash,
     "op3_bpe": bpe.op3_bpe,
+    "op4_katz": katz.op4_katz,
     "op5_quality_rules": quality_rules.op5_quality_rules,
     "op6_token_rollup": rollups.op6_token_rollup,
     "op7_classifier": classifier.op7_classifier,
@@ -23,6 +24,7 @@ ORACLES: dict[str, str] = {
     "op1_chat": chat.op1_chat,
     "op2_simhash": simhash.op2_simhash,
     "op3_bpe": bpe.op3_bpe,
+    "op4_katz": katz.op4_katz,
     "op5_quality_rules": quality_rules.op5_quality_rules,
     "op1_chat": chat.OP1_SQL,
     "op5_quality_rules": quality_rules.OP5_SQL,
