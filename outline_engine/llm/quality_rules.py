@@ -24,12 +24,12 @@ from outline_engine.llm.storage import materialise, table
 
 LEAST_BASE_WORDS = 50
 MOST_REPEATED_PERCENT = 50
-COMMON = 16
+COMMON = 10
 LEAST_WORDS = 80
 LEAST_CHARS = 200
 LEAST_REFERENCE = 1000
-CHAR_LIMIT = 0.20
-WORD_LIMIT = 0.45
+CHAR_LIMIT = 0.27
+WORD_LIMIT = 0.34
 BROADCAST_LANGUAGES = 4096
 
 SYMBOLS = "#*$%&|<>"
@@ -94,27 +94,28 @@ def repeated_lines(text: Column) -> Column:
     return let(lines, lambda ls: F.size(ls) - F.size(F.array_distinct(ls)))
 
 
-def references(docs: DataFrame) -> DataFrame:
-    """lang, char_share, common words, word_share (the last bin: all other words); stored, a row per language."""
+def _small(df: DataFrame) -> DataFrame:
+    """``df``, a row per language, to be broadcast if it has few rows."""
+    return F.broadcast(df) if df.count() <= BROADCAST_LANGUAGES else df
+
+
+def common_words(docs: DataFrame) -> DataFrame:
+    """ref_lang, ref_words, padded (the common words between blanks), ref_common (counts; the last: all other words); stored."""
     texts = docs.select(F.coalesce(F.col("lang").cast("string"), F.lit("")).alias("lang"), text_of().alias("text"))
     counted = texts.select("lang", F.explode(words_of(F.col("text"))).alias("word")).groupBy("lang", "word").agg(F.count("*").alias("n"))
     by_count = Window.partitionBy("lang").orderBy(F.desc("n"), "word")
     top = counted.withColumn("rank", F.row_number().over(by_count)).where(F.col("rank") <= COMMON)
     top = top.groupBy("lang").agg(F.array_sort(F.collect_list(F.struct("rank", "word", "n"))).alias("top"))
-    classes = texts.select("lang", F.size(words_of(F.col("text"))).alias("n_words"), scanned(F.col("text"))["chars"].alias("c"))
-    sums = classes.groupBy("lang").agg(F.sum("n_words").alias("n_words"), F.array(*[F.sum(F.get("c", F.lit(i))) for i in range(7)]).alias("chars"))
-    joined = sums.join(top, "lang", "left").withColumn("top", F.coalesce("top", F.array().cast("array<struct<rank:int,word:string,n:bigint>>")))
-    top_counts = F.transform("top", lambda x: x["n"])
-    others = F.col("n_words") - F.aggregate(top_counts, F.lit(0).cast("long"), lambda a, x: a + x)
+    sums = counted.groupBy("lang").agg(F.sum("n").alias("n_words"))
+    counts = F.transform("top", lambda x: x["n"])
     return materialise(
-        joined.select(
+        sums.join(top, "lang").select(
             F.col("lang").alias("ref_lang"),
             F.col("n_words").alias("ref_words"),
-            F.col("chars").alias("ref_chars"),
             F.transform("top", lambda x: F.concat(F.lit(" "), x["word"], F.lit(" "))).alias("padded"),
-            F.concat(top_counts, F.array(others)).alias("ref_common"),
+            F.concat(counts, F.array(F.col("n_words") - F.aggregate(counts, F.lit(0).cast("long"), lambda a, x: a + x))).alias("ref_common"),
         ),
-        "quality-references",
+        "common-words",
     )
 
 
@@ -132,32 +133,51 @@ def divergence(counts: Column, reference: Column) -> Column:
     return F.round(F.sqrt(F.greatest(F.aggregate(both, F.lit(0.0), lambda a, x: a + x), F.lit(0.0))), 6)
 
 
-def judge(docs: DataFrame, refs: DataFrame) -> DataFrame:
-    """Each row of ``docs`` as struct ``row``, with its statistics and verdict."""
-    rows = docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("row"))
-    few = refs.count() <= BROADCAST_LANGUAGES
-    lang = F.coalesce(F.col("row.lang").cast("string"), F.lit(""))
-    joined = rows.join(F.broadcast(refs) if few else refs, lang == F.col("ref_lang"), "left").withColumn("text", text_of("row.text"))
-    counted = joined.withColumn("words", words_of(F.col("text")))
+def measure(docs: DataFrame, carried: list[str]) -> DataFrame:
+    """The ``carried`` columns of ``docs`` as struct ``row``, with statistics and histograms; stored, from one pass over the texts."""
+    row = F.struct(*[F.col(f"`{c}`") for c in carried]).alias("row")
+    rows = docs.select(row, F.coalesce(F.col("lang").cast("string"), F.lit("")).alias("lang"), text_of().alias("text"))
+    joined = rows.join(_small(common_words(docs)), F.col("lang") == F.col("ref_lang"), "left")
+    counted = joined.withColumn("words", words_of(F.col("text"))).withColumn("scan", scanned(F.col("text")))
     # Between doubled blanks, every occurrence of a word has two of its own.
     spaced = F.concat(F.lit(" "), F.array_join("words", "  "), F.lit(" "))
     held = lambda t, k: F.coalesce((F.octet_length(t) - F.octet_length(F.replace(t, F.get("padded", F.lit(k)), F.lit("")))) / F.octet_length(F.get("padded", F.lit(k))), F.lit(0)).cast("int")
     hits = let(spaced, lambda t: F.array(*[held(t, k) for k in range(COMMON)]))
-    counts = let(hits, lambda h: F.concat(h, F.array(F.size("words") - F.aggregate(h, F.lit(0), lambda a, x: a + x))))
-    # The bins of a reference with fewer common words than COMMON: those, and the last.
-    bins = let(counts, lambda c: F.concat(F.slice(c, 1, F.size("padded")), F.array(F.element_at(c, -1))))
-    counted = counted.withColumn("scan", scanned(F.col("text")))
-    stats = counted.select(
+    bins = let(hits, lambda h: F.concat(F.slice(h, 1, F.size("padded")), F.array(F.size("words") - F.aggregate(h, F.lit(0), lambda a, x: a + x))))
+    return materialise(
+        counted.select(
+            "row",
+            "lang",
+            "ref_words",
+            "ref_common",
+            F.size("words").cast("long").alias("n_words"),
+            (F.length("text") - F.col("scan.n_space")).cast("long").alias("word_chars"),
+            F.col("scan.n_symbols").alias("n_symbols"),
+            repeated_lines(F.col("text")).cast("long").alias("n_dup_lines"),
+            repeated_words(F.col("words")).cast("long").alias("n_repeat_words"),
+            F.length("text").alias("n_chars"),
+            F.col("scan.chars").alias("chars"),
+            bins.alias("bins"),
+        ),
+        "quality-counts",
+    )
+
+
+def judge(docs: DataFrame, carried: list[str] | None = None) -> DataFrame:
+    """``carried`` columns of each row of ``docs`` (all by default) as struct ``row``, with its statistics and verdict."""
+    counted = measure(docs, docs.columns if carried is None else carried)
+    sums = counted.groupBy(F.col("lang").alias("char_lang")).agg(F.array(*[F.sum(F.get("chars", F.lit(i))) for i in range(7)]).alias("ref_chars"))
+    stats = counted.join(_small(sums), F.col("lang") == F.col("char_lang")).select(
         "row",
         "ref_words",
-        F.size("words").cast("long").alias("n_words"),
-        (F.length("text") - F.col("scan.n_space")).cast("long").alias("word_chars"),
-        F.col("scan.n_symbols").alias("n_symbols"),
-        repeated_lines(F.col("text")).cast("long").alias("n_dup_lines"),
-        repeated_words(F.col("words")).cast("long").alias("n_repeat_words"),
-        F.length("text").alias("n_chars"),
-        divergence(F.col("scan.chars"), F.col("ref_chars")).alias("char_divergence"),
-        divergence(bins, F.col("ref_common")).alias("word_divergence"),
+        "n_words",
+        "word_chars",
+        "n_symbols",
+        "n_dup_lines",
+        "n_repeat_words",
+        "n_chars",
+        divergence(F.col("chars"), F.col("ref_chars")).alias("char_divergence"),
+        divergence(F.col("bins"), F.col("ref_common")).alias("word_divergence"),
     )
     failed = (F.col("n_words") < LEAST_BASE_WORDS) | (100 * F.col("n_repeat_words") > MOST_REPEATED_PERCENT * F.col("n_words"))
     judged = F.coalesce(F.col("ref_words"), F.lit(0)) >= LEAST_REFERENCE
@@ -168,13 +188,12 @@ def judge(docs: DataFrame, refs: DataFrame) -> DataFrame:
 
 
 def op5_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
-    docs = table(spark, sf_dir, "documents").select("doc_id", "text", "lang")
-    return judge(docs, references(docs)).select("row.doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "kept", "char_divergence", "word_divergence")
+    return judge(table(spark, sf_dir, "documents"), ["doc_id"]).select("row.doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "kept", "char_divergence", "word_divergence")
 
 
 def keep_good(docs: DataFrame) -> DataFrame:
     """The rows of ``docs`` that the rules keep."""
-    return judge(docs, references(docs)).where("kept").select("row.*")
+    return judge(docs).where("kept").select("row.*")
 
 
 _SPACE = r"[\x20\x09-\x0D]"
