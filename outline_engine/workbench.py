@@ -1,6 +1,372 @@
-"""Registered queries of the outline engine and their SQL twins."""
+"""Registered queries of the outline engine: methods, comparison trees, classes, measures, workloads, tools, operators.
+
+``QUERIES`` maps a name to a callable of (session, folder); ``ORACLES`` has the same result in DuckDB SQL.
+"""
 
 from __future__ import annotations
 
-QUERIES: dict = {}
+from collections.abc import Callable
+from functools import partial, reduce
+
+from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
+
+from outline_engine.operators import assembly, baselines, classes, depth, metrics, outline
+from outline_engine.plans import fixtures, planner, relational
+from outline_engine.plans import sql_twins as sql
+from outline_engine.sources import corpora
+from outline_engine.sources.corpora import CORPORA
+
+Query = Callable[[SparkSession, str], DataFrame]
+QUERIES: dict[str, Query] = {}
 ORACLES: dict[str, str] = {}
+
+METHOD_CORPORA = ("lines", "composite4", "html", "dialogue", "level", "parity", "memo", "leaf", "all")
+TREE_CORPORA = ("lines", "composite4", "html", "dialogue", "parity", "memo")
+FLAG_CORPORA = ("composite4", "html", "dialogue", "level", "leaf", "parity", "memo", "all")
+#: Stand-ins for the four data sets: nested, dense, long, regular.
+DATASETS = {"nested": "composite4", "dense": "dialogue", "long": "parity", "regular": "html"}
+APPROACHES = ("local", "global", "half", "deep", "wide")
+TREE = "doc_id, pos, parent_pos, span_end"
+
+
+def add(name: str, query: Query, oracle: str | None = None) -> None:
+    QUERIES[name] = query
+    if oracle:
+        ORACLES[name] = oracle
+
+
+def _with(*parts: str) -> str:
+    return "WITH RECURSIVE " + ",".join(parts)
+
+
+def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return baselines.infer(CORPORA["lines"](spark, sf_dir))
+
+
+# Methods.
+for c in METHOD_CORPORA:
+    for m, k in (("local", "1"), ("global", "0"), ("blend", "0.5")):
+        method = depth.METHODS["half" if m == "blend" else m]
+        add(f"m_{m}_{c}", lambda s, d, c=c, f=method: f(depth.groups(CORPORA[c](s, d))).select("doc_id", "style", "g", "sd"), _with(sql.CORPORA[c], sql.GROUPS, sql.depths(k, "x")) + " SELECT doc_id, style, g, sd FROM x_sd")
+for c in TREE_CORPORA:
+    for m in ("local", "global"):
+        add(f"m_tree_{m}_{c}", lambda s, d, c=c, m=m: baselines.infer(CORPORA[c](s, d), m), _with(sql.CORPORA[c], sql.trees(m)) + f" SELECT {TREE} FROM {m}_t")
+for strategy in ("fold", "stack"):
+    add(f"m_tree_{strategy}_dialogue", lambda s, d, x=strategy: baselines.infer(CORPORA["dialogue"](s, d), "local", x), _with(sql.CORPORA["dialogue"], sql.trees("local")) + f" SELECT {TREE} FROM local_t")
+add("m_jump_composite4", lambda s, d: depth.local_by_jumps(depth.groups(CORPORA["composite4"](s, d))).select("doc_id", "style", "g", "sd"), _with(sql.CORPORA["composite4"], sql.GROUPS, sql.depths("1", "x")) + " SELECT doc_id, style, g, sd FROM x_sd")
+add(
+    "m_blend_mixed_composite4",
+    lambda s, d: depth.blend(depth.groups(CORPORA["composite4"](s, d)), depth.hashed_k(3)).select("doc_id", "style", "g", "sd"),
+    _with(sql.CORPORA["composite4"], sql.GROUPS, sql.depths("((x.g * 2654435761 + 3 * 40503) % 9) / 8.0", "x")) + " SELECT doc_id, style, g, sd FROM x_sd",
+)
+add("m_groups_lines", lambda s, d: depth.groups(CORPORA["lines"](s, d)).select("doc_id", "style", "g", "opener", "prev_g", "n_nodes"), _with(sql.LINES, sql.GROUPS) + " SELECT doc_id, style, g, CAST(opener AS INTEGER) AS opener, prev_g, n_nodes FROM grp")
+add("m_spans_truth_parity", lambda s, d: assembly.truth(CORPORA["parity"](s, d)), _with(sql.CORPORA["parity"], sql.tree("h", "rk", "true_t")) + f" SELECT {TREE} FROM true_t")
+_LEVEL = "lv AS (SELECT t.*, (SELECT count(*) FROM true_t u WHERE u.doc_id = t.doc_id AND u.pos < t.pos AND t.pos < u.span_end) AS level FROM true_t t)"
+add("m_levels_composite4", lambda s, d: assembly.levels(assembly.truth(CORPORA["composite4"](s, d))).select("doc_id", "pos", F.col("level").cast("bigint").alias("level")), _with(sql.CORPORA["composite4"], sql.tree("h", "rk", "true_t"), _LEVEL) + " SELECT doc_id, pos, level FROM lv")
+add(
+    "m_trace_dialogue",
+    lambda s, d: (lambda h: assembly.candidates(h, assembly.by_bands(h)))(depth.banded(CORPORA["dialogue"](s, d), depth.local(depth.groups(CORPORA["dialogue"](s, d))))),
+    _with(sql.DIALOGUE, sql.trees("local"))
+    + """ SELECT a.doc_id, a.pos, count(*) AS covering, count(*) FILTER (b.sd < a.sd) AS allowed, max(b.pos) FILTER (b.sd < a.sd) AS chosen
+FROM local_h a JOIN local_t t ON t.doc_id = a.doc_id AND t.pos < a.pos AND (t.pos = a.pos - 1 OR t.span_end > a.pos - 1) JOIN local_h b ON b.doc_id = t.doc_id AND b.pos = t.pos GROUP BY a.doc_id, a.pos""",
+)
+
+# Comparison trees.
+for c in ("lines", "parity"):
+    add(f"b_deep_{c}", lambda s, d, c=c: baselines.deep(CORPORA[c](s, d)), _with(sql.CORPORA[c], sql.DEEP) + f" SELECT {TREE} FROM deep")
+    add(f"b_wide_{c}", lambda s, d, c=c: baselines.wide(CORPORA[c](s, d)), _with(sql.CORPORA[c], sql.WIDE) + f" SELECT {TREE} FROM wide")
+add("b_batched_composite8", lambda s, d: baselines.batched(CORPORA["composite8"](s, d), 20))
+add("b_per_part_composite4", lambda s, d: (lambda h: baselines.per_part(h.withColumn("part_no", F.count_if(F.col("style") == "TITLE").over(_upto())).select(*h.columns, "part_no"), F.when(F.col("pos") > 0, F.col("part_no"))))(CORPORA["composite4"](s, d)))
+add("b_prior_global_dialogue", lambda s, d: baselines.prior_global(CORPORA["dialogue"](s, d)), _with(sql.DIALOGUE, sql.trees("global")) + f" SELECT {TREE} FROM global_t")
+_MIX = "((doc_id * 7919 + pos * 104729 + {seed} * 31) % 100)"
+add(
+    "b_text_model_dialogue",
+    lambda s, d: baselines.simulated_model(CORPORA["dialogue"](s, d), deep_drop=20, tail_drop=20),
+    _with(sql.DIALOGUE, f"kept AS (SELECT * FROM (SELECT *, CASE WHEN rk >= 2 THEN 20 ELSE 0 END + CASE WHEN pos * 2 > max(pos) OVER (PARTITION BY doc_id) THEN 20 ELSE 0 END AS dr FROM h) WHERE pos = 0 OR {_MIX.format(seed=2)} >= dr)", sql.tree("kept", "rk", "t")) + f" SELECT {TREE} FROM t",
+)
+add(
+    "b_external_dialogue",
+    lambda s, d: baselines.external(CORPORA["dialogue"](s, d).groupBy("doc_id").agg(F.to_json(F.collect_list(F.struct("pos", F.col("rk").alias("level")))).alias("tree"))),
+    _with(sql.DIALOGUE, sql.tree("h", "rk", "t")) + f" SELECT {TREE} FROM t",
+)
+add("b_contents_html", lambda s, d: baselines.from_contents(CORPORA["html"](s, d).withColumnRenamed("rk", "level")), _with(sql.HTML, sql.tree("h", "rk", "t")) + f" SELECT {TREE} FROM t")
+
+
+def _upto():
+    from pyspark.sql import Window
+
+    return Window.partitionBy("doc_id").orderBy("pos").rowsBetween(Window.unboundedPreceding, 0)
+
+
+# Classes and robustness.
+_FLAGS = """,
+lv AS (SELECT t.*, h.style, (SELECT count(*) FROM true_t u WHERE u.doc_id = t.doc_id AND u.pos < t.pos AND t.pos < u.span_end) AS level FROM true_t t JOIN h USING (doc_id, pos)),
+edge AS (SELECT c.doc_id, c.pos, c.parent_pos, c.style, p.style AS pstyle FROM lv c JOIN lv p ON p.doc_id = c.doc_id AND p.pos = c.parent_pos),
+op AS (SELECT doc_id, style, min(pos) AS o, min(level) = max(level) AS one FROM lv GROUP BY ALL),
+opp AS (SELECT op.*, v.parent_pos AS up, p.style AS upstyle FROM op JOIN lv v ON v.doc_id = op.doc_id AND v.pos = o LEFT JOIN lv p ON p.doc_id = v.doc_id AND p.pos = v.parent_pos),
+pr AS (SELECT DISTINCT doc_id, style, pstyle FROM edge),
+badw AS (SELECT doc_id FROM edge GROUP BY doc_id, parent_pos HAVING count(DISTINCT style) > 1 UNION SELECT doc_id FROM pr JOIN opp USING (doc_id, style) WHERE pstyle <> upstyle),
+badl AS (SELECT DISTINCT pr.doc_id FROM pr JOIN op USING (doc_id, style) WHERE NOT EXISTS (SELECT 1 FROM lv a WHERE a.doc_id = pr.doc_id AND a.style = pr.pstyle AND a.pos < op.o AND op.o < a.span_end)),
+bada AS (SELECT DISTINCT doc_id FROM opp WHERE NOT one OR (up IS NOT NULL AND up <> o - 1)),
+""" + ",\n".join(
+    f"""r_{m} AS (SELECT t.doc_id, bool_and(a.span_end >= t.span_end) AS robust, CAST(sum(greatest(0, a.span_end - t.span_end)) AS BIGINT) AS excess FROM true_t t JOIN {m}_t a USING (doc_id, pos) GROUP BY 1),
+c_{m} AS (SELECT e.doc_id, bool_and(p.sd < c.sd) AS conf FROM edge e JOIN {m}_h c ON c.doc_id = e.doc_id AND c.pos = e.pos JOIN {m}_h p ON p.doc_id = e.doc_id AND p.pos = e.parent_pos GROUP BY 1)"""
+    for m in ("local", "global", "half")
+)
+_FLAG_SELECT = (
+    "SELECT d.doc_id, d.doc_id NOT IN (SELECT doc_id FROM badw) AS well, d.doc_id NOT IN (SELECT doc_id FROM badl) AS loose, d.doc_id NOT IN (SELECT doc_id FROM bada) AS aligned, "
+    + ", ".join(f"r_{m}.robust AS robust_{m}, r_{m}.excess AS excess_{m}, coalesce(c_{m}.conf, true) AS conf_{m}" for m in ("local", "global", "half"))
+    + " FROM (SELECT DISTINCT doc_id FROM h) d "
+    + " ".join(f"JOIN r_{m} ON r_{m}.doc_id = d.doc_id LEFT JOIN c_{m} ON c_{m}.doc_id = d.doc_id" for m in ("local", "global", "half"))
+)
+
+
+def _flags_sql(c: str) -> str:
+    return _with(sql.CORPORA[c], sql.trees("local", "global", "half")) + _FLAGS + " " + _FLAG_SELECT
+
+
+for c in FLAG_CORPORA:
+    add(f"c_flags_{c}", lambda s, d, c=c: classes.flags(CORPORA[c](s, d)), _flags_sql(c))
+add("r_edges_memo", lambda s, d: (lambda h: classes.robust_by_edges(baselines.infer(h), assembly.truth(h)))(CORPORA["memo"](s, d)), _with(sql.CORPORA["memo"], sql.trees("local")) + " SELECT t.doc_id, bool_and(a.span_end >= t.span_end) AS robust FROM true_t t JOIN local_t a USING (doc_id, pos) GROUP BY 1")
+add("r_valid_composite4", lambda s, d: classes.valid_tree(baselines.infer(CORPORA["composite4"](s, d))), _with(sql.CORPORA["composite4"]) + " SELECT DISTINCT doc_id, true AS valid FROM h")
+add(
+    "r_depth_bound_composite4",
+    lambda s, d: (lambda h: classes.tree_depth(baselines.infer(h)).join(depth.groups(h).groupBy("doc_id").agg(F.count("*").alias("n_groups")), "doc_id").select("doc_id", F.col("depth").cast("bigint").alias("depth"), "n_headers", "n_groups", (F.col("depth") <= F.col("n_groups")).alias("bounded")))(CORPORA["composite4"](s, d)),
+    _with(sql.CORPORA["composite4"], sql.trees("local"))
+    + """, lv AS (SELECT t.doc_id, 1 + (SELECT count(*) FROM local_t u WHERE u.doc_id = t.doc_id AND u.pos < t.pos AND t.pos < u.span_end) AS level FROM local_t t)
+SELECT doc_id, max(level) AS depth, count(*) AS n_headers, any_value(n) AS n_groups, max(level) <= any_value(n) AS bounded FROM lv JOIN (SELECT doc_id, count(*) AS n FROM grp GROUP BY 1) USING (doc_id) GROUP BY doc_id""",
+)
+
+
+# Workloads.
+def _union(parts: list[DataFrame]) -> DataFrame:
+    return reduce(DataFrame.unionByName, parts)
+
+
+def w01(s: SparkSession, d: str) -> DataFrame:
+    return _union([CORPORA[c](s, d).groupBy("doc_id").agg(F.count("*").alias("n"), F.sum("body_words").alias("w")).agg(F.count("*").alias("documents"), (F.sum("n")).alias("headers"), F.sum("w").alias("words")).select(F.lit(c).alias("corpus"), "documents", "headers", "words") for c in ("lines", "html", "dialogue", "level")])
+
+
+add("w01_corpus_stats", w01, " UNION ALL ".join(f"(WITH {sql.CORPORA[c]} SELECT '{c}' AS corpus, count(DISTINCT doc_id) AS documents, count(*) AS headers, CAST(sum(body_words) AS BIGINT) AS words FROM h)" for c in ("lines", "html", "dialogue", "level")))
+add("w02_composite_phrases", lambda s, d: CORPORA["composite4"](s, d).select("doc_id", "pos", "style", F.col("rk").cast("int").alias("rk"), "title", "body_words"), f"WITH {sql.CORPORA['composite4']} SELECT doc_id, pos, style, rk, title, CAST(body_words AS BIGINT) AS body_words FROM h")
+
+
+def w03(s: SparkSession, d: str) -> DataFrame:
+    """Found headers: ten in a hundred missed, and as many invented as five in a hundred."""
+    h = CORPORA["lines"](s, d).where("pos > 0")
+    found = baselines.perturbed(h, 10)
+    invented = h.where(baselines.mixed(F.col("doc_id"), F.col("pos"), 9, 100) < 5).withColumn("pos", F.col("pos") + 1_000_000)
+    return metrics.header_scores(found.union(invented), h)
+
+
+_HS = "round(both_n / true_n, 6) AS rec, round(both_n / found_n, 6) AS prec, round(2 * both_n / (true_n + found_n), 6) AS f1"
+add("w03_header_scores", w03, _with(sql.LINES) + f", x AS (SELECT count(*) AS true_n, count(*) FILTER ({_MIX.format(seed=1)} >= 10) AS both_n, count(*) FILTER ({_MIX.format(seed=1)} >= 10) + count(*) FILTER ({_MIX.format(seed=9)} < 5) AS found_n FROM h WHERE pos > 0) SELECT true_n, found_n, both_n, {_HS} FROM x")
+
+
+def w03_fabricated(s: SparkSession, d: str) -> DataFrame:
+    h = CORPORA["lines"](s, d).where("pos > 0")
+    made = h.withColumn("title", F.when(baselines.mixed(F.col("doc_id"), F.col("pos"), 9, 100) < 4, F.concat("title", F.lit(" (continued)"))).otherwise(F.col("title")))
+    return metrics.fabricated(made, corpora.line_phrases(s, d))
+
+
+add("w03_fabricated", w03_fabricated, _with(sql.LINES) + f", m AS (SELECT doc_id, CASE WHEN {_MIX.format(seed=9)} < 4 THEN title || ' (continued)' ELSE title END AS title FROM h WHERE pos > 0), f AS (SELECT count(*) AS fabricated FROM m WHERE NOT EXISTS (SELECT 1 FROM phrase p WHERE p.doc_id = m.doc_id AND p.line = m.title)) SELECT (SELECT count(*) FROM m) AS reported, fabricated, round(fabricated / (SELECT count(*) FROM m), 6) AS share FROM f")
+
+_SHARES = "CASE WHEN {t} = 0 THEN 1 ELSE {b} / {t} END AS rec, CASE WHEN {f} = 0 THEN 1 ELSE {b} / {f} END AS prec, CASE WHEN {t} + {f} = 0 THEN 1 ELSE 2 * {b} / ({t} + {f}) END AS f1"
+_AVG = "count(*) AS n, round(avg(rec), 6) AS rec, round(avg(prec), 6) AS prec, round(avg(f1), 6) AS f1"
+_TOPDOWN = f"""
+cum AS (SELECT doc_id, pos, CAST(sum(body_words) OVER (PARTITION BY doc_id ORDER BY pos) AS BIGINT) AS upto FROM h),
+tdw AS (SELECT tr.approach, t.doc_id, t.pos, te.upto - coalesce(b.upto, 0) AS tw, fe.upto - coalesce(b.upto, 0) AS fw FROM true_t t JOIN tr USING (doc_id, pos)
+  JOIN cum te ON te.doc_id = t.doc_id AND te.pos = t.span_end - 1 JOIN cum fe ON fe.doc_id = t.doc_id AND fe.pos = tr.span_end - 1 LEFT JOIN cum b ON b.doc_id = t.doc_id AND b.pos = t.pos - 1 WHERE t.pos > 0),
+td AS (SELECT approach, doc_id, pos, {_SHARES.format(t="tw", f="fw", b="least(tw, fw)")} FROM tdw)"""
+_BOTTOMUP = f"""
+ta AS (SELECT v.doc_id, v.pos, a.pos AS anc FROM true_t v JOIN true_t a ON a.doc_id = v.doc_id AND a.pos > 0 AND a.pos <= v.pos AND v.pos < a.span_end),
+bun AS (SELECT approach, v.doc_id, v.pos, (SELECT count(*) FROM ta WHERE ta.doc_id = v.doc_id AND ta.pos = v.pos) AS t,
+  (SELECT count(*) FROM tr a WHERE a.approach = v.approach AND a.doc_id = v.doc_id AND a.pos > 0 AND a.pos <= v.pos AND v.pos < a.span_end) AS f,
+  (SELECT count(*) FROM ta JOIN tr a ON a.approach = v.approach AND a.doc_id = ta.doc_id AND a.pos = ta.anc AND v.pos < a.span_end WHERE ta.doc_id = v.doc_id AND ta.pos = v.pos) AS b FROM tr v WHERE v.pos > 0),
+bu AS (SELECT approach, doc_id, pos, {_SHARES.format(t="t", f="f", b="b")} FROM bun)"""
+
+
+def topdown(s: SparkSession, d: str, c: str, approaches: tuple[str, ...] = APPROACHES) -> DataFrame:
+    h = CORPORA[c](s, d)
+    return metrics.topdown(metrics.all_trees(h, approaches), h, assembly.truth(h))
+
+
+def bottomup(s: SparkSession, d: str, c: str, approaches: tuple[str, ...] = APPROACHES) -> DataFrame:
+    h = CORPORA[c](s, d)
+    return metrics.bottomup(metrics.all_trees(h, approaches), assembly.truth(h))
+
+
+for name, c in DATASETS.items():
+    add(f"w04_topdown_{name}", lambda s, d, c=c: metrics.averages(topdown(s, d, c), "approach"), _with(sql.CORPORA[c], sql.trees(*APPROACHES), sql.union_trees(*APPROACHES), _TOPDOWN) + f" SELECT approach, {_AVG} FROM td GROUP BY approach")
+    # The oracle's lists are quadratic; the long data set is left to the tests.
+    add(f"w04_bottomup_{name}", lambda s, d, c=c: metrics.averages(bottomup(s, d, c), "approach"), None if name == "long" else _with(sql.CORPORA[c], sql.trees(*APPROACHES), sql.union_trees(*APPROACHES), _BOTTOMUP) + f" SELECT approach, {_AVG} FROM bu GROUP BY approach")
+add("w04_stratified", lambda s, d: metrics.stratified(_union([metrics.averages(topdown(s, d, c), "approach") for c in DATASETS.values()]), "approach"))
+
+
+def w05(s: SparkSession, d: str, kinds: tuple[str, ...] = ("html", "dialogue", "composite4")) -> DataFrame:
+    return _union([classes.flags(CORPORA[c](s, d)).withColumn("corpus", F.lit(c)) for c in kinds])
+
+
+add(
+    "w05_class_freq",
+    lambda s, d: w05(s, d).groupBy("corpus").agg(F.count("*").alias("n_docs"), *[F.count_if(c).alias(c) for c in ("well", "loose", "aligned", "conf_local", "conf_global")]),
+    " UNION ALL ".join(f"SELECT '{c}' AS corpus, count(*) AS n_docs, {', '.join(f'count(*) FILTER ({x}) AS {x}' for x in ('well', 'loose', 'aligned', 'conf_local', 'conf_global'))} FROM ({_flags_sql(c)})" for c in ("html", "dialogue", "composite4")),
+)
+add("w05_venn", lambda s, d: classes.frequency(classes.flags(CORPORA["composite4"](s, d))), f"SELECT well, loose, aligned, conf_local, conf_global, count(*) AS n_docs FROM ({_flags_sql('composite4')}) GROUP BY ALL")
+
+
+def w06(s: SparkSession, d: str) -> DataFrame:
+    f = _union([classes.flags(CORPORA[c](s, d)).withColumn("corpus", F.lit(c)) for c in ("parity", "memo")])
+    return f.groupBy("corpus").agg(F.count_if("robust_local").alias("robust_local"), F.count_if("robust_global").alias("robust_global"), F.sum("excess_local").alias("excess_local"), F.sum("excess_global").alias("excess_global"))
+
+
+add("w06_local_vs_global", w06, " UNION ALL ".join(f"SELECT '{c}' AS corpus, count(*) FILTER (robust_local) AS robust_local, count(*) FILTER (robust_global) AS robust_global, CAST(sum(excess_local) AS BIGINT) AS excess_local, CAST(sum(excess_global) AS BIGINT) AS excess_global FROM ({_flags_sql(c)})" for c in ("parity", "memo")))
+
+SWEEP = (0.0, 0.25, 0.5, 0.75, 1.0)
+
+
+def w07(s: SparkSession, d: str) -> DataFrame:
+    h = CORPORA["composite4"](s, d)
+    true, g = assembly.truth(h), depth.groups(h)
+    made = [classes.certify(assembly.assemble(depth.banded(h, depth.blend(g, k))), true).agg(F.count_if("robust").alias("robust"), F.sum("excess").alias("excess")).select(F.lit(k).alias("k"), "robust", "excess") for k in SWEEP]
+    return _union(made)
+
+
+add(
+    "w07_blend_sweep",
+    w07,
+    _with(sql.CORPORA["composite4"], sql.GROUPS, sql.tree("h", "rk", "true_t"), *[sql.depths(str(k), f"k{i}") + "," + sql.tree(f"k{i}_h", "sd", f"k{i}_t") for i, k in enumerate(SWEEP)])
+    + " UNION ALL ".join(f" SELECT CAST({k} AS DOUBLE) AS k, count(*) FILTER (ok) AS robust, CAST(sum(e) AS BIGINT) AS excess FROM (SELECT bool_and(a.span_end >= t.span_end) AS ok, sum(greatest(0, a.span_end - t.span_end)) AS e FROM true_t t JOIN k{i}_t a USING (doc_id, pos) GROUP BY t.doc_id)" for i, k in enumerate(SWEEP)),
+)
+add("w08_depth_ratio", lambda s, d: (lambda h: (lambda tree, true: metrics.by_depth_ratio(metrics.topdown(tree.withColumn("approach", F.lit("local")), h, true), tree, true))(baselines.infer(h), assembly.truth(h)))(CORPORA["composite4"](s, d)))
+add(
+    "w08_groups_vs_headers",
+    lambda s, d: depth.groups(CORPORA["composite8"](s, d)).groupBy("doc_id").agg(F.count("*").alias("n_groups"), F.sum("n_nodes").alias("n_headers")),
+    _with(sql.CORPORA["composite8"]) + " SELECT doc_id, count(DISTINCT style) AS n_groups, count(*) AS n_headers FROM h GROUP BY 1",
+)
+
+
+def w09(s: SparkSession, d: str) -> DataFrame:
+    """Trees of found headers against trees of true ones."""
+    h = CORPORA["composite4"](s, d)
+    true = assembly.truth(h)
+    trees = baselines.infer(h).withColumn("approach", F.lit("true headers")).union(baselines.infer(baselines.perturbed(h, 10)).withColumn("approach", F.lit("found headers")))
+    return metrics.averages(metrics.topdown(trees, h, true), "approach")
+
+
+add("w09_true_headers", w09)
+
+_ASK = "style LIKE 'customer%'"
+
+
+def _questions(s: SparkSession, d: str) -> tuple[DataFrame, DataFrame, DataFrame]:
+    h = CORPORA["parity"](s, d)
+    return h, assembly.truth(h), h.where(_ASK).select("doc_id", "pos")
+
+
+def w12(s: SparkSession, d: str) -> DataFrame:
+    """One question per customer, answered from its section: share of complete sections, and words read, per tree."""
+    h, true, asked = _questions(s, d)
+    got = outline.answer(metrics.all_trees(h), asked, true, h)
+    return got.groupBy("approach").agg(F.count("*").alias("questions"), F.count_if("found").alias("complete"), F.sum(F.col("section_words") + F.col("outline_lines")).alias("words_read"))
+
+
+_ANSWERS = """
+cum AS (SELECT doc_id, pos, CAST(sum(body_words) OVER (PARTITION BY doc_id ORDER BY pos) AS BIGINT) AS upto FROM h),
+ans AS (SELECT tr.approach, t.doc_id, t.pos, tr.span_end >= t.span_end AS found, fe.upto - coalesce(b.upto, 0) AS w, (SELECT count(*) - 1 FROM h x WHERE x.doc_id = t.doc_id) AS n FROM h q JOIN true_t t USING (doc_id, pos) JOIN tr USING (doc_id, pos)
+  JOIN cum fe ON fe.doc_id = t.doc_id AND fe.pos = tr.span_end - 1 LEFT JOIN cum b ON b.doc_id = t.doc_id AND b.pos = t.pos - 1 WHERE q.style LIKE 'customer%')"""
+add("w12_tree_ablation", w12, _with(sql.CORPORA["parity"], sql.trees(*APPROACHES), sql.union_trees(*APPROACHES), _ANSWERS) + " SELECT approach, count(*) AS questions, count(*) FILTER (found) AS complete, CAST(sum(w + n) AS BIGINT) AS words_read FROM ans GROUP BY approach")
+
+
+def w10(s: SparkSession, d: str) -> DataFrame:
+    """Words in context by strategy: the whole document, with its outline, or the outline and one section of the true tree."""
+    h, true, asked = _questions(s, d)
+    got = outline.answer(true.withColumn("approach", F.lit("tree agent")), asked, true, h).join(h.groupBy("doc_id").agg(F.sum("body_words").alias("doc_words")), "doc_id")
+    rows = got.select("doc_id", F.explode(F.array(*[F.struct(F.lit(n).alias("strategy"), w.alias("words")) for n, w in (("in context", F.col("doc_words")), ("outline and context", F.col("doc_words") + F.col("outline_lines")), ("tree agent", F.col("section_words") + F.col("outline_lines")))])).alias("x"))
+    return rows.groupBy("x.strategy").agg(F.count("*").alias("questions"), F.sum("x.words").alias("words"))
+
+
+add(
+    "w10_qa_strategies",
+    w10,
+    _with(sql.CORPORA["parity"], sql.tree("h", "rk", "true_t"), "tr AS (SELECT 'tree agent' AS approach, * FROM true_t)", _ANSWERS, "dw AS (SELECT doc_id, sum(body_words) AS dw FROM h GROUP BY 1), a AS (SELECT * FROM ans JOIN dw USING (doc_id))")
+    + " SELECT 'in context' AS strategy, count(*) AS questions, CAST(sum(dw) AS BIGINT) AS words FROM a UNION ALL SELECT 'outline and context', count(*), CAST(sum(dw + n) AS BIGINT) FROM a UNION ALL SELECT 'tree agent', count(*), CAST(sum(w + n) AS BIGINT) FROM a",
+)
+
+
+def w11(s: SparkSession, d: str) -> DataFrame:
+    """The chunk agent on documents: rounds and words until the chunk with the document's last words is read."""
+    docs = corpora.read(s, d, "documents").select("doc_id", "text")
+    ranked = outline.embed_search(docs.select("doc_id", F.substring("text", -200, 200).alias("question")), docs)
+    last = F.max("chunk_no").over(_by_doc())
+    return outline.agent_rounds(ranked.withColumn("has_answer", F.col("chunk_no") == last).select(F.col("doc_id").alias("q_id"), "rank", F.lit(200).alias("words"), "has_answer"))
+
+
+def _by_doc():
+    from pyspark.sql import Window
+
+    return Window.partitionBy("doc_id")
+
+
+add("w11_retrieval", w11)
+
+
+def w13(s: SparkSession, d: str) -> DataFrame:
+    """Sample by language (20 least by hash), and what it stands for."""
+    docs = corpora.read(s, d, "documents").select("doc_id", "lang", F.length("text").alias("n"))
+    from pyspark.sql import Window
+
+    ranked = docs.withColumn("r", F.row_number().over(Window.partitionBy("lang").orderBy((F.col("doc_id") * 7919) % 1009, "doc_id")))
+    sample = ranked.where("r <= 20").groupBy("lang").agg(F.avg("n").alias("mean_chars"), F.count("*").alias("sampled"))
+    return sample.join(docs.groupBy("lang").agg(F.count("*").alias("documents")), "lang").select("lang", "sampled", "documents", F.round(F.col("mean_chars") * F.col("documents"), 2).alias("estimated_chars"))
+
+
+add("w13_latency_sample", w13, "WITH r AS (SELECT lang, length(text) AS n, row_number() OVER (PARTITION BY lang ORDER BY (doc_id * 7919) % 1009, doc_id) AS r FROM documents) SELECT lang, count(*) FILTER (r <= 20) AS sampled, count(*) AS documents, round(avg(n) FILTER (r <= 20) * count(*), 2) AS estimated_chars FROM r GROUP BY lang")
+SIZES = (1, 4, 8)
+
+
+def w14(s: SparkSession, d: str) -> DataFrame:
+    return _union([metrics.averages(topdown(s, d, f"composite{n}", ("local", "wide")), "approach").withColumn("size", F.lit(n)) for n in SIZES])
+
+
+add("w14_composition", w14, " UNION ALL ".join(f"SELECT * FROM ({_with(sql.CORPORA[f'composite{n}'], sql.trees('local', 'wide'), sql.union_trees('local', 'wide'), _TOPDOWN)} SELECT approach, {_AVG}, {n} AS size FROM td GROUP BY approach)" for n in SIZES))
+add("w15_synthetic_qa", lambda s, d: (lambda h: outline.answer(metrics.all_trees(h, ("local", "wide")), h.where("style = 'user'").select("doc_id", "pos"), assembly.truth(h), h).groupBy("approach").agg(F.count("*").alias("questions"), F.count_if("found").alias("complete"), F.sum("section_words").alias("words")))(CORPORA["dialogue"](s, d)),
+    _with(sql.DIALOGUE, sql.trees("local", "wide"), sql.union_trees("local", "wide"), _ANSWERS.replace("q.style LIKE 'customer%'", "q.style = 'user'")) + " SELECT approach, count(*) AS questions, count(*) FILTER (found) AS complete, CAST(sum(w) AS BIGINT) AS words FROM ans GROUP BY approach")
+for name in fixtures.DOCUMENTS:
+    add(f"w16_fixture_{name}", partial(fixtures.query, name=name), fixtures.oracle(name))
+
+# Tools.
+add(
+    "t_outline_dialogue",
+    lambda s, d: outline.numbered(assembly.truth(CORPORA["dialogue"](s, d))).where("pos > 0"),
+    _with(sql.DIALOGUE, sql.tree("h", "rk", "t"), "n AS (SELECT *, row_number() OVER (PARTITION BY doc_id, parent_pos ORDER BY pos) AS no FROM t), p AS (SELECT doc_id, pos, 0 AS level, '' AS prefix FROM n WHERE parent_pos IS NULL UNION ALL SELECT n.doc_id, n.pos, p.level + 1, CASE WHEN p.prefix = '' THEN CAST(n.no AS VARCHAR) ELSE p.prefix || '.' || n.no END FROM n JOIN p ON p.doc_id = n.doc_id AND p.pos = n.parent_pos)") + " SELECT doc_id, pos, level, prefix FROM p WHERE pos > 0",
+)
+add("t_render_html", lambda s, d: (lambda h: outline.render(assembly.truth(h), h))(CORPORA["html"](s, d)))
+
+
+def t_grep(s: SparkSession, d: str) -> DataFrame:
+    docs = corpora.read(s, d, "documents")
+    script = F.array(*[F.struct(F.lit(i + 1).alias("call_no"), F.lit(p).alias("pattern")) for i, p in enumerate(("en", "en", "er", "en"))])
+    calls = docs.select(F.col("doc_id").alias("session"), "doc_id", F.explode(script).alias("c")).select("session", "doc_id", "c.call_no", "c.pattern")
+    return outline.grep(calls, docs).select("doc_id", "call_no", "match_no", F.col("at").alias("hit"), F.length("context").alias("n_context"))
+
+
+add("t_grep", t_grep,
+    "WITH c AS (SELECT doc_id, text, unnest([1, 2, 3, 4]) AS call_no, unnest(['en', 'en', 'er', 'en']) AS pattern, unnest([1, 2, 1, 3]) AS match_no FROM documents), p AS (SELECT *, string_split(text, pattern) AS ps FROM c), a AS (SELECT *, CASE WHEN len(ps) > match_no THEN list_sum(list_transform(ps[1:match_no], lambda x: length(x))) + (match_no - 1) * 2 + 1 END AS hit FROM p) SELECT doc_id, call_no, match_no, CAST(hit AS INTEGER) AS hit, CASE WHEN hit IS NOT NULL THEN length(substring(text, CAST(greatest(hit + 1 - 500, 1) AS BIGINT), 1000)) END AS n_context FROM a")
+add("t_embed", lambda s, d: (lambda docs: outline.embed_search(docs.select("doc_id", F.substring("text", 1, 100).alias("question")), docs))(corpora.read(s, d, "documents").select("doc_id", "text")))
+add("t_section_lines", lambda s, d: (lambda h: outline.read_section(h.select("doc_id").distinct().withColumn("prefix", F.lit("1")), assembly.truth(h), _owned(s, d)))(CORPORA["lines"](s, d)))
+
+
+def _owned(s: SparkSession, d: str) -> DataFrame:
+    """Text lines with the position of the header that they follow."""
+    from pyspark.sql import Window
+
+    upto = Window.partitionBy("doc_id").orderBy("ln").rowsBetween(Window.unboundedPreceding, 0)
+    return corpora.line_phrases(s, d).withColumn("pos", F.count("style").over(upto).cast("int")).where("style IS NULL").select("doc_id", "pos", "ln", "line")
+
+
+# Relational operators around the methods, and the planner.
+for name, (query, oracle) in relational.QUERIES.items():
+    add(name, query, oracle)
+add("p_planned_parity", lambda s, d: planner.plan(method="half", k=1.0).run(CORPORA["parity"](s, d)), _with(sql.CORPORA["parity"], sql.trees("local")) + f" SELECT {TREE} FROM local_t")
