@@ -33,12 +33,12 @@ from outline_engine.llm.storage import table
 from outline_engine.llm.vocabularies import default_path, rank_file_encoder, read_ranks
 
 VOCABULARY = "byte_bpe_multi_50k.tiktoken"
-DICTIONARY = 100_000
+DICTIONARY = 60_000
 SAMPLE_DOCS = 12_000
 LONGEST = 256
 TOO_LONG = -1
 _NONE = 2**31 - 1
-_RANK_SLOTS, _WORD_SLOTS = 1 << 16, 1 << 18
+_RANK_SLOTS, _WORD_SLOTS = 1 << 16, 1 << 17
 #: White space as Unicode has it, which the pattern's \s means.
 _SPACE = r"\t-\r\x20\x85\xA0\x{1680}\x{2000}-\x{200A}\x{2028}\x{2029}\x{202F}\x{205F}\x{3000}"
 
@@ -116,7 +116,7 @@ def dictionary_literal(texts: DataFrame, ranks: Column) -> Column:
     counted = some.select(F.explode(words_by_pattern(F.col("text"))).alias("w")).groupBy("w").agg(F.count("*").alias("n"))
     top = counted.where(F.length("w") <= 40).orderBy(F.desc("n"), "w").limit(DICTIONARY)
     slots: dict[int, dict] = {}
-    for row in top.select("w", "n", folded(F.col("w"), ranks).alias("i")).orderBy(F.desc("n"), "w").collect():
+    for row in top.select("w", "n", let(ranks, lambda r: folded(F.col("w"), r)).alias("i")).orderBy(F.desc("n"), "w").collect():
         slots.setdefault(_slot_of(row["w"], _WORD_SLOTS), {"w": row["w"], "i": row["i"]})
     return F.from_json(F.lit(json.dumps([slots.get(i) for i in range(_WORD_SLOTS)])), "array<struct<w:string,i:array<int>>>")
 
@@ -127,11 +127,13 @@ def encode(docs: DataFrame, *, vocabulary: str | None = None) -> DataFrame:
     texts = docs.select("doc_id", text_of().alias("text"))
     known = dictionary_literal(texts, ranks)
 
-    def of_word(w: Column) -> Column:
-        entry = F.get(known, _slot(w, _WORD_SLOTS))
-        return F.when(entry["w"] == w, entry["i"]).otherwise(folded(w, ranks))
+    def of_word(w: Column, k: Column, r: Column) -> Column:
+        entry = F.get(k, _slot(w, _WORD_SLOTS))
+        return F.when(entry["w"] == w, entry["i"]).otherwise(folded(w, r))
 
-    ids = texts.withColumn("ids", F.flatten(F.transform(words_by_pattern(F.col("text")), of_word)))
+    # Bound by name, each literal is in the plan once and not at each of its uses.
+    words = words_by_pattern(F.col("text"))
+    ids = texts.withColumn("ids", let(known, lambda k: let(ranks, lambda r: F.flatten(F.transform(words, lambda w: of_word(w, k, r))))))
     return ids.select("doc_id", "ids", F.when(F.array_contains("ids", TOO_LONG), F.col("text")).alias("text"))
 
 
