@@ -148,7 +148,9 @@ def ranges(rows: list[tuple[int, int]]) -> list[tuple[int, int, int, int]]:
 def read(selected: DataFrame, root: str, *, payloads: bool = True) -> DataFrame:
     """The records of the ``selected`` index rows, read from the archives under ``root``."""
     wanted = selected.select("file", "offset", "length").where("file IS NOT NULL")
-    dealt = wanted.repartition("file", F.floor(F.col("offset") / BLOCK)).sortWithinPartitions("file", "offset")
+    # Index rows are small and what they stand for is large, so their number of tasks is not left to their size.
+    parts = int(selected.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    dealt = wanted.repartition(parts, "file", F.floor(F.col("offset") / BLOCK)).sortWithinPartitions("file", "offset")
     schema = RECORD if payloads else RECORD.rpartition(", ")[0]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
