@@ -21,11 +21,6 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op10_syncmers": fingerprints.op10_syncmers,
 }
 ORACLES: dict[str, str] = {
-    "op1_chat": chat.op1_chat,
-    "op2_simhash": simhash.op2_simhash,
-    "op3_bpe": bpe.op3_bpe,
-    "op4_katz": katz.op4_katz,
-    "op5_quality_rules": quality_rules.op5_quality_rules,
     "op1_chat": chat.OP1_SQL,
     "op5_quality_rules": quality_rules.OP5_SQL,
     "op8_warc": warc.OP8_SQL,
