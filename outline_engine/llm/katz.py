@@ -12,17 +12,19 @@ probabilities, with a weight that makes each context's probabilities add up to o
 context without discounted mass has half a count added for the unseen ones.
 
 Scoring: a text's score is first taken as if every bigram backed off; each bigram that was seen then
-corrects it by a number that is stored with the bigram.  The corrections of the most frequent
-bigrams (``FREQUENT`` at most) go to the scoring tasks, the others meet the table in a join.  Rare
-words meet the word table in a join, too.  So what is sent around is bounded, and no text is moved.
+corrects it by the logarithm of what it has beyond that.  The corrections of the most frequent bigrams
+(``FREQUENT`` at most) go to the scoring tasks.  The others are asked for: requests and counts are
+packed into binary columns of sorted numbers, dealt by a hash of the bigram, and met group by group.
+Rare words meet the word table in a join.  No text is moved.
 
 Defined cases: a null or empty text has the end mark alone; rows are scored one by one, repeated ids
 or not; a null id counts as the text "" for the split; without any training row every word is one of
-"other", and the end mark has all but the unseen share of a half.
+"other", which then has one half and the end mark the other.
 """
 
 from __future__ import annotations
 
+import zlib
 from collections import Counter
 from collections.abc import Iterator
 from dataclasses import dataclass
@@ -38,7 +40,7 @@ from outline_engine.llm.storage import materialise, table
 
 START, END, OTHER, FIRST = 0, 1, 2, 3
 VOCABULARY = 65_536 - FIRST
-FREQUENT = 1_000_000
+FREQUENT = 2_000_000
 KNOWN_RELIABLE = 5
 #: A word that no text has stands for the end mark in the word table.
 END_MARK = b" "
@@ -81,8 +83,11 @@ class Model:
     types: int
     other_tokens: int
     other_types: int
+    ratios: np.ndarray
+    log_whole: np.ndarray
     unigrams: DataFrame
-    corrections: DataFrame
+    bigrams: DataFrame
+    limit: int
     frequent_keys: np.ndarray
     frequent_values: np.ndarray
 
@@ -139,7 +144,7 @@ def count_bigrams(docs: DataFrame, numbers: dict[bytes, int]) -> DataFrame:
         return pa.RecordBatch.from_arrays([pa.array(keys.astype(np.int64)), pa.array(counts.astype(np.int64))], names=["key", "c"])
 
     sums = docs.select(text_of().alias("text")).mapInArrow(run, "key long, c long").groupBy("key").agg(F.sum("c").alias("c"))
-    return materialise(sums, "lm-bigrams")
+    return materialise(sums.withColumn("part", (F.shiftright("key", 16) % 8).cast("int")), "lm-bigrams", ["part"])
 
 
 def train(docs: DataFrame) -> Model:
@@ -154,6 +159,8 @@ def train(docs: DataFrame) -> Model:
     counts = np.array([0, ends, 0, *(r["c"] for r in top)], dtype=np.int64)
     other_tokens, other_types = int(tokens - counts.sum()), int(types - (ends > 0) - len(top))
     share = discounted(counts, discounts(small)) / (tokens + 0.5)
+    if not ends:
+        share[END] = 0.5
     share[OTHER] = max(1.0 - share.sum(), 1e-12)
     share[START] = 0.0
 
@@ -184,25 +191,41 @@ def train(docs: DataFrame) -> Model:
         log_backoff, log_unigram, log_whole = np.log10(weight), np.log10(share), np.log10(whole)
     log_unigram[START] = 0.0
 
-    def correct(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for one in batches:
-            key, c = one.column("key").to_numpy(), one.column("c").to_numpy()
-            first, second = key >> 16, key & 0xFFFF
-            value = np.log10(discounted(c, ratios)) - log_whole[first] - log_backoff[first] - log_unigram[second]
-            yield pa.RecordBatch.from_arrays([pa.array(first), one.column("key"), one.column("c"), pa.array(value)], names=["first", "key", "c", "correction"])
-
-    made = bigrams.mapInArrow(correct, "first long, key long, c long, correction double").withColumn("part", (F.col("first") % 8).cast("int"))
-    corrections = materialise(made.drop("first"), "lm-corrections", ["part"])
-    spread = sorted(((r["c"], r["n"]) for r in corrections.groupBy(F.least("c", F.lit(1 << 20)).alias("c")).agg(F.count("*").alias("n")).collect()), reverse=True)
+    spread = sorted(((r["c"], r["n"]) for r in bigrams.groupBy(F.least("c", F.lit(1 << 20)).alias("c")).agg(F.count("*").alias("n")).collect()), reverse=True)
     limit, held = 1 << 62, 0
     for c, n in spread:
         if held + n > FREQUENT:
             break
         limit, held = c, held + n
-    found = corrections.where(F.col("c") >= limit).select("key", "correction").toArrow()
-    keys, values = found.column("key").to_numpy().astype(np.uint32), found.column("correction").to_numpy()
+    found = bigrams.where(F.col("c") >= limit).select("key", "c").toArrow()
+    keys, seen = found.column("key").to_numpy(), found.column("c").to_numpy()
     order = np.argsort(keys)
-    return Model(numbers, counts, log_unigram, log_backoff, int(tokens), int(types), other_tokens, other_types, unigrams, corrections.where(F.col("c") < limit), keys[order], values[order])
+    corrections = correction(keys[order], seen[order], ratios, log_whole, log_backoff, log_unigram)
+    return Model(numbers, counts, log_unigram, log_backoff, int(tokens), int(types), other_tokens, other_types, ratios, log_whole, unigrams, bigrams, limit, keys[order].astype(np.uint32), corrections.astype(np.float32))
+
+
+def correction(keys, counts, ratios, log_whole, log_backoff, log_unigram) -> np.ndarray:
+    """What a seen bigram has beyond backing off."""
+    first, second = keys >> 16, keys & 0xFFFF
+    return np.log10(discounted(counts, ratios)) - log_whole[first] - log_backoff[first] - log_unigram[second]
+
+
+#: Numbers in a packed column: sorted, as differences, deflated.
+def packed(keys: np.ndarray, values: np.ndarray) -> tuple[bytes, bytes]:
+    order = np.argsort(keys, kind="stable")
+    steps = np.diff(keys[order].astype(np.int64), prepend=0).astype("<u4")
+    planes = lambda x: x.view(np.uint8).reshape(-1, 4).T.tobytes()  # noqa: E731  like bytes side by side deflate well
+    return zlib.compress(planes(steps), 1), zlib.compress(planes(values[order].astype("<u4")), 1)
+
+
+def unpacked(keys: bytes, values: bytes) -> tuple[np.ndarray, np.ndarray]:
+    back = lambda b: np.frombuffer(zlib.decompress(b), np.uint8).reshape(4, -1).T.copy().view("<u4").ravel()
+    return np.cumsum(back(keys), dtype=np.int64), back(values)
+
+
+def shares_of(keys: np.ndarray, parts: int) -> np.ndarray:
+    """The group that each bigram belongs to: a hash, so that no first word has a group of its own."""
+    return ((keys.astype(np.uint64) * np.uint64(0x9E3779B97F4A7C15)) >> np.uint64(40)) % np.uint64(parts)
 
 
 def score(docs: DataFrame, model: Model, kept: list[str]) -> DataFrame:
@@ -214,12 +237,36 @@ def score(docs: DataFrame, model: Model, kept: list[str]) -> DataFrame:
     log_base = np.log10((model.word_counts + 0.5) / base_total)
     log_base[[START, OTHER]] = 0.0
     is_known = (model.word_counts > 0).astype(np.int64)
+    parts = int(spark.conf.get("spark.sql.shuffle.partitions"))
     schema = ", ".join(f"{c} {docs.schema[c].dataType.simpleString()}" for c in kept)
-    own = "row_id long, n_tokens long, known long, base double, backed double, rare array<binary>, keys array<int>"
+    own = "row_id long, n_tokens long, known long, base double, backed double, rare array<binary>"
+    asks = "part int, first_id long, keys binary, ids binary"
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        """Rows of documents (part null), and of packed requests of some documents (row_id null)."""
         row_id = TaskContext.get().partitionId() << 36
+        first_id, waiting, size = row_id, [], 0
+        names = [*kept, *(f.split()[0] for f in f"{own}, {asks}".split(", "))]
+
+        def made(columns: dict, n: int) -> pa.RecordBatch:
+            return pa.RecordBatch.from_arrays([columns[c] if c in columns else pa.nulls(n, kinds[c]) for c in names], names=names)
+
+        def requests() -> pa.RecordBatch | None:
+            nonlocal first_id, waiting, size
+            keys = np.concatenate([k for _, k in waiting]) if waiting else np.zeros(0, np.uint32)
+            ids = np.concatenate([np.full(len(k), i - first_id, np.uint32) for i, k in waiting]) if waiting else keys
+            start, first_id, waiting, size = first_id, row_id, [], 0
+            if not len(keys):
+                return None
+            part = shares_of(keys, parts)
+            order = np.argsort(part, kind="stable")
+            cuts = np.flatnonzero(np.diff(part[order], prepend=-1))
+            rows = [(int(part[o[0]]), start, *packed(keys[o], ids[o])) for o in np.split(order, cuts[1:])]
+            return made({c: pa.array(v, type=kinds[c]) for c, v in zip(("part", "first_id", "keys", "ids"), zip(*rows, strict=True), strict=True)}, len(rows))
+
+        kinds = {"row_id": pa.int64(), "n_tokens": pa.int64(), "known": pa.int64(), "base": pa.float64(), "backed": pa.float64(), "rare": pa.list_(pa.binary()), "part": pa.int32(), "first_id": pa.int64(), "keys": pa.binary(), "ids": pa.binary()}
         for batch in batches:
+            kinds |= {c: batch.schema.field(c).type for c in kept}
             for begin in range(0, batch.num_rows, 1000):
                 one = batch.slice(begin, 1000)
                 rows = []
@@ -230,18 +277,69 @@ def score(docs: DataFrame, model: Model, kept: list[str]) -> DataFrame:
                     if len(frequent_keys):
                         at = np.minimum(np.searchsorted(frequent_keys, keys), len(frequent_keys) - 1)
                         hit = frequent_keys[at] == keys
-                        backed += frequent_values[at[hit]].sum()
+                        backed += frequent_values[at[hit]].sum(dtype=np.float64)
                         keys = keys[~hit]
-                    rows.append((row_id, len(tokens), int(is_known[tokens].sum()), float(log_base[tokens].sum()), float(backed), [found[i] for i in np.flatnonzero(tokens == OTHER)], keys.view(np.int32)))
+                    waiting.append((row_id, keys))
+                    size += len(keys)
+                    rows.append((row_id, len(tokens), int(is_known[tokens].sum()), float(log_base[tokens].sum()), float(backed), [found[i] for i in np.flatnonzero(tokens == OTHER)]))
                     row_id += 1
-                columns = list(zip(*rows, strict=True))
-                kinds = (pa.int64(), pa.int64(), pa.int64(), pa.float64(), pa.float64(), pa.list_(pa.binary()), pa.list_(pa.int32()))
-                yield pa.RecordBatch.from_arrays([*(one.column(c) for c in kept), *(pa.array(c, type=k) for c, k in zip(columns, kinds, strict=True))], names=[*kept, "row_id", "n_tokens", "known", "base", "backed", "rare", "keys"])
+                columns = dict(zip(("row_id", "n_tokens", "known", "base", "backed", "rare"), zip(*rows, strict=True), strict=True))
+                yield made({c: one.column(c) for c in kept} | {c: pa.array(v, type=kinds[c]) for c, v in columns.items()}, len(rows))
+                if size > _FLUSH and (asked := requests()) is not None:
+                    yield asked
+        if (asked := requests()) is not None:
+            yield asked
 
     texts = docs.select(*kept, text_of().alias("text"))
-    first = materialise(texts.mapInArrow(run, f"{schema}, {own}"), "lm-first-scores")
-    asked = first.select("row_id", F.explode("keys").alias("k")).select("row_id", F.col("k").cast("long").bitwiseAND(F.lit(0xFFFFFFFF)).alias("key"))
-    seen = asked.join(model.corrections.select("key", "correction"), "key").groupBy("row_id").agg(F.sum("correction").alias("seen"))
+    both = materialise(texts.mapInArrow(run, f"{schema}, {own}, {asks}"), "lm-first-scores")
+    first = both.where("part IS NULL").drop("part", "first_id", "keys", "ids")
+    asked = both.where("part IS NOT NULL").select("part", "first_id", "keys", "ids")
+
+    def deal(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        """Bigrams and their counts, packed like the requests."""
+        for one in batches:
+            keys, c = one.column("key").to_numpy().astype(np.uint32), np.minimum(one.column("c").to_numpy(), 0xFFFFFFFF)
+            part = shares_of(keys, parts)
+            order = np.argsort(part, kind="stable")
+            cuts = np.flatnonzero(np.diff(part[order], prepend=-1))
+            rows = [(int(part[o[0]]), *packed(keys[o], c[o])) for o in np.split(order, cuts[1:])]
+            cols = list(zip(*rows, strict=True))
+            yield pa.RecordBatch.from_arrays([pa.array(cols[0], type=pa.int32()), pa.array(cols[1], type=pa.binary()), pa.array(cols[2], type=pa.binary())], names=["part", "keys", "counts"])
+
+    counts = model.bigrams.where(F.col("c") < model.limit).select("key", "c").mapInArrow(deal, "part int, keys binary, counts binary")
+    ratios, log_whole = model.ratios, model.log_whole
+
+    def meet(wanted: pa.Table, there: pa.Table) -> pa.Table:
+        pairs = [unpacked(k, v) for k, v in zip(there.column("keys").to_pylist(), there.column("counts").to_pylist(), strict=True)]
+        keys = np.concatenate([k for k, _ in pairs]) if pairs else np.zeros(0, np.int64)
+        values = np.concatenate([v for _, v in pairs]).astype(np.int64) if pairs else keys
+        order = np.argsort(keys)
+        keys, values = keys[order], values[order]
+        value = correction(keys, values, ratios, log_whole, log_backoff, log_unigram)
+        starts, ids, sums = [], [], []
+        for start, k, v in zip(*(wanted.column(c).to_pylist() for c in ("first_id", "keys", "ids")), strict=True):
+            if not len(keys):
+                break
+            need, who = unpacked(k, v)
+            at = np.minimum(np.searchsorted(keys, need), len(keys) - 1)
+            hit = keys[at] == need
+            if hit.any():
+                some, place = np.unique(who[hit], return_inverse=True)
+                starts.append(start)
+                ids.append(some.astype("<u4").tobytes())
+                sums.append(np.bincount(place, value[at[hit]]).tobytes())
+        return pa.table({"first_id": pa.array(starts, pa.int64()), "ids": pa.array(ids, pa.binary()), "sums": pa.array(sums, pa.binary())})
+
+    def total(found: pa.Table) -> pa.Table:
+        """The sums of a block of documents over all groups of bigrams."""
+        start = found.column("first_id")[0].as_py()
+        ids = np.concatenate([np.frombuffer(x, "<u4") for x in found.column("ids").to_pylist()])
+        sums = np.concatenate([np.frombuffer(x) for x in found.column("sums").to_pylist()])
+        some, place = np.unique(ids, return_inverse=True)
+        return pa.table({"row_id": some.astype(np.int64) + start, "seen": np.bincount(place, sums)})
+
+    met = asked.groupBy("part").cogroup(counts.groupBy("part")).applyInArrow(meet, "first_id long, ids binary, sums binary")
+    seen = met.groupBy("first_id").applyInArrow(total, "row_id long, seen double")
     rare = first.select("row_id", F.explode("rare").alias("word")).join(model.unigrams, "word", "left").withColumn("c", F.coalesce("c", F.lit(0)))
     other_total = model.other_tokens + 0.5 * (model.other_types + 1)
     rare = rare.groupBy("row_id").agg(
@@ -249,7 +347,7 @@ def score(docs: DataFrame, model: Model, kept: list[str]) -> DataFrame:
         F.sum(F.log10((F.col("c") + 0.5) / other_total)).alias("rare_share"),
         F.sum((F.col("c") > 0).cast("long")).alias("rare_known"),
     )
-    whole = first.drop("rare", "keys").join(seen, "row_id", "left").join(rare, "row_id", "left")
+    whole = first.drop("rare").join(seen, "row_id", "left").join(rare, "row_id", "left")
     zero = lambda c: F.coalesce(c, F.lit(0))
     return whole.select(
         *kept,
