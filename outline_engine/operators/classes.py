@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from collections.abc import Callable
+
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -55,9 +57,13 @@ def formats(h: DataFrame, true: DataFrame) -> DataFrame:
     return whole.select("doc_id", (yes("same") & yes("pattern")).alias("well"), F.col("off").isNull().alias("loose"), yes("aligned").alias("aligned"))
 
 
-def flags(h: DataFrame) -> DataFrame:
-    """Every class flag of each document, with robustness and excess under the three depth methods."""
-    true, g = assembly.truth(h), depth.groups(h)
+def flags(h: DataFrame, keep: Callable[[DataFrame], DataFrame] = lambda df: df) -> DataFrame:
+    """Every class flag of each document, with robustness and excess under the three depth methods.
+
+    ``keep`` may store the headers, true tree and groups, which are read many times.
+    """
+    h = keep(h.select("doc_id", "pos", "style", "rk"))
+    true, g = keep(assembly.truth(h)), keep(depth.groups(h))
     out = formats(h, true)
     for name, method in depth.METHODS.items():
         d = method(g)

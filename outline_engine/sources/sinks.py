@@ -2,10 +2,28 @@
 
 from __future__ import annotations
 
+import tempfile
+import uuid
+
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 
+def stored(df: DataFrame) -> DataFrame:
+    """``df`` as a table in the folder that the session shares (``spark.checkpoint.dir``), read back.
+
+    For skinny tables that a plan reads many times: they are made once, and a lost executor costs a re-read.
+    """
+    spark = df.sparkSession
+    root = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
+    if not root:
+        root = "file://" + tempfile.mkdtemp(prefix="outline-engine-")
+        spark.sparkContext.setCheckpointDir(root)
+    path = f"{root.rstrip('/')}/table-{uuid.uuid4().hex}"
+    df.write.parquet(path)
+    return spark.read.schema(df.schema).parquet(path)
+
+
 def write_tree(tree: DataFrame, path: str, corpus: str) -> None:
     """One folder per corpus; writing a corpus again replaces its folder only."""
     tree.sortWithinPartitions("doc_id", "pos").write.mode("overwrite").parquet(f"{path}/corpus={corpus}")

@@ -16,6 +16,7 @@ from outline_engine.plans import fixtures, planner, relational
 from outline_engine.plans import sql_twins as sql
 from outline_engine.sources import corpora
 from outline_engine.sources.corpora import CORPORA
+from outline_engine.sources.sinks import stored
 
 Query = Callable[[SparkSession, str], DataFrame]
 QUERIES: dict[str, Query] = {}
@@ -127,7 +128,7 @@ def _flags_sql(c: str) -> str:
 
 
 for c in FLAG_CORPORA:
-    add(f"c_flags_{c}", lambda s, d, c=c: classes.flags(CORPORA[c](s, d)), _flags_sql(c))
+    add(f"c_flags_{c}", lambda s, d, c=c: classes.flags(CORPORA[c](s, d), stored), _flags_sql(c))
 add("r_edges_memo", lambda s, d: (lambda h: classes.robust_by_edges(baselines.infer(h), assembly.truth(h)))(CORPORA["memo"](s, d)), _with(sql.CORPORA["memo"], sql.trees("local")) + " SELECT t.doc_id, bool_and(a.span_end >= t.span_end) AS robust FROM true_t t JOIN local_t a USING (doc_id, pos) GROUP BY 1")
 add("r_valid_composite4", lambda s, d: classes.valid_tree(baselines.infer(CORPORA["composite4"](s, d))), _with(sql.CORPORA["composite4"]) + " SELECT DISTINCT doc_id, true AS valid FROM h")
 add(
@@ -188,13 +189,13 @@ bu AS (SELECT approach, doc_id, pos, {_SHARES.format(t="t", f="f", b="b")} FROM
 
 
 def topdown(s: SparkSession, d: str, c: str, approaches: tuple[str, ...] = APPROACHES) -> DataFrame:
-    h = CORPORA[c](s, d)
+    h = stored(CORPORA[c](s, d))
     return metrics.topdown(metrics.all_trees(h, approaches), h, assembly.truth(h))
 
 
 def bottomup(s: SparkSession, d: str, c: str, approaches: tuple[str, ...] = APPROACHES) -> DataFrame:
-    h = CORPORA[c](s, d)
-    return metrics.bottomup(metrics.all_trees(h, approaches), assembly.truth(h))
+    h = stored(CORPORA[c](s, d))
+    return metrics.bottomup(stored(metrics.all_trees(h, approaches)), stored(assembly.truth(h)))
 
 
 for name, c in DATASETS.items():
@@ -205,7 +206,7 @@ add("w04_stratified", lambda s, d: metrics.stratified(_union([metrics.averages(t
 
 
 def w05(s: SparkSession, d: str, kinds: tuple[str, ...] = ("html", "dialogue", "composite4")) -> DataFrame:
-    return _union([classes.flags(CORPORA[c](s, d)).withColumn("corpus", F.lit(c)) for c in kinds])
+    return _union([classes.flags(CORPORA[c](s, d), stored).withColumn("corpus", F.lit(c)) for c in kinds])
 
 
 add(
@@ -213,11 +214,11 @@ add(
     lambda s, d: w05(s, d).groupBy("corpus").agg(F.count("*").alias("n_docs"), *[F.count_if(c).alias(c) for c in ("well", "loose", "aligned", "conf_local", "conf_global")]),
     " UNION ALL ".join(f"SELECT '{c}' AS corpus, count(*) AS n_docs, {', '.join(f'count(*) FILTER ({x}) AS {x}' for x in ('well', 'loose', 'aligned', 'conf_local', 'conf_global'))} FROM ({_flags_sql(c)})" for c in ("html", "dialogue", "composite4")),
 )
-add("w05_venn", lambda s, d: classes.frequency(classes.flags(CORPORA["composite4"](s, d))), f"SELECT well, loose, aligned, conf_local, conf_global, count(*) AS n_docs FROM ({_flags_sql('composite4')}) GROUP BY ALL")
+add("w05_venn", lambda s, d: classes.frequency(classes.flags(CORPORA["composite4"](s, d), stored)), f"SELECT well, loose, aligned, conf_local, conf_global, count(*) AS n_docs FROM ({_flags_sql('composite4')}) GROUP BY ALL")
 
 
 def w06(s: SparkSession, d: str) -> DataFrame:
-    f = _union([classes.flags(CORPORA[c](s, d)).withColumn("corpus", F.lit(c)) for c in ("parity", "memo")])
+    f = _union([classes.flags(CORPORA[c](s, d), stored).withColumn("corpus", F.lit(c)) for c in ("parity", "memo")])
     return f.groupBy("corpus").agg(F.count_if("robust_local").alias("robust_local"), F.count_if("robust_global").alias("robust_global"), F.sum("excess_local").alias("excess_local"), F.sum("excess_global").alias("excess_global"))
 
 
@@ -227,8 +228,8 @@ SWEEP = (0.0, 0.25, 0.5, 0.75, 1.0)
 
 
 def w07(s: SparkSession, d: str) -> DataFrame:
-    h = CORPORA["composite4"](s, d)
-    true, g = assembly.truth(h), depth.groups(h)
+    h = stored(CORPORA["composite4"](s, d))
+    true, g = stored(assembly.truth(h)), stored(depth.groups(h))
     made = [classes.certify(assembly.assemble(depth.banded(h, depth.blend(g, k))), true).agg(F.count_if("robust").alias("robust"), F.sum("excess").alias("excess")).select(F.lit(k).alias("k"), "robust", "excess") for k in SWEEP]
     return _union(made)
 
@@ -239,7 +240,7 @@ add(
     _with(sql.CORPORA["composite4"], sql.GROUPS, sql.tree("h", "rk", "true_t"), *[sql.depths(str(k), f"k{i}") + "," + sql.tree(f"k{i}_h", "sd", f"k{i}_t") for i, k in enumerate(SWEEP)])
     + " UNION ALL ".join(f" SELECT CAST({k} AS DOUBLE) AS k, count(*) FILTER (ok) AS robust, CAST(sum(e) AS BIGINT) AS excess FROM (SELECT bool_and(a.span_end >= t.span_end) AS ok, sum(greatest(0, a.span_end - t.span_end)) AS e FROM true_t t JOIN k{i}_t a USING (doc_id, pos) GROUP BY t.doc_id)" for i, k in enumerate(SWEEP)),
 )
-add("w08_depth_ratio", lambda s, d: (lambda h: (lambda tree, true: metrics.by_depth_ratio(metrics.topdown(tree.withColumn("approach", F.lit("local")), h, true), tree, true))(baselines.infer(h), assembly.truth(h)))(CORPORA["composite4"](s, d)))
+add("w08_depth_ratio", lambda s, d: (lambda h: (lambda tree, true: metrics.by_depth_ratio(metrics.topdown(tree.withColumn("approach", F.lit("local")), h, true), tree, true))(stored(baselines.infer(h)), stored(assembly.truth(h))))(stored(CORPORA["composite4"](s, d))))
 add(
     "w08_groups_vs_headers",
     lambda s, d: depth.groups(CORPORA["composite8"](s, d)).groupBy("doc_id").agg(F.count("*").alias("n_groups"), F.sum("n_nodes").alias("n_headers")),
@@ -249,8 +250,8 @@ add(
 
 def w09(s: SparkSession, d: str) -> DataFrame:
     """Trees of found headers against trees of true ones."""
-    h = CORPORA["composite4"](s, d)
-    true = assembly.truth(h)
+    h = stored(CORPORA["composite4"](s, d))
+    true = stored(assembly.truth(h))
     trees = baselines.infer(h).withColumn("approach", F.lit("true headers")).union(baselines.infer(baselines.perturbed(h, 10)).withColumn("approach", F.lit("found headers")))
     return metrics.averages(metrics.topdown(trees, h, true), "approach")
 
@@ -261,7 +262,7 @@ _ASK = "style LIKE 'customer%'"
 
 
 def _questions(s: SparkSession, d: str) -> tuple[DataFrame, DataFrame, DataFrame]:
-    h = CORPORA["parity"](s, d)
+    h = stored(CORPORA["parity"](s, d))
     return h, assembly.truth(h), h.where(_ASK).select("doc_id", "pos")
 
 
