@@ -101,6 +101,19 @@ QUERIES = {
         lambda s, d: _read(s, d, "events").groupBy(F.window("ts", "1 day").alias("w"), "event_type").agg(F.count("*").alias("n")).select(F.col("w.start").alias("day"), "event_type", "n"),
         "SELECT date_trunc('day', ts) AS day, event_type, count(*) AS n FROM events GROUP BY ALL",
     ),
+    "op_slide": (
+        lambda s, d: _read(s, d, "events").groupBy(F.window("ts", "2 days", "1 day").alias("w")).agg(F.count("*").alias("n")).select(F.col("w.start").alias("day"), "n"),
+        "SELECT day, count(*) AS n FROM (SELECT unnest([date_trunc('day', ts), date_trunc('day', ts) - INTERVAL 1 DAY]) AS day FROM events) GROUP BY 1",
+    ),
+    "op_lastnn": (
+        lambda s, d: _read(s, d, "events").select("event_id", F.last(F.when(F.col("event_type") == "signup", F.col("value")), ignorenulls=True).over(Window.partitionBy("user_id").orderBy("ts", "event_id")).alias("last_value")),
+        "SELECT event_id, last_value(CASE WHEN event_type = 'signup' THEN value END IGNORE NULLS) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS last_value FROM events",
+    ),
+    "op_lateral": in_sql("SELECT o_orderkey, x FROM {orders}, LATERAL (SELECT o_custkey + 1 AS x) l", "orders"),
+    "op_stratified": (
+        lambda s, d: _read(s, d, "documents").where((F.col("doc_id") * 7919) % 1009 < F.when(F.col("lang") == "en", 50).otherwise(200)).select("doc_id", "lang"),
+        "SELECT doc_id, lang FROM documents WHERE (doc_id * 7919) % 1009 < CASE WHEN lang = 'en' THEN 50 ELSE 200 END",
+    ),
     "op_session": (
         lambda s, d: _read(s, d, "events").groupBy(F.session_window("ts", "1 hour").alias("w"), "user_id").agg(F.count("*").alias("n")).groupBy("user_id").agg(F.count("*").alias("sessions"), F.max("n").alias("longest")),
         "WITH g AS (SELECT user_id, ts, CASE WHEN ts >= lag(ts) OVER (PARTITION BY user_id ORDER BY ts) + INTERVAL 1 HOUR OR lag(ts) OVER (PARTITION BY user_id ORDER BY ts) IS NULL THEN 1 ELSE 0 END AS new FROM events), s AS (SELECT user_id, sum(new) OVER (PARTITION BY user_id ORDER BY ts RANGE UNBOUNDED PRECEDING) AS k FROM g), c AS (SELECT user_id, k, count(*) AS n FROM s GROUP BY ALL) SELECT user_id, count(*) AS sessions, max(n) AS longest FROM c GROUP BY 1",
