@@ -5,12 +5,11 @@ one-byte pieces; a fold merges, step by step, the adjacent pair of least rank, l
 map of ranks, until no pair has one.  Bytes are held as the characters of the same number, so pieces
 are strings.  The literal is an array of small maps by hash, so a look-up reads one or two keys.
 
-Words that recur are not folded again and again: the distinct words of a sample are folded first,
-and the ``DICTIONARY`` most frequent go into a second literal, word to ids, asked before the fold.
-It is a memo only: whatever words it holds, the ids are the same.
-
-A word of over ``LONGEST`` bytes would make the fold quadratic; a text with one is encoded by the
-``tiktoken`` library instead.  Decoding concatenates the pieces of the ids.
+The fold runs over the distinct words of the whole corpus, of which the most frequent, ``DICTIONARY``
+at most, then go to the tasks that read the texts; there a text's ids are its words' ids in order.
+Words beyond that bound are rare: tasks fold them by the same ranks, and remember them.  A word of over
+``LONGEST`` bytes would make a fold quadratic; ``tiktoken`` merges those.  Whatever the dictionary
+holds, the ids are the same.  No text is moved.  Decoding concatenates the pieces of the ids.
 
 Defined cases: a null or empty text has no ids and decodes to no bytes; repeated rows are encoded
 alike; null ids of documents are carried; an empty table gives an empty result; other columns are
@@ -21,6 +20,7 @@ from __future__ import annotations
 
 import hashlib
 import json
+import re
 from collections.abc import Iterator
 
 import numpy as np
@@ -29,24 +29,25 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from outline_engine.llm.columns import let, text_of
-from outline_engine.llm.storage import table
+from outline_engine.llm.storage import materialise, table
 from outline_engine.llm.vocabularies import default_path, rank_file_encoder, read_ranks
 
 VOCABULARY = "byte_bpe_multi_50k.tiktoken"
-DICTIONARY = 60_000
-SAMPLE_DOCS = 12_000
+DICTIONARY = 1_000_000
 LONGEST = 256
-TOO_LONG = -1
 _NONE = 2**31 - 1
-_RANK_SLOTS, _WORD_SLOTS = 1 << 16, 1 << 17
+_RANK_SLOTS = 1 << 16
+#: Words that a worker remembers beside the dictionary before it starts anew.
+_MEMO = 100_000
 #: White space as Unicode has it, which the pattern's \s means.
 _SPACE = r"\t-\r\x20\x85\xA0\x{1680}\x{2000}-\x{200A}\x{2028}\x{2029}\x{202F}\x{205F}\x{3000}"
 
+_PYTHON_SPACE = re.sub(r"\\x\{(\w+)\}", lambda m: chr(int(m[1], 16)), _SPACE)
+
 
 def java_pattern(pattern: str) -> str:
     """The pattern for Java's engine, whose \\s and \\S know ASCII only."""
-    outside = pattern.replace(r"[^\s", f"[^{_SPACE}")
-    return outside.replace(r"\s", f"[{_SPACE}]").replace(r"\S", f"[^{_SPACE}]")
+    return _with_space(pattern, _SPACE)
 
 
 def words_by_pattern(text: Column) -> Column:
@@ -104,64 +105,102 @@ def folded(word: Column, ranks: Column) -> Column:
 
     def of_bytes(b: Column) -> Column:
         known = rank(b)
-        return F.when(known.isNotNull(), F.array(known)).when(F.length(b) > LONGEST, F.array(F.lit(TOO_LONG))).otherwise(let(F.split(b, ""), fold))
+        return F.when(known.isNotNull(), F.array(known)).otherwise(let(F.split(b, ""), fold))
 
     return let(F.decode(F.encode(word, "UTF-8"), "ISO-8859-1"), of_bytes)
 
 
-def dictionary_literal(texts: DataFrame, ranks: Column) -> Column:
-    """word and ids of frequent words, by hash; a slot has one word.  Bounded by DICTIONARY, whatever the corpus."""
-    n = texts.count()
-    some = texts if n <= SAMPLE_DOCS else texts.sample(SAMPLE_DOCS / n, 7)
-    counted = some.select(F.explode(words_by_pattern(F.col("text"))).alias("w")).groupBy("w").agg(F.count("*").alias("n"))
-    top = counted.where(F.length("w") <= 40).orderBy(F.desc("n"), "w").limit(DICTIONARY)
-    slots: dict[int, dict] = {}
-    for row in top.select("w", "n", let(ranks, lambda r: folded(F.col("w"), r)).alias("i")).orderBy(F.desc("n"), "w").collect():
-        slots.setdefault(_slot_of(row["w"], _WORD_SLOTS), {"w": row["w"], "i": row["i"]})
-    return F.from_json(F.lit(json.dumps([slots.get(i) for i in range(_WORD_SLOTS)])), "array<struct<w:string,i:array<int>>>")
-
+def python_pattern(pattern: str) -> str:
+    """The same for Python's engine, whose \\s has four controls too many."""
+    return _with_space(pattern, _PYTHON_SPACE)
+
+
+def _with_space(pattern: str, space: str) -> str:
+    return pattern.replace(r"[^\s", f"[^{space}").replace(r"\s", f"[{space}]").replace(r"\S", f"[^{space}]")
+
+
+def dictionary(texts: DataFrame, ranks: dict[bytes, int]) -> dict[str, bytes]:
+    """Frequent words and their ids: all words of at least the count that keeps the bound."""
+    counted = texts.select(F.explode(words_by_pattern(F.col("text"))).alias("w")).groupBy("w").agg(F.count("*").alias("n"))
+    counted = materialise(counted.where(F.octet_length("w") <= LONGEST), "bpe-words")
+    spread = sorted(((r["n"], r["words"]) for r in counted.groupBy(F.least("n", F.lit(1 << 20)).alias("n")).agg(F.count("*").alias("words")).collect()), reverse=True)
+    least, held = 1 << 62, 0
+    for n, words in spread:
+        if held + words > DICTIONARY:
+            break
+        least, held = n, held + words
+    literal = rank_literal(ranks)
+    found = counted.where(F.col("n") >= least).repartition(max(8, held // 20_000)).select("w", let(literal, lambda r: folded(F.col("w"), r)).alias("i")).toArrow()
+    ids = found.column("i").combine_chunks()
+    flat, ends = ids.flatten().to_numpy(zero_copy_only=False).astype("<u4").tobytes(), np.asarray(ids.offsets) - ids.offsets[0].as_py()
+    return {w: flat[4 * a : 4 * b] for w, a, b in zip(found.column("w").to_pylist(), ends[:-1].tolist(), ends[1:].tolist(), strict=True)}
+
+
+def merge(piece: bytes, ranks: dict[bytes, int]) -> list[int]:
+    """The ids of a word by the same fold, for words outside the dictionary."""
+    parts = [piece[i : i + 1] for i in range(len(piece))]
+    pairs = [ranks.get(a + b, _NONE) for a, b in zip(parts, parts[1:])]
+    while pairs and (least := min(pairs)) != _NONE:
+        k = pairs.index(least)
+        parts[k : k + 2] = [parts[k] + parts[k + 1]]
+        del pairs[k]
+        for j in (k - 1, k):
+            if 0 <= j < len(pairs):
+                pairs[j] = ranks.get(parts[j] + parts[j + 1], _NONE)
+    return [ranks[p] for p in parts]
+
+
+class _Words(dict):
+    """Words beside the dictionary, folded when first met."""
+
+    def __init__(self, known: dict[str, bytes], ranks: dict[bytes, int], path: str):
+        super().__init__()
+        self.known, self.ranks, self.path = known, ranks, path
+
+    def __missing__(self, word: str) -> bytes:
+        found = self.known.get(word)
+        if found is None:
+            piece = word.encode()
+            ids = merge(piece, self.ranks) if len(piece) <= LONGEST else rank_file_encoder(self.path)._core_bpe.encode_single_piece(piece)
+            found = np.array(ids, dtype="<u4").tobytes()
+        if len(self) >= _MEMO:
+            self.clear()
+        self[word] = found
+        return found
+
+
+def run(docs: DataFrame, *, vocabulary: str | None = None, digests: bool = False) -> DataFrame:
+    """Encode and decode: doc_id, ids and decoded bytes, or their number and digests; a row per row of ``docs``."""
+    import public_tokenizers
 
-def encode(docs: DataFrame, *, vocabulary: str | None = None) -> DataFrame:
-    """doc_id and ids, a row per row of ``docs``; text is null but where ids holds TOO_LONG for a word."""
-    ranks = rank_literal(read_ranks(vocabulary or default_path(VOCABULARY)))
+    path, pattern = vocabulary or default_path(VOCABULARY), python_pattern(public_tokenizers.PATTERN)
     texts = docs.select("doc_id", text_of().alias("text"))
-    known = dictionary_literal(texts, ranks)
-
-    def of_word(w: Column, k: Column, r: Column) -> Column:
-        entry = F.get(k, _slot(w, _WORD_SLOTS))
-        return F.when(entry["w"] == w, entry["i"]).otherwise(folded(w, r))
-
-    # Bound by name, each literal is in the plan once and not at each of its uses.
-    words = words_by_pattern(F.col("text"))
-    ids = texts.withColumn("ids", let(known, lambda k: let(ranks, lambda r: F.flatten(F.transform(words, lambda w: of_word(w, k, r))))))
-    return ids.select("doc_id", "ids", F.when(F.array_contains("ids", TOO_LONG), F.col("text")).alias("text"))
-
-
-def finish(encoded: DataFrame, *, vocabulary: str | None = None, digests: bool = False) -> DataFrame:
-    """Encode what has too long words, then decode: doc_id, ids and bytes, or their digests."""
-    path = vocabulary or default_path(VOCABULARY)
-    id_type = encoded.schema["doc_id"].dataType.simpleString()
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        pieces = [piece for piece, _ in sorted(read_ranks(path).items(), key=lambda x: x[1])]
-        for one in batches:
-            held = one.column("ids")
-            flat, ends = held.flatten().to_numpy(zero_copy_only=False).astype("<u4"), np.asarray(held.offsets)
-            ends = ends - ends[0]
-            rows = []
-            for i, text in enumerate(one.column("text")):
-                ids = flat[ends[i] : ends[i + 1]]
-                if text.is_valid:
-                    ids = np.array(rank_file_encoder(path).encode_ordinary(text.as_py()), dtype="<u4")
-                decoded = b"".join([pieces[k] for k in ids.tolist()])
-                rows.append((len(ids), hashlib.sha256(ids.tobytes()).hexdigest(), hashlib.sha256(decoded).hexdigest()) if digests else (ids.astype(np.int32), decoded))
-            columns = list(zip(*rows, strict=True)) or [()] * (3 if digests else 2)
-            kinds = [pa.int64(), pa.string(), pa.string()] if digests else [pa.list_(pa.int32()), pa.binary()]
-            yield pa.RecordBatch.from_arrays([one.column("doc_id"), *(pa.array(c, type=k) for c, k in zip(columns, kinds, strict=True))], names=names)
-
+    # Bounded by DICTIONARY, whatever the corpus.
+    known = docs.sparkSession.sparkContext.broadcast(dictionary(texts, read_ranks(path)))
+    id_type = docs.schema["doc_id"].dataType.simpleString()
+
+    def encode(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        import regex
+
+        ranks = read_ranks(path)
+        pieces = [piece for piece, _ in sorted(ranks.items(), key=lambda x: x[1])]
+        words, cut = _Words(known.value, ranks, path), regex.compile(pattern).findall
+        for batch in batches:
+            for begin in range(0, batch.num_rows, 1000):
+                one = batch.slice(begin, 1000)
+                rows = []
+                for text in one.column("text"):
+                    data = b"".join(map(words.__getitem__, cut(text.as_py())))
+                    ids = np.frombuffer(data, dtype="<u4")
+                    decoded = b"".join(map(pieces.__getitem__, ids.tolist()))
+                    rows.append((len(ids), hashlib.sha256(data).hexdigest(), hashlib.sha256(decoded).hexdigest()) if digests else (ids.astype(np.int32), decoded))
+                columns = list(zip(*rows, strict=True)) or [()] * len(kinds)
+                yield pa.RecordBatch.from_arrays([one.column("doc_id"), *(pa.array(c, type=k) for c, k in zip(columns, kinds, strict=True))], names=names)
+
+    kinds = [pa.int64(), pa.string(), pa.string()] if digests else [pa.list_(pa.int32()), pa.binary()]
     names = ["doc_id", "n_tokens", "ids_sha256", "decoded_sha256"] if digests else ["doc_id", "ids", "decoded"]
-    return encoded.mapInArrow(run, f"doc_id {id_type}, " + ("n_tokens long, ids_sha256 string, decoded_sha256 string" if digests else "ids array<int>, decoded binary"))
+    return texts.mapInArrow(encode, f"doc_id {id_type}, " + ("n_tokens long, ids_sha256 string, decoded_sha256 string" if digests else "ids array<int>, decoded binary"))
 
 
 def op3_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return finish(encode(table(spark, sf_dir, "documents")), digests=True)
+    return run(table(spark, sf_dir, "documents"), digests=True)
