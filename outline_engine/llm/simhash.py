@@ -10,6 +10,11 @@ its links, and only those whose first common key it is: by induction over the or
 joins the same documents as all links would, while a run of many near copies gives no square of
 pairs.  Groups are the connected components.
 
+Near copies for the pipeline are texts whose sets of five-word shingles have a Jaccard similarity of
+``NEAR_SIMILARITY`` or more.  No cut of a fingerprint into segments is sure to meet at that distance,
+so candidates meet under equal bands of minima; the exact similarity of the two sets decides, and
+fingerprints only choose which pairs of a long run are looked at.
+
 Defined cases: a null or empty text has fingerprint zero; repeated rows are copies of each other; a
 row with a null id gets the group of its fingerprint, null if no other row has it; an empty table
 gives an empty result; other columns are never read.
@@ -17,7 +22,7 @@ gives an empty result; other columns are never read.
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 from itertools import accumulate, repeat
 
 import numpy as np
@@ -37,17 +42,24 @@ SHORT_RUN = 12
 _ROWS = 200_000
 
 
-def shingle_bits(text: str, words_each: int, seeds: tuple[int, ...]) -> list[int]:
-    """The lanes of a text, as unsigned numbers."""
-    import xxhash
-
+def shingles(text: str, words_each: int) -> list[bytes]:
+    """The shingles of a text in reading order; a text of fewer words is one shingle, an empty one has none."""
     words = text.encode("utf-8", "surrogatepass").lower().split()
     if not words:
-        return [0] * len(seeds)
+        return []
     line = b" ".join(words)
     ends = list(accumulate(map(len, words), lambda a, n: a + n + 1))
     starts = [0, *(e + 1 for e in ends[:-1])]
-    pieces = [line[a:b] for a, b in zip(starts, ends[words_each - 1 :], strict=False)] or [line]
+    return [line[a:b] for a, b in zip(starts, ends[words_each - 1 :], strict=False)] or [line]
+
+
+def shingle_bits(text: str, words_each: int, seeds: tuple[int, ...]) -> list[int]:
+    """The lanes of a text, as unsigned numbers."""
+    import xxhash
+
+    pieces = shingles(text, words_each)
+    if not pieces:
+        return [0] * len(seeds)
     lanes = []
     for seed in seeds:
         hashes = np.fromiter(map(xxhash.xxh64_intdigest, pieces, repeat(seed)), dtype="<u8", count=len(pieces))
@@ -139,42 +151,45 @@ def run_links(key: np.ndarray, node: np.ndarray, lanes: np.ndarray, most: int) -
     return node[a[own]], node[b[own]]
 
 
-def links(classes: DataFrame, lanes: int, most: int) -> DataFrame:
-    """Edges (a, b) that join the ``classes`` (node, f0, ..) within ``most`` differing bits of each other."""
-    parts = int(classes.sparkSession.conf.get("spark.sql.shuffle.partitions"))
-    names = [f"f{i}" for i in range(lanes)]
+def met(keyed: DataFrame, find: Callable[..., Iterator[tuple[np.ndarray, np.ndarray]]]) -> DataFrame:
+    """Pairs (a, b) that ``find`` gives for the runs of equal keys of ``keyed`` (key, node and other longs)."""
+    parts = int(keyed.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    names = [c for c in keyed.columns if c not in ("key", "node")]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held: list[np.ndarray] = []
         rows = 0
 
-        def settle(final: bool) -> pa.RecordBatch | None:
+        def settle(final: bool) -> Iterator[pa.RecordBatch]:
             nonlocal held, rows
-            data = np.concatenate(held, axis=1) if held else np.zeros((2 + lanes, 0), dtype=np.int64)
+            data = np.concatenate(held, axis=1) if held else np.zeros((2 + len(names), 0), dtype=np.int64)
             end = data.shape[1] if final else int(np.searchsorted(data[0], data[0][-1]))
             held = [data[:, end:]]
             rows = data.shape[1] - end
-            if not end:
-                return None
-            done = data[:, :end]
-            a, b = run_links(done[0], done[1], np.ascontiguousarray(done[2:].T).view(np.uint64), most)
-            return pa.RecordBatch.from_arrays([pa.array(a), pa.array(b)], names=["a", "b"]) if len(a) else None
+            if end:
+                done = data[:, :end]
+                for a, b in find(done[0], done[1], np.ascontiguousarray(done[2:].T).view(np.uint64)):
+                    if len(a):
+                        yield pa.RecordBatch.from_arrays([pa.array(a), pa.array(b)], names=["a", "b"])
 
         bound = _ROWS
         for one in batches:
             held.append(np.stack([one.column(c).to_numpy(zero_copy_only=False) for c in ("key", "node", *names)]))
             rows += one.num_rows
             if rows >= bound:
-                if (made := settle(False)) is not None:
-                    yield made
+                yield from settle(False)
                 bound = max(_ROWS, 2 * rows)
-        if (made := settle(True)) is not None:
-            yield made
+        yield from settle(True)
 
-    dealt = variants(classes, lanes).repartition(parts, "key").sortWithinPartitions("key", "node")
+    dealt = keyed.repartition(parts, "key").sortWithinPartitions("key", "node")
     return dealt.mapInArrow(run, "a long, b long")
 
 
+def links(classes: DataFrame, lanes: int, most: int) -> DataFrame:
+    """Edges (a, b) that join the ``classes`` (node, f0, ..) within ``most`` differing bits of each other."""
+    return met(variants(classes, lanes), lambda key, node, prints: iter([run_links(key, node, prints, most)]))
+
+
 def groups(docs: DataFrame, *, words_each: int = 4, seeds: tuple[int, ...] = (SEED,), most: int = 4) -> DataFrame:
     """doc_id, lanes and component_id, the smallest doc_id that each row reaches over links."""
     names = [f"f{i}" for i in range(len(seeds))]
@@ -191,11 +206,186 @@ def op2_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     return found.select("doc_id", F.lower(F.lpad(F.hex("f0"), 16, "0")).alias("fingerprint"), "component_id")
 
 
-#: For near copies of similarity 0.8 on shingles of five words: three lanes, 192 bits.  At that
-#: similarity about 28 bits differ, with a deviation of 5; unrelated texts differ in 96, with one of 7.
-NEAR_SEEDS = (42, 43, 44)
+#: Near copies are texts of at least this Jaccard similarity of their sets of ``NEAR_WORDS``-word shingles.
+NEAR_SIMILARITY = 0.8
 NEAR_WORDS = 5
-NEAR_BITS = 32
+#: Bands of so many minima: at similarity 0.8 a pair shares no band with probability (1 - 0.8^5)^32 = 3e-6.
+BANDS = 32
+ROWS_EACH = 5
+#: Fingerprints of sets, three lanes, 192 bits.  At similarity 0.8 about 29 bits differ, with a deviation
+#: of 5; a pair over ``NEAR_BITS``, six deviations more, is not looked at.
+NEAR_LANES = 3
+NEAR_BITS = 60
+_ODD = np.random.default_rng(SEED).integers(0, 1 << 63, size=BANDS * ROWS_EACH + NEAR_LANES + ROWS_EACH + BANDS, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
+
+
+def _mixed(x: np.ndarray) -> np.ndarray:
+    x = (x ^ (x >> np.uint64(31))) * np.uint64(0xBF58476D1CE4E5B9)
+    return x ^ (x >> np.uint64(29))
+
+
+def shingle_set(text: str) -> np.ndarray:
+    """The hashes of a text's distinct shingles, sorted."""
+    import xxhash
+
+    pieces = shingles(text, NEAR_WORDS)
+    return np.unique(np.fromiter(map(xxhash.xxh64_intdigest, pieces, repeat(SEED)), dtype="<u8", count=len(pieces)))
+
+
+def near_print(found: np.ndarray) -> tuple[int, np.ndarray, np.ndarray]:
+    """Of a set of shingles: a number for the set, its lanes, and the keys of its bands."""
+    import xxhash
+
+    whole = xxhash.xxh3_64_intdigest(found.tobytes())
+    counts = np.zeros((NEAR_LANES, 64), dtype=np.int64)
+    least = np.full(BANDS * ROWS_EACH, np.iinfo(np.uint64).max, dtype=np.uint64)
+    minima, lanes, rows, bands = np.split(_ODD, np.cumsum([BANDS * ROWS_EACH, NEAR_LANES, ROWS_EACH]))
+    for i in range(0, len(found), 1024):
+        some = found[i : i + 1024]
+        np.minimum(least, (minima[:, None] * some).min(axis=1), out=least)
+        bits = _mixed(lanes[:, None] * some).view(np.uint8).reshape(NEAR_LANES, -1, 8)
+        counts += np.unpackbits(bits, axis=2, bitorder="little").sum(axis=1, dtype=np.int64)
+    made = np.packbits(2 * counts > len(found), axis=1, bitorder="little").view("<u8").ravel()
+    keys = _mixed((_mixed(least).reshape(BANDS, ROWS_EACH) * rows).sum(axis=1, dtype=np.uint64) + bands)
+    return whole, made, keys
+
+
+def near_prints(docs: DataFrame) -> DataFrame:
+    """doc_id, same (a number for the text), node (one for its set of shingles), lanes and bands (keys)."""
+    names = [f"f{i}" for i in range(NEAR_LANES)]
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for one in batches:
+            if not one.num_rows:
+                continue
+            made = [near_print(shingle_set(t.as_py())) for t in one.column("text")]
+            nodes = np.array([x[0] for x in made], dtype=np.uint64).view(np.int64)
+            lanes = np.stack([x[1] for x in made]).astype(np.uint64).view(np.int64)
+            keys = np.concatenate([x[2] for x in made]).view(np.int64)
+            bands = pa.ListArray.from_arrays(pa.array(np.arange(0, len(keys) + 1, BANDS), pa.int32()), pa.array(keys))
+            yield pa.RecordBatch.from_arrays(
+                [one.column("doc_id"), one.column("same"), pa.array(nodes), *(pa.array(np.ascontiguousarray(lanes[:, i])) for i in range(NEAR_LANES)), bands],
+                names=["doc_id", "same", "node", *names, "bands"],
+            )
+
+    texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.xxhash64(text_of()).alias("same"), text_of().alias("text"))
+    return texts.mapInArrow(run, f"doc_id long, same long, node long, {', '.join(f'{n} long' for n in names)}, bands array<long>")
+
+
+def near_pairs(key: np.ndarray, node: np.ndarray, lanes: np.ndarray) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+    """Pairs within runs of equal ``key`` (sorted) that differ in ``NEAR_BITS`` at most.
+
+    All of a run of up to ``SHORT_RUN``; of a longer run first those of a spanning forest with the
+    least differences.  What the forest leaves apart is looked at by ``apart_pairs``.
+    """
+    starts = np.flatnonzero(np.r_[True, key[1:] != key[:-1]])
+    sizes = np.diff(np.r_[starts, len(key)])
+    size_of = np.repeat(sizes, sizes)
+    left, right = [], []
+    few = np.flatnonzero((size_of > 1) & (size_of <= SHORT_RUN))
+    for step in range(1, SHORT_RUN):
+        i = few[few + step < len(key)]
+        i = i[key[i] == key[i + step]]
+        i = i[np.bitwise_count(lanes[i] ^ lanes[i + step]).sum(axis=1, dtype=np.int64) <= NEAR_BITS]
+        left.append(i)
+        right.append(i + step)
+    for begin, size in zip(starts[sizes > SHORT_RUN], sizes[sizes > SHORT_RUN], strict=True):
+        outside, at = np.arange(begin + 1, begin + size), begin
+        far, nearest = np.full(size - 1, 1 << 30), np.full(size - 1, begin)
+        while len(outside):
+            now = np.bitwise_count(lanes[outside] ^ lanes[at]).sum(axis=1, dtype=np.int64)
+            nearer = now < far
+            far[nearer], nearest[nearer] = now[nearer], at
+            i = int(far.argmin())
+            at = outside[i]
+            if far[i] <= NEAR_BITS:
+                left.append(nearest[i : i + 1].copy())
+                right.append(outside[i : i + 1].copy())
+            outside[i], far[i], nearest[i] = outside[-1], far[-1], nearest[-1]
+            outside, far, nearest = outside[:-1], far[:-1], nearest[:-1]
+    a, b = np.concatenate(left), np.concatenate(right)
+    yield node[a], node[b]
+
+
+def apart_pairs(key: np.ndarray, node: np.ndarray, columns: np.ndarray) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+    """All pairs of long runs of equal ``key`` (sorted) with different roots (the last column) and ``NEAR_BITS`` at most."""
+    lanes, root = columns[:, :-1], columns[:, -1]
+    starts = np.flatnonzero(np.r_[True, key[1:] != key[:-1]])
+    left, right, held = [node[:0]], [node[:0]], 0
+    for begin, end in zip(starts, [*starts[1:], len(key)], strict=True):
+        if end - begin <= SHORT_RUN or (root[begin:end] == root[begin]).all():
+            continue
+        for i in range(begin, end - 1):
+            other = np.flatnonzero(root[i + 1 : end] != root[i]) + i + 1
+            other = other[np.bitwise_count(lanes[other] ^ lanes[i]).sum(axis=1, dtype=np.int64) <= NEAR_BITS]
+            left.append(np.full(len(other), node[i]))
+            right.append(node[other])
+            held += len(other)
+            if held > _ROWS:
+                yield np.concatenate(left), np.concatenate(right)
+                left, right, held = [node[:0]], [node[:0]], 0
+    yield np.concatenate(left), np.concatenate(right)
+
+
+def shingle_sets(texts: DataFrame) -> DataFrame:
+    """node and found, the hashes of its shingles, for rows (node, text)."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for begin in range(0, batch.num_rows, 500):
+                one = batch.slice(begin, 500)
+                found = [pa.array(shingle_set(t.as_py()).view(np.int64)) for t in one.column("text")]
+                ends = np.cumsum([0, *map(len, found)])
+                yield pa.RecordBatch.from_arrays([one.column("node"), pa.ListArray.from_arrays(pa.array(ends, pa.int32()), pa.concat_arrays(found))], names=["node", "found"])
+
+    return texts.mapInArrow(run, "node long, found array<long>")
+
+
+def similar(docs: DataFrame, classes: DataFrame, pairs: DataFrame) -> DataFrame:
+    """Those of the ``pairs`` (a, b) of ``classes`` (node, same) whose sets are similar enough, exactly; stored."""
+    involved = pairs.select(F.explode(F.array("a", "b")).alias("node")).distinct().join(classes.select("node", "same"), "node")
+    texts = docs.select(F.xxhash64(text_of()).alias("same"), text_of().alias("text")).join(involved, "same").groupBy("node").agg(F.first("text").alias("text"))
+    sets = materialise(shingle_sets(texts), "near-sets")
+    both = pairs.join(sets.select(F.col("node").alias("a"), F.col("found").alias("x")), "a").join(sets.select(F.col("node").alias("b"), F.col("found").alias("y")), "b")
+    shared = F.size(F.array_intersect("x", "y"))
+    sizes = both.select("a", "b", shared.alias("shared"), (F.size("x") + F.size("y")).alias("sizes"))
+    return materialise(sizes.where(F.col("shared") >= NEAR_SIMILARITY * (F.col("sizes") - F.col("shared"))).select("a", "b"), "near-links")
+
+
+def near_links(docs: DataFrame, classes: DataFrame) -> DataFrame:
+    """Edges (a, b) that join the ``classes`` (node, same, lanes, bands) as all pairs of similar sets would.
+
+    Pairs of short runs and the forests of long ones are settled first.  Then all pairs of long runs
+    that are still in different groups are: few where a run is a group of near copies.
+    """
+    names = [f"f{i}" for i in range(NEAR_LANES)]
+    ordered = lambda found: found.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
+    keyed = classes.select(F.explode("bands").alias("key"), "node", *names)
+    tried = materialise(ordered(met(keyed, near_pairs)), "near-pairs")
+    found = similar(docs, classes, tried)
+    long = materialise(keyed.groupBy("key").agg(F.count("*").alias("n")).where(F.col("n") > SHORT_RUN).select("key"), "near-runs")
+    if long.isEmpty():
+        return found
+    roots = components(found)
+    rooted = keyed.join(long, "key").join(roots, "node", "left").withColumn("root", F.coalesce("root", "node"))
+    rest = materialise(ordered(met(rooted.select("key", "node", *names, "root"), apart_pairs)).join(tried, ["a", "b"], "left_anti"), "near-pairs")
+    return found if rest.isEmpty() else found.union(similar(docs, classes, rest))
+
+
+def near_groups(docs: DataFrame) -> DataFrame:
+    """doc_id and component_id, the smallest doc_id that each row reaches over near copies, of rows with an id.
+
+    Texts that share an id are joined.
+    """
+    prints = materialise(near_prints(docs), "near-prints")
+    names = [f"f{i}" for i in range(NEAR_LANES)]
+    classes = materialise(prints.groupBy("node").agg(F.min("same").alias("same"), *[F.first(c).alias(c) for c in (*names, "bands")]), "near-classes")
+    rows = prints.select("doc_id", "node").distinct()
+    shared = rows.withColumn("first", F.min("node").over(Window.partitionBy("doc_id"))).where("node <> first").select(F.col("node").alias("a"), F.col("first").alias("b"))
+    roots = components(near_links(docs, classes).union(shared))
+    rooted = rows.join(roots, "node", "left").select("doc_id", F.coalesce("root", "node").alias("root"))
+    least = rooted.groupBy("root").agg(F.min("doc_id").alias("component_id"))
+    return rooted.join(least, "root").select("doc_id", "component_id")
 
 
 def drop_near_copies(docs: DataFrame) -> DataFrame:
@@ -203,7 +393,7 @@ def drop_near_copies(docs: DataFrame) -> DataFrame:
 
     Rows with a null id are never grouped and stay.
     """
-    found = groups(docs.where("doc_id IS NOT NULL"), words_each=NEAR_WORDS, seeds=NEAR_SEEDS, most=NEAR_BITS)
+    found = near_groups(docs.where("doc_id IS NOT NULL"))
     stays = found.where("doc_id = component_id").select(F.col("doc_id").alias("__stays")).distinct()
     whole = docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("row"))
     one = Window.partitionBy("__stays").orderBy(text_of("row.text"))

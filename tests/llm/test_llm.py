@@ -379,3 +379,64 @@ def test_pipeline(spark, small):
     pieces = corpus_pipeline.STAGES[-1][1](spark, docs, small)
     assert pieces.select("doc_id").distinct().count() == docs.count()
     assert corpus_pipeline.run(spark, small).groupBy("doc_id").count().count() == docs.count()
+
+
+def brute_near_copies(docs, bound=0.8):
+    """The ids that stay if the smallest of each group of texts with exact similarity ``bound`` stays; and the linked pairs."""
+    sets = {i: {tuple(w[j : j + 5]) for j in range(len(w) - 4)} or {tuple(w)} for i, w in ((i, t.lower().split()) for i, t in docs)}
+    parent = {i: i for i in sets}
+
+    def find(x):
+        while parent[x] != x:
+            x = parent[x]
+        return x
+
+    holders, pairs = defaultdict(list), {}
+    for i, found in sets.items():
+        for near in {j for x in found for j in holders[x]}:
+            shared = len(found & sets[near])
+            if shared >= bound * (len(found) + len(sets[near]) - shared):
+                pairs[near, i] = shared / (len(found) + len(sets[near]) - shared)
+                a, b = sorted((find(near), find(i)))
+                parent[b] = a
+        for x in found:
+            holders[x].append(i)
+    return sorted(i for i in sets if find(i) == i), pairs
+
+
+def planted(rng, similarity, n, first, words=455):
+    """``n`` texts and a copy of each with single words changed until the exact similarity is just above (or, negative, below)."""
+    out = []
+    for i in range(n):
+        base = [f"w{rng.randrange(5000)}" for _ in range(words)]
+        copy, free = list(base), list(range(5, words - 5, 10))
+        rng.shuffle(free)
+        total = words - 4
+        lost = int(total * (1 - abs(similarity)) / (1 + abs(similarity)) / 5) + (similarity < 0)
+        for at in free[:lost]:
+            copy[at] = f"x{rng.randrange(5000)}"
+        out += [(first + 2 * i, " ".join(base)), (first + 2 * i + 1, " ".join(copy))]
+    return out
+
+
+def test_near_copies_are_those_of_brute_force(spark):
+    rng = random.Random(11)
+    docs = [r for k, s in enumerate((0.8, 0.85, 0.9, -0.79)) for r in planted(rng, s, 60, 1000 * k)]
+    want, pairs = brute_near_copies(docs)
+    assert len(pairs) == 180 and len(want) == 300 and min(pairs.values()) < 0.81
+    kept = simhash.drop_near_copies(spark.createDataFrame(docs, "doc_id long, text string").repartition(4))
+    assert sorted(r["doc_id"] for r in kept.collect()) == want
+
+
+def test_near_copies_of_a_long_run_are_joined(spark):
+    rng = random.Random(12)
+    base = [f"w{i}" for i in range(300)]
+    docs = []
+    for i in range(120):
+        copy = list(base)
+        for at in rng.sample(range(5, 295), 4):
+            copy[at] = f"x{i}"
+        docs.append((i, " ".join(copy)))
+    want, _ = brute_near_copies(docs)
+    kept = simhash.drop_near_copies(spark.createDataFrame(docs, "doc_id long, text string"))
+    assert sorted(r["doc_id"] for r in kept.collect()) == want
