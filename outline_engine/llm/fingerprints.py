@@ -6,9 +6,9 @@ or its last.  Whether a k-mer is an anchor depends on its own words only, so an
 anchors that it touches and no others, and equal passages have equal anchors wherever they stand.
 Han, Kana and Thai characters, written without blanks, are words of their own.
 
-A fingerprint lists the ``SKETCH`` anchors with the least hashes, each with the position of its
-first occurrence.  The likeness of two fingerprints is the Jaccard estimate of their hashes (exact
-for texts of fewer anchors); ``shift`` matches positions.
+A fingerprint lists all anchors with their positions, ordered by hash and position.  The likeness of
+two fingerprints is the Jaccard similarity of their sets of hashes; ``match`` finds the difference of
+positions at which most anchors agree, by the first occurrence of each.
 
 Defined cases: a null or empty text, or one of white space only, has an empty fingerprint, which is
 like another empty one (1.0) and unlike all else (0.0); a text of fewer than ``K`` words has one
@@ -26,7 +26,6 @@ from outline_engine.llm.columns import indices, let, text_of, words_of
 from outline_engine.llm.storage import materialise, table
 
 K = 3
-SKETCH = 128
 _ALONE = r"\x{0E00}-\x{0E7F}\x{3040}-\x{30FF}\x{3400}-\x{9FFF}\x{F900}-\x{FAFF}\x{20000}-\x{3FFFF}"
 TOKEN = rf"[{_ALONE}]|[^\x20\x09-\x0D{_ALONE}]+"
 
@@ -58,12 +57,13 @@ def _short(h: Column) -> Column:
 
 
 def sketch(text: Column) -> Column:
-    """The least anchors of a text, by hash, each once."""
+    """All anchors of a text, by hash and position."""
+    return F.array_sort(anchors(text))
 
-    def least(ordered: Column) -> Column:
-        return F.slice(F.filter(ordered, lambda x, i: (i == 0) | (F.get(ordered, F.greatest(i - 1, F.lit(0)))["hash"] != x["hash"])), 1, SKETCH)
 
-    return let(F.array_sort(anchors(text)), least)
+def firsts(found: Column) -> Column:
+    """The first occurrence of each hash of a sketch."""
+    return let(found, lambda o: F.filter(o, lambda x, i: (i == 0) | (F.get(o, F.greatest(i - 1, F.lit(0)))["hash"] != x["hash"])))
 
 
 def spell(found: Column) -> Column:
@@ -76,21 +76,39 @@ def hashes(found: Column) -> Column:
 
 
 def likeness(a: Column, b: Column) -> Column:
-    """Jaccard estimate of two sketches, given as their hashes."""
+    """Jaccard similarity of two sets of hashes, each hash once."""
 
     def compare(x: Column, y: Column) -> Column:
-        union = F.slice(F.array_sort(F.array_union(x, y)), 1, SKETCH)
-        return let(union, lambda u: F.when(F.size(u) == 0, F.lit(1.0)).otherwise(F.size(F.array_intersect(u, F.array_intersect(x, y))) / F.size(u)))
+        shared = F.size(F.array_intersect(x, y))
+        return let(shared, lambda n: F.when(F.size(x) + F.size(y) == 0, F.lit(1.0)).otherwise(n / (F.size(x) + F.size(y) - n)))
 
     return F.round(let(a, lambda x: let(b, lambda y: compare(x, y))), 6)
 
 
+def match(a: Column, b: Column) -> Column:
+    """n, the most anchors (of ``firsts``) that agree in one difference of positions (b's less a's), and this difference, d.
+
+    Of equally frequent ones the nearest to zero; n is 0 and d null without a common anchor.
+    """
+    sided = lambda found, side: F.transform(found, lambda e: F.struct(e["hash"].alias("hash"), F.lit(side).alias("side"), e["pos"].alias("pos")))
+    after = lambda o, i: F.get(o, i + 1)
+    moves = let(
+        F.array_sort(F.concat(sided(a, 0), sided(b, 1))),
+        lambda o: F.filter(F.transform(o, lambda x, i: F.when(after(o, i)["hash"] == x["hash"], after(o, i)["pos"] - x["pos"])), lambda d: d.isNotNull()),
+    )
+    none = F.lit(None).cast("int")
+    start = F.struct(none.alias("d"), F.lit(0).alias("n"), F.struct(F.lit(0).alias("n"), F.lit(0).alias("far"), none.alias("d")).alias("best"))
+
+    def step(s: Column, d: Column) -> Column:
+        n = F.when(s["d"] == d, s["n"] + 1).otherwise(F.lit(1))
+        return F.struct(d.alias("d"), n.alias("n"), F.least(s["best"], F.struct((-n).alias("n"), F.abs(d).alias("far"), d.alias("d"))).alias("best"))
+
+    return F.aggregate(F.array_sort(moves), start, step, lambda s: F.struct((-s["best"]["n"]).alias("n"), s["best"]["d"].alias("d")))
+
+
 def shift(a: Column, b: Column) -> Column:
     """The most frequent difference of positions (b's less a's) of common anchors; null without any."""
-    where = F.map_from_entries(F.transform(b, lambda e: F.struct(e["hash"], e["pos"])))
-    moves = let(where, lambda m: F.filter(F.transform(a, lambda e: F.try_element_at(m, e["hash"]) - e["pos"]), lambda d: d.isNotNull()))
-    ranked = let(moves, lambda ms: F.transform(F.array_distinct(ms), lambda d: F.struct((-F.size(F.filter(ms, lambda x: x == d))).alias("n"), F.abs(d).alias("far"), d.alias("d"))))
-    return F.array_min(ranked)["d"]
+    return match(firsts(a), firsts(b))["d"]
 
 
 def neighbours(docs: DataFrame) -> DataFrame:
@@ -112,21 +130,24 @@ def neighbours(docs: DataFrame) -> DataFrame:
 
 
 def compare_edits(docs: DataFrame) -> DataFrame:
-    """Fingerprint each text and its edit: the last third replaced by the head of the next document."""
+    """Fingerprint each text and its edit: the last third replaced by the head of the next document.
+
+    kept_anchors agree in place (kept_shift words on) between text and edit, borrowed_anchors between the next text and the edit.
+    """
     parts = int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
     near = neighbours(docs)
     texts = docs.select(F.col("doc_id"), text_of().alias("text"))
     # Both sides of the join start from this one exchange of the texts.
     base = texts.where("doc_id IS NOT NULL").repartition(parts, "doc_id")
     one = base.withColumn("rank", F.row_number().over(Window.partitionBy("doc_id").orderBy("text"))).where("rank = 1")
-    sent = one.join(near, "doc_id").select(F.col("prev_id").alias("doc_id"), F.substring("text", F.lit(1), F.col("borrowed")).alias("head"), hashes(sketch(F.col("text"))).alias("next_hashes"))
+    sent = one.join(near, "doc_id").select(F.col("prev_id").alias("doc_id"), F.substring("text", F.lit(1), F.col("borrowed")).alias("head"), firsts(sketch(F.col("text"))).alias("next"))
     joined = base.join(sent, "doc_id", "left").unionByName(texts.where("doc_id IS NULL"), allowMissingColumns=True)
     n = F.length("text")
     third = F.floor(n / 3).cast("int")
     edited = joined.select(
         "doc_id",
         "text",
-        "next_hashes",
+        "next",
         F.concat(F.substring("text", F.lit(1), n - third), F.substring(F.coalesce("head", F.lit("")), F.lit(1), third)).alias("edited"),
     )
     made = edited.select(
@@ -135,16 +156,21 @@ def compare_edits(docs: DataFrame) -> DataFrame:
         F.sha2(F.col("edited").cast("binary"), 256).alias("edited_sha256"),
         sketch(F.col("text")).alias("own"),
         sketch(F.col("edited")).alias("other"),
-        F.coalesce("next_hashes", F.array().cast("array<int>")).alias("next_hashes"),
-    )
+        F.coalesce("next", F.array().cast(ANCHORS)).alias("next"),
+    ).withColumns({"own_first": firsts(F.col("own")), "other_first": firsts(F.col("other"))})
+    made = made.withColumns({"kept": match(F.col("own_first"), F.col("other_first")), "borrowed": match(F.col("next"), F.col("other_first"))})
     return made.select(
         "doc_id",
         "n_chars",
         "edited_sha256",
         spell(F.col("own")).alias("fingerprint"),
         spell(F.col("other")).alias("edited_fingerprint"),
-        likeness(hashes(F.col("own")), hashes(F.col("other"))).alias("near_edited"),
-        likeness(hashes(F.col("own")), F.col("next_hashes")).alias("near_next"),
+        likeness(hashes(F.col("own_first")), hashes(F.col("other_first"))).alias("near_edited"),
+        likeness(hashes(F.col("own_first")), hashes(F.col("next"))).alias("near_next"),
+        F.col("kept.n").alias("kept_anchors"),
+        F.col("kept.d").alias("kept_shift"),
+        F.col("borrowed.n").alias("borrowed_anchors"),
+        F.col("borrowed.d").alias("borrowed_shift"),
     )
 
 

@@ -440,3 +440,23 @@ def test_near_copies_of_a_long_run_are_joined(spark):
     want, _ = brute_near_copies(docs)
     kept = simhash.drop_near_copies(spark.createDataFrame(docs, "doc_id long, text string"))
     assert sorted(r["doc_id"] for r in kept.collect()) == want
+
+
+def test_fingerprints_hold_all_anchors(spark):
+    rng = random.Random(6)
+    passage = [f"p{i}" for i in range(50)]
+    one, two = [f"a{rng.randrange(10**6)}" for _ in range(6000)], [f"b{rng.randrange(10**6)}" for _ in range(6000)]
+    docs = [(2, " ".join([*one, *passage])), (1, " ".join([*two[:100], *passage, *two[100:]]))]
+    rows = {r["doc_id"]: r for r in fingerprints.compare_edits(spark.createDataFrame(docs, "doc_id long, text string")).collect()}
+    for i, text in docs:
+        every = spark.createDataFrame([(text,)], "text string").select(fingerprints.anchors(F.col("text"))).first()[0]
+        assert len(every) > 3000 and rows[i]["fingerprint"].count(":") == len(every)
+    found = spark.createDataFrame([(docs[0][1], docs[1][1])], "a string, b string").select(
+        *[fingerprints.sketch(F.col(c)).alias(c) for c in "ab"]
+    ).select("a", "b", fingerprints.shift(F.col("a"), F.col("b")).alias("d")).first()
+    a, b = ({x["hash"] for x in found[c]} for c in "ab")
+    assert found["d"] == 100 - 6000 and len(a & b) > 20
+    assert rows[2]["near_next"] == pytest.approx(len(a & b) / len(a | b), abs=1e-6) and rows[2]["near_next"] > 0
+    # The edit of 2 ends with the head of 1, passage included.
+    assert rows[2]["kept_shift"] == 0 and rows[2]["kept_anchors"] > 1500
+    assert rows[2]["borrowed_anchors"] > 500 and 3800 < rows[2]["borrowed_shift"] < 4300
