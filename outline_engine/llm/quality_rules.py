@@ -24,12 +24,12 @@ from outline_engine.llm.storage import materialise, table
 
 LEAST_BASE_WORDS = 50
 MOST_REPEATED_PERCENT = 50
-COMMON = 10
+COMMON = 24
 LEAST_WORDS = 80
 LEAST_CHARS = 200
 LEAST_REFERENCE = 1000
-CHAR_LIMIT = 0.27
-WORD_LIMIT = 0.34
+CHAR_LIMIT = 0.20
+WORD_LIMIT = 0.45
 BROADCAST_LANGUAGES = 4096
 
 SYMBOLS = "#*$%&|<>"

@@ -460,3 +460,10 @@ def test_fingerprints_hold_all_anchors(spark):
     # The edit of 2 ends with the head of 1, passage included.
     assert rows[2]["kept_shift"] == 0 and rows[2]["kept_anchors"] > 1500
     assert rows[2]["borrowed_anchors"] > 500 and 3800 < rows[2]["borrowed_shift"] < 4300
+
+
+def test_rules_count_more_than_the_ten_most_common_words(spark):
+    docs = [(i, " ".join(f"w{k:02d}" for k in range(24) for _ in range(24 - k)), "en") for i in range(10)]
+    docs += [(10, " ".join(f"w{k:02d}" for k in range(10) for _ in range(24 - k)) + " zz" * 105, "en")]
+    got = {r["doc_id"]: r for r in quality_rules.measure(spark.createDataFrame(docs, "doc_id long, text string, lang string"), ["doc_id"]).select("row.doc_id", "bins").collect()}
+    assert got[0]["bins"][10:] != got[10]["bins"][10:] and len(got[0]["bins"]) == 25
