@@ -1,54 +1,54 @@
-"""Language-model scores: a Katz backoff bigram model with Good-Turing discounts.
-
-Tokens are lower-cased (A-Z) words and an end mark; a start mark is context only.  The model's
-vocabulary is the ``VOCABULARY`` most frequent training words (ties by bytes); all other words are
-one class, "other", whose share is divided among its words by their own counts plus a half, with one
-half for a word never seen.  Counts cover all training rows and live in tables in the shared folder:
-words, and bigrams partitioned by their first word.
-
-A count r of at most ``KNOWN_RELIABLE`` is discounted by Good-Turing's ratio in Katz' form; what this
-takes from a context's followers goes to the words not seen after it, in proportion to the unigram
-probabilities, with a weight that makes each context's probabilities add up to one exactly.  A
-context without discounted mass has half a count added for the unseen ones.
-
-Scoring: a text's score is first taken as if every bigram backed off; each bigram that was seen then
-corrects it by the logarithm of what it has beyond that.  The corrections of the most frequent bigrams
-(``FREQUENT`` at most) go to the scoring tasks.  The others are asked for: requests and counts are
-packed into binary columns of sorted numbers, dealt by a hash of the bigram, and met group by group.
-Rare words meet the word table in a join.  No text is moved.
-
-Defined cases: a null or empty text has the end mark alone; rows are scored one by one, repeated ids
-or not; a null id counts as the text "" for the split; without any training row every word is one of
-"other", which then has one half and the end mark the other.
+"""Language-model scores: a Katz backoff trigram model with Good-Turing discounts over the full vocabulary.
+
+Tokens are lower-cased (A-Z) words and an end mark; two start marks are context only.  A count r of at
+most ``KNOWN_RELIABLE`` is discounted by Good-Turing's ratio in Katz' form, order by order.  What this
+takes from the followers of a context goes to the words not seen after it, in proportion to their
+probability one order lower, with a weight that makes the probabilities after each context add up to
+one exactly.  A context without discounted mass has half a count added for the unseen ones.  Below the
+unigrams stands one class of all words never seen in training, with what the unigrams leave.
+
+Every word has a number of its own: none is merged with others and none is left out.  Texts are read
+once, into blocks (see ``blocks``).  The word table numbers and counts the distinct words of all blocks.
+Then each block asks for its distinct trigrams, dealt by their middle word: in its part are all trigrams
+around it, hence its bigrams too, and the counts of both contexts.  The counts are stored by part;
+probabilities are evaluated recursively from there, trigram from bigram from unigram, and go back to
+the blocks in the order in which they asked, where they are added up by document.
+
+A middle word with more than ``HOT_TOKENS`` occurrences is split over several parts by the word before
+it.  Its bigrams are then summed over these parts in a table of their own, and each part gets those it has.
+
+Defined cases: a null or empty text has the end mark alone; rows are scored one by one, repeated ids or
+not; a null id counts as the text "" for the split; a very long text is one block; without any training
+row every token is of the unseen class, whose probability is one; an empty table gives an empty result;
+columns other than those kept are never read.
 """
 
 from __future__ import annotations
 
-import zlib
-from collections import Counter
 from collections.abc import Iterator
 from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
-from pyspark import TaskContext
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from outline_engine.llm.columns import text_of
+from outline_engine.llm import blocks
+from outline_engine.llm.blocks import TEXT, WORDS, Numbers, blob_rows, dealt, of_kind, pack, pack_words, unpack, unpack_words
 from outline_engine.llm.storage import materialise, table
 
-START, END, OTHER, FIRST = 0, 1, 2, 3
-VOCABULARY = 65_536 - FIRST
-FREQUENT = 2_000_000
 KNOWN_RELIABLE = 5
-#: A word that no text has stands for the end mark in the word table.
+HOT_TOKENS = 2_000_000
+#: A word that no text has stands for the end mark; number 0 is the start mark.
 END_MARK = b" "
-_FLUSH = 1_500_000
+START = 0
+#: Further kinds of rows: a part's answers about words and about trigrams, its word table.
+NUMBERED, SCORED, TABLE = 3, 4, 5
+_MIX = np.uint64(0x9E3779B97F4A7C15)
 
 
 def words(text: str) -> list[bytes]:
-    return text.encode("utf-8", "surrogatepass").lower().split()
+    return [*text.encode("utf-8", "surrogatepass").lower().split(), END_MARK]
 
 
 def discounts(counts_of_counts: dict[int, int]) -> np.ndarray:
@@ -71,291 +71,393 @@ def discounted(counts: np.ndarray, ratios: np.ndarray) -> np.ndarray:
     return counts * np.where(counts <= KNOWN_RELIABLE, ratios[np.minimum(counts, KNOWN_RELIABLE)], 1.0)
 
 
+def small_counts(counts: np.ndarray) -> list[int]:
+    """How many of ``counts`` are 1, 2, .. KNOWN_RELIABLE + 1."""
+    return np.bincount(counts[counts <= KNOWN_RELIABLE + 1], minlength=KNOWN_RELIABLE + 2)[1:].tolist()
+
+
 @dataclass
-class Model:
-    """Arrays by vocabulary number, and the tables of all words and bigrams."""
+class Unigrams:
+    """What every part needs of the word table: sums, discounts, and the hot middle words with their parts."""
 
-    numbers: dict[bytes, int]
-    word_counts: np.ndarray
-    log_unigram: np.ndarray
-    log_backoff: np.ndarray
     tokens: int
     types: int
-    other_tokens: int
-    other_types: int
     ratios: np.ndarray
-    log_whole: np.ndarray
-    unigrams: DataFrame
-    bigrams: DataFrame
-    limit: int
-    frequent_keys: np.ndarray
-    frequent_values: np.ndarray
-
+    unseen: float
+    hot: np.ndarray
+    hot_first: np.ndarray
+    hot_parts: np.ndarray
 
-def count_words(docs: DataFrame) -> DataFrame:
-    """word, c: stored counts of words and end marks of all rows."""
+    def share(self, counts: np.ndarray) -> np.ndarray:
+        return np.where(counts > 0, discounted(counts, self.ratios) / (self.tokens + 0.5), self.unseen)
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        seen: Counter = Counter()
-        for one in batches:
-            for text in one.column("text"):
-                seen.update(words(text.as_py()))
-                if len(seen) > _FLUSH // 2:
-                    yield sent(seen)
-                    seen = Counter()
-            seen[END_MARK] += one.num_rows
-        if seen:
-            yield sent(seen)
 
-    def sent(seen: Counter) -> pa.RecordBatch:
-        return pa.RecordBatch.from_arrays([pa.array(list(seen), type=pa.binary()), pa.array(list(seen.values()), type=pa.int64())], names=["word", "c"])
+@dataclass
+class Model:
+    """``words`` and ``grams`` are stored tables, a row per part."""
 
-    return materialise(docs.select(text_of().alias("text")).mapInArrow(run, "word binary, c long").groupBy("word").agg(F.sum("c").alias("c")), "lm-words")
+    unigrams: Unigrams
+    words: DataFrame
+    grams: DataFrame
+    two: np.ndarray
+    three: np.ndarray
 
 
-def numbered(text: str, numbers: dict[bytes, int]) -> tuple[list[bytes], np.ndarray]:
-    """A text's words, and the numbers of its words and end mark."""
-    found = words(text)
-    get = numbers.get
-    return found, np.array([*[get(w, OTHER) for w in found], END], dtype=np.uint32)
+def number_words(rows: DataFrame, parts: int) -> DataFrame:
+    """Of the WORDS rows of all blocks: NUMBERED rows (a numbers, b training counts) and a TABLE row a part (a and b words, c training counts, d the numbers), with its sums; stored.
 
+    Numbers follow the counts within a part, so that frequent words have small ones.
+    """
 
-def bigram_keys(tokens: np.ndarray) -> np.ndarray:
-    return (np.concatenate([[np.uint32(START)], tokens[:-1]]).astype(np.uint32) << np.uint32(16)) | tokens
+    def run(found: pa.Table) -> Iterator[pa.RecordBatch]:
+        part, numbers, places, every, some = found.column("part")[0].as_py(), Numbers(), [], [], []
+        columns = [found.column(c).to_pylist() for c in "abcd"]
+        for a, b, c, d in zip(*columns, strict=True):
+            listed = unpack_words(a, b)
+            places.append(np.fromiter(map(numbers.__getitem__, listed), np.int64, len(listed)))
+            every.append(unpack(c))
+            some.append(unpack(d))
+        place = np.concatenate(places)
+        n, c = (np.bincount(place, np.concatenate(x), len(numbers)).astype(np.int64) for x in (every, some))
+        order = np.lexsort((np.arange(len(n)), -c, -n))
+        ids = np.empty_like(order)
+        ids[order] = 1 + np.arange(len(order)) * parts + part
+        rows = [(b, NUMBERED, part, pack(ids[p]), pack(c[p]), None, None) for b, p in zip(found.column("block").to_pylist(), places, strict=True)]
+        rows.append((None, TABLE, part, *pack_words(list(numbers)), pack(c), pack(ids)))
+        often = np.flatnonzero(n > HOT_TOKENS)
+        sums = {"tokens": int(c.sum()), "types": int((c > 0).sum()), "small": small_counts(c), "often": ids[often].tolist(), "often_n": n[often].tolist()}
+        made = blobs_with(rows, sums)
+        for i in range(0, made.num_rows, 1000):
+            yield made.slice(i, 1000)
+
+    def blobs_with(rows: list[tuple], sums: dict) -> pa.RecordBatch:
+        made = blocks.blobs(rows)
+        wide = [pa.array([None] * (len(rows) - 1) + [sums[k]], type=t) for k, t in zip(sums, (pa.int64(), pa.int64(), *[pa.list_(pa.int64())] * 3), strict=True)]
+        return pa.RecordBatch.from_arrays([*made.columns, *wide], names=[*made.schema.names, *sums])
+
+    schema = f"{blocks._BLOB}, tokens long, types long, small array<long>, often array<long>, often_n array<long>"
+    return materialise(dealt(rows, "part", parts).groupBy("part").applyInArrow(lambda found: pa.Table.from_batches(run(found)), schema), "lm-words")
+
+
+def sum_words(numbered: DataFrame, parts: int) -> Unigrams:
+    rows = of_kind(numbered, TABLE)
+    sums = rows.agg(F.sum("tokens").alias("n"), F.sum("types").alias("v"), *[F.sum(F.get("small", F.lit(i))).alias(f"n{i + 1}") for i in range(KNOWN_RELIABLE + 1)]).first()
+    ratios = discounts({i + 1: sums[f"n{i + 1}"] or 0 for i in range(KNOWN_RELIABLE + 1)})
+    tokens, types = sums["n"] or 0, sums["v"] or 0
+    taken = sum((sums[f"n{r}"] or 0) * r * (1 - ratios[r]) for r in range(1, KNOWN_RELIABLE + 1))
+    unseen = (taken + 0.5) / (tokens + 0.5)
+    hot = sorted((i, n) for r in rows.where(F.size("often") > 0).select("often", "often_n").collect() for i, n in zip(r["often"], r["often_n"], strict=True))
+    each = np.array([-(-n // HOT_TOKENS) for _, n in hot], dtype=np.int64)
+    return Unigrams(tokens, types, ratios, unseen, np.array([i for i, _ in hot], dtype=np.int64), parts + np.cumsum(each) - each, each)
+
+
+def sorted_by(*columns: np.ndarray) -> np.ndarray:
+    """The order by the columns, the first before the second; numbers are put side by side where they fit in 63 bits."""
+    widths = [int(c.max()).bit_length() if len(c) else 0 for c in columns]
+    if sum(widths) > 63:
+        return np.lexsort(columns[::-1])
+    key = np.zeros(len(columns[0]), np.int64)
+    for c, w in zip(columns, widths, strict=True):
+        key = (key << w) | c
+    return np.argsort(key)
+
+
+def starts_of(*columns: np.ndarray) -> np.ndarray:
+    """Whether a row of sorted columns differs from the one before."""
+    new = np.zeros(len(columns[0]), bool)
+    new[:1] = True
+    for c in columns:
+        new[1:] |= c[1:] != c[:-1]
+    return new
 
 
-def count_bigrams(docs: DataFrame, numbers: dict[bytes, int]) -> DataFrame:
-    """key (first word's number times 65536 plus the second's), c, part; stored, partitioned by part of the first word."""
+@dataclass
+class Block:
+    """A block's trigrams: distinct ones in order of (middle, first, last word), and where its tokens are among them."""
+
+    lengths: np.ndarray
+    known: np.ndarray
+    counts: np.ndarray
+    order: np.ndarray
+    of_token: np.ndarray
+    middle: np.ndarray
+    first: np.ndarray
+    last: np.ndarray
+    n: np.ndarray
+    last_count: np.ndarray
+    part: np.ndarray
+
+
+def read_block(found: pa.Table, unigrams: Unigrams, parts: int) -> Block | None:
+    """``found``: a block's TEXT and NUMBERED rows, in any order, with others."""
+    kinds = found.column("kind").to_pylist()
+    if TEXT not in kinds:
+        return None
+    at = kinds.index(TEXT)
+    stream, lengths, flags = (unpack(found.column(c)[at].as_py()) for c in "abc")
+    answers = sorted((found.column("part")[i].as_py(), i) for i, k in enumerate(kinds) if k == NUMBERED)
+    none = [np.zeros(0, np.int64)]
+    ids = np.concatenate([unpack(found.column("a")[i].as_py()) for _, i in answers] or none)
+    counts = np.concatenate([unpack(found.column("b")[i].as_py()) for _, i in answers] or none)
+    # Words by their numbers; the start mark is number 0 of both.
+    by_id = np.argsort(ids)
+    small = np.empty_like(by_id)
+    small[by_id] = np.arange(1, len(ids) + 1)
+    number, count = np.concatenate([[START], ids[by_id]]), np.concatenate([[0], counts[by_id]])
+    w3 = small[stream]
+    w2, w1 = np.roll(w3, 1), np.roll(w3, 2)
+    begins = np.cumsum(lengths) - lengths
+    w2[begins] = w1[begins] = 0
+    w1[(begins + 1)[lengths > 1]] = 0
+    order = sorted_by(w2, w1, w3)
+    s2, s1, s3 = w2[order], w1[order], w3[order]
+    new = starts_of(s2, s1, s3)
+    starts = np.flatnonzero(new)
+    marked = np.repeat(flags, lengths)[order]
+    n = np.add.reduceat(marked, starts) if len(starts) else marked
+    middle, first, last = number[s2[starts]], number[s1[starts]], number[s3[starts]]
+    hashed = lambda x: ((x.astype(np.uint64) * _MIX) >> np.uint64(33)).astype(np.int64)
+    part = hashed(middle) % parts
+    if len(unigrams.hot):
+        place = np.minimum(np.searchsorted(unigrams.hot, middle), len(unigrams.hot) - 1)
+        split = unigrams.hot[place] == middle
+        part = np.where(split, unigrams.hot_first[place] + hashed(first) % unigrams.hot_parts[place], part)
+    return Block(lengths, counts[stream] > 0, counts[stream], order, np.cumsum(new) - 1, middle, first, last, n, count[s3[starts]], part)
+
+
+def by_part(part: np.ndarray) -> Iterator[tuple[int, np.ndarray]]:
+    order = np.argsort(part, kind="stable")
+    cuts = np.flatnonzero(np.diff(part[order], prepend=-1, append=-1))
+    for i, j in zip(cuts[:-1], cuts[1:], strict=True):
+        yield int(part[order[i]]), order[i:j]
+
+
+_ASK = ("middle", "first", "last", "n", "last_count")
+
+
+def count_grams(asked: DataFrame) -> DataFrame:
+    """A row per part: its distinct trigrams and their training counts, how many counts are small, and where each block's requests are among them; stored.
+
+    ``hot``: the part has some of one middle word's trigrams; ``small2`` is then null.
+    """
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        held, size = [], 0
-        for one in batches:
-            for text in one.column("text"):
-                held.append(bigram_keys(numbered(text.as_py(), numbers)[1]))
-                size += len(held[-1])
-                if size > 4 * _FLUSH:
-                    yield sent(held)
-                    held, size = [], 0
-        if held:
-            yield sent(held)
-
-    def sent(held: list[np.ndarray]) -> pa.RecordBatch:
-        keys, counts = np.unique(np.concatenate(held), return_counts=True)
-        return pa.RecordBatch.from_arrays([pa.array(keys.astype(np.int64)), pa.array(counts.astype(np.int64))], names=["key", "c"])
-
-    sums = docs.select(text_of().alias("text")).mapInArrow(run, "key long, c long").groupBy("key").agg(F.sum("c").alias("c"))
-    return materialise(sums.withColumn("part", (F.shiftright("key", 16) % 8).cast("int")), "lm-bigrams", ["part"])
-
-
-def train(docs: DataFrame) -> Model:
-    spark = docs.sparkSession
-    unigrams = count_words(docs)
-    sums = unigrams.where(F.col("word") != END_MARK).agg(F.sum("c").alias("n"), F.count("*").alias("v")).first()
-    ends = sum(r["c"] for r in unigrams.where(F.col("word") == END_MARK).collect())
-    tokens, types = (sums["n"] or 0) + ends, sums["v"] + (ends > 0)
-    small = {r["c"]: r["n"] for r in unigrams.where(F.col("c") <= KNOWN_RELIABLE + 1).groupBy("c").agg(F.count("*").alias("n")).collect()}
-    top = unigrams.where(F.col("word") != END_MARK).orderBy(F.desc("c"), "word").limit(VOCABULARY).collect()
-    numbers = {bytes(r["word"]): i + FIRST for i, r in enumerate(top)}
-    counts = np.array([0, ends, 0, *(r["c"] for r in top)], dtype=np.int64)
-    other_tokens, other_types = int(tokens - counts.sum()), int(types - (ends > 0) - len(top))
-    share = discounted(counts, discounts(small)) / (tokens + 0.5)
-    if not ends:
-        share[END] = 0.5
-    share[OTHER] = max(1.0 - share.sum(), 1e-12)
-    share[START] = 0.0
-
-    bigrams = count_bigrams(docs, numbers)
-    ratios = discounts({r["c"]: r["n"] for r in bigrams.where(F.col("c") <= KNOWN_RELIABLE + 1).groupBy("c").agg(F.count("*").alias("n")).collect()})
-    size = len(counts)
-
-    def by_context(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        total, kept, known = np.zeros(size), np.zeros(size), np.zeros(size)
-        for one in batches:
-            key, c = one.column("key").to_numpy(), one.column("c").to_numpy()
-            first, second = key >> 16, key & 0xFFFF
-            total += np.bincount(first, c, size)
-            kept += np.bincount(first, discounted(c, ratios), size)
-            known += np.bincount(first, share[second], size)
-        at = np.flatnonzero(total)
-        yield pa.RecordBatch.from_arrays([pa.array(at), *(pa.array(x[at]) for x in (total, kept, known))], names=["first", "total", "kept", "known"])
-
-    total, kept, known = np.zeros(size), np.zeros(size), np.zeros(size)
-    contexts = bigrams.select("key", "c").mapInArrow(by_context, "first long, total double, kept double, known double")
-    for r in contexts.groupBy("first").agg(F.sum("total").alias("total"), F.sum("kept").alias("kept"), F.sum("known").alias("known")).collect():
-        total[r["first"]], kept[r["first"]], known[r["first"]] = r["total"], r["kept"], r["known"]
-    # All words seen after a context: its followers share everything, and none is left to back off to.
+    def run(found: pa.Table) -> pa.Table:
+        packed = [found.column(c).to_pylist() for c in _ASK]
+        sizes, columns = [], []
+        for one in packed:
+            arrays = [unpack(x) for x in one]
+            sizes = [len(x) for x in arrays]
+            columns.append(np.concatenate(arrays))
+        middle = columns[0] = np.concatenate([np.cumsum(x) for x in np.split(columns[0], np.cumsum(sizes)[:-1])])
+        listed, rank = np.unique(middle, return_inverse=True)
+        order = sorted_by(rank, columns[1], columns[2])
+        new = starts_of(*(c[order] for c in (rank, columns[1], columns[2])))
+        starts = np.flatnonzero(new)
+        first, last, last_count = (columns[i][order][starts] for i in (1, 2, 4))
+        n = np.add.reduceat(columns[3][order], starts)
+        rank = rank[order][starts]
+        place = np.empty(len(order), np.int64)
+        place[order] = np.cumsum(new) - 1
+        hot = bool(found.column("hot")[0].as_py())
+        pairs, of_pair = pairs_of(rank, last)
+        n2 = np.bincount(of_pair, n, len(pairs)).astype(np.int64)
+        row = {
+            "part": found.column("part")[0].as_py(),
+            "hot": hot,
+            "middle": pack(np.diff(listed[rank], prepend=0)),
+            "first": pack(first),
+            "last": pack(last),
+            "n": pack(n),
+            "last_count": pack(last_count),
+            "blocks": found.column("block").to_pylist(),
+            "places": [pack(np.diff(x, prepend=0)) for x in np.split(place, np.cumsum(sizes)[:-1])],
+            "small3": small_counts(n),
+            "small2": None if hot else small_counts(n2),
+        }
+        return pa.Table.from_pylist([row], schema=shape)
+
+    many = pa.list_(pa.int64())
+    binary = {c: pa.binary() for c in ("middle", "first", "last", "n", "last_count")}
+    shape = pa.schema({"part": pa.int32(), "hot": pa.bool_(), **binary, "blocks": many, "places": pa.list_(pa.binary()), "small3": many, "small2": many})
+    schema = "part int, hot boolean, middle binary, first binary, last binary, n binary, last_count binary, blocks array<long>, places array<binary>, small3 array<long>, small2 array<long>"
+    return materialise(asked.groupBy("part").applyInArrow(run, schema), "lm-grams")
+
+
+def pairs_of(rank: np.ndarray, last: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Of trigrams by (middle, last): a trigram of each bigram, and the bigram of each trigram."""
+    order = sorted_by(rank, last)
+    new = starts_of(rank[order], last[order])
+    of = np.empty(len(order), np.int64)
+    of[order] = np.cumsum(new) - 1
+    return order[new], of
+
+
+def weights(total: np.ndarray, kept: np.ndarray, known: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """What a context's discounted counts are divided by, and its backoff weight; ``known``: its followers' probability one order lower."""
+    # All that the lower order knows was seen here: its followers share everything, and none is left to back off to.
     closed = (total > 0) & (1 - known < 1e-9)
     whole = np.where(closed, kept, total + np.where(total - kept < 1e-9, 0.5, 0.0))
     with np.errstate(divide="ignore", invalid="ignore"):
-        weight = np.where(total > 0, np.where(closed, 1e-30, (1 - kept / whole) / (1 - known)), 1.0)
-        log_backoff, log_unigram, log_whole = np.log10(weight), np.log10(share), np.log10(whole)
-    log_unigram[START] = 0.0
-
-    spread = sorted(((r["c"], r["n"]) for r in bigrams.groupBy(F.least("c", F.lit(1 << 20)).alias("c")).agg(F.count("*").alias("n")).collect()), reverse=True)
-    limit, held = 1 << 62, 0
-    for c, n in spread:
-        if held + n > FREQUENT:
-            break
-        limit, held = c, held + n
-    found = bigrams.where(F.col("c") >= limit).select("key", "c").toArrow()
-    keys, seen = found.column("key").to_numpy(), found.column("c").to_numpy()
-    order = np.argsort(keys)
-    corrections = correction(keys[order], seen[order], ratios, log_whole, log_backoff, log_unigram)
-    return Model(numbers, counts, log_unigram, log_backoff, int(tokens), int(types), other_tokens, other_types, ratios, log_whole, unigrams, bigrams, limit, keys[order].astype(np.uint32), corrections.astype(np.float32))
-
-
-def correction(keys, counts, ratios, log_whole, log_backoff, log_unigram) -> np.ndarray:
-    """What a seen bigram has beyond backing off."""
-    first, second = keys >> 16, keys & 0xFFFF
-    return np.log10(discounted(counts, ratios)) - log_whole[first] - log_backoff[first] - log_unigram[second]
-
-
-#: Numbers in a packed column: sorted, as differences, deflated.
-def packed(keys: np.ndarray, values: np.ndarray) -> tuple[bytes, bytes]:
-    order = np.argsort(keys, kind="stable")
-    steps = np.diff(keys[order].astype(np.int64), prepend=0).astype("<u4")
-    planes = lambda x: x.view(np.uint8).reshape(-1, 4).T.tobytes()  # noqa: E731  like bytes side by side deflate well
-    return zlib.compress(planes(steps), 1), zlib.compress(planes(values[order].astype("<u4")), 1)
-
-
-def unpacked(keys: bytes, values: bytes) -> tuple[np.ndarray, np.ndarray]:
-    back = lambda b: np.frombuffer(zlib.decompress(b), np.uint8).reshape(4, -1).T.copy().view("<u4").ravel()
-    return np.cumsum(back(keys), dtype=np.int64), back(values)
-
-
-def shares_of(keys: np.ndarray, parts: int) -> np.ndarray:
-    """The group that each bigram belongs to: a hash, so that no first word has a group of its own."""
-    return ((keys.astype(np.uint64) * np.uint64(0x9E3779B97F4A7C15)) >> np.uint64(40)) % np.uint64(parts)
-
-
-def score(docs: DataFrame, model: Model, kept: list[str]) -> DataFrame:
-    """The ``kept`` columns of each row, with n_tokens, n_known, base_score and score."""
-    spark = docs.sparkSession
-    numbers, log_unigram, log_backoff = model.numbers, model.log_unigram, model.log_backoff
-    frequent_keys, frequent_values = model.frequent_keys, model.frequent_values
-    base_total = model.tokens + 0.5 * (model.types + 1)
-    log_base = np.log10((model.word_counts + 0.5) / base_total)
-    log_base[[START, OTHER]] = 0.0
-    is_known = (model.word_counts > 0).astype(np.int64)
-    parts = int(spark.conf.get("spark.sql.shuffle.partitions"))
-    schema = ", ".join(f"{c} {docs.schema[c].dataType.simpleString()}" for c in kept)
-    own = "row_id long, n_tokens long, known long, base double, backed double, rare array<binary>"
-    asks = "part int, first_id long, keys binary, ids binary"
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        """Rows of documents (part null), and of packed requests of some documents (row_id null)."""
-        row_id = TaskContext.get().partitionId() << 36
-        first_id, waiting, size = row_id, [], 0
-        names = [*kept, *(f.split()[0] for f in f"{own}, {asks}".split(", "))]
-
-        def made(columns: dict, n: int) -> pa.RecordBatch:
-            return pa.RecordBatch.from_arrays([columns[c] if c in columns else pa.nulls(n, kinds[c]) for c in names], names=names)
-
-        def requests() -> pa.RecordBatch | None:
-            nonlocal first_id, waiting, size
-            keys = np.concatenate([k for _, k in waiting]) if waiting else np.zeros(0, np.uint32)
-            ids = np.concatenate([np.full(len(k), i - first_id, np.uint32) for i, k in waiting]) if waiting else keys
-            start, first_id, waiting, size = first_id, row_id, [], 0
-            if not len(keys):
-                return None
-            part = shares_of(keys, parts)
-            order = np.argsort(part, kind="stable")
-            cuts = np.flatnonzero(np.diff(part[order], prepend=-1))
-            rows = [(int(part[o[0]]), start, *packed(keys[o], ids[o])) for o in np.split(order, cuts[1:])]
-            return made({c: pa.array(v, type=kinds[c]) for c, v in zip(("part", "first_id", "keys", "ids"), zip(*rows, strict=True), strict=True)}, len(rows))
-
-        kinds = {"row_id": pa.int64(), "n_tokens": pa.int64(), "known": pa.int64(), "base": pa.float64(), "backed": pa.float64(), "rare": pa.list_(pa.binary()), "part": pa.int32(), "first_id": pa.int64(), "keys": pa.binary(), "ids": pa.binary()}
-        for batch in batches:
-            kinds |= {c: batch.schema.field(c).type for c in kept}
-            for begin in range(0, batch.num_rows, 1000):
-                one = batch.slice(begin, 1000)
-                rows = []
-                for text in one.column("text"):
-                    found, tokens = numbered(text.as_py(), numbers)
-                    keys = bigram_keys(tokens)
-                    backed = log_backoff[keys >> 16].sum() + log_unigram[tokens].sum()
-                    if len(frequent_keys):
-                        at = np.minimum(np.searchsorted(frequent_keys, keys), len(frequent_keys) - 1)
-                        hit = frequent_keys[at] == keys
-                        backed += frequent_values[at[hit]].sum(dtype=np.float64)
-                        keys = keys[~hit]
-                    waiting.append((row_id, keys))
-                    size += len(keys)
-                    rows.append((row_id, len(tokens), int(is_known[tokens].sum()), float(log_base[tokens].sum()), float(backed), [found[i] for i in np.flatnonzero(tokens == OTHER)]))
-                    row_id += 1
-                columns = dict(zip(("row_id", "n_tokens", "known", "base", "backed", "rare"), zip(*rows, strict=True), strict=True))
-                yield made({c: one.column(c) for c in kept} | {c: pa.array(v, type=kinds[c]) for c, v in columns.items()}, len(rows))
-                if size > _FLUSH and (asked := requests()) is not None:
-                    yield asked
-        if (asked := requests()) is not None:
-            yield asked
-
-    texts = docs.select(*kept, text_of().alias("text"))
-    both = materialise(texts.mapInArrow(run, f"{schema}, {own}, {asks}"), "lm-first-scores")
-    first = both.where("part IS NULL").drop("part", "first_id", "keys", "ids")
-    asked = both.where("part IS NOT NULL").select("part", "first_id", "keys", "ids")
-
-    def deal(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        """Bigrams and their counts, packed like the requests."""
+        return whole, np.where(total > 0, np.where(closed, 1e-30, (1 - kept / whole) / (1 - known)), 1.0)
+
+
+def backed_off(context: np.ndarray, n: np.ndarray, lower: np.ndarray, ratios: np.ndarray, sums: tuple | None = None) -> np.ndarray:
+    """The probability of each n-gram of a part, from its count and its probability one order lower.
+
+    ``sums``: total, kept and known of the contexts, where not all of their n-grams are here.
+    """
+    held = discounted(n, ratios)
+    size = int(context.max()) + 1 if len(context) else 0
+    total, kept, known = sums or (np.bincount(context, x, size) for x in (n, held, np.where(n > 0, lower, 0.0)))
+    whole, weight = weights(total, kept, known)
+    with np.errstate(divide="ignore", invalid="ignore"):
+        return np.where(n > 0, held / whole[context], weight[context] * lower)
+
+
+def stored_grams(row: dict) -> tuple[np.ndarray, ...]:
+    middle = np.cumsum(unpack(row["middle"]))
+    return (middle, *(unpack(row[c]) for c in ("first", "last", "n", "last_count")))
+
+
+def evaluate(row: dict, unigrams: Unigrams, two: np.ndarray, three: np.ndarray, hot: tuple | None = None) -> np.ndarray:
+    """The probabilities of a part's trigrams.  ``hot``: for its bigrams in order, their counts, and the sums of their one context."""
+    middle, first, last, n, last_count = stored_grams(row)
+    rank = np.cumsum(starts_of(middle)) - 1
+    pairs, of_pair = pairs_of(rank, last)
+    n2 = hot[0] if hot else np.bincount(of_pair, n, len(pairs)).astype(np.int64)
+    lower = backed_off(rank[pairs], n2, unigrams.share(last_count[pairs]), two, hot[1] if hot else None)
+    return backed_off(np.cumsum(starts_of(middle, first)) - 1, n, lower[of_pair], three)
+
+
+def answers(row: dict, value: np.ndarray) -> pa.Table:
+    with np.errstate(divide="ignore"):
+        logs = np.log10(value).astype("<f4")
+    rows = [(b, SCORED, row["part"], logs[np.cumsum(unpack(p))].tobytes(), None, None, None) for b, p in zip(row["blocks"], row["places"], strict=True)]
+    return pa.Table.from_batches([blocks.blobs(rows)])
+
+
+def train(asked: DataFrame, unigrams: Unigrams, numbered: DataFrame) -> tuple[Model, DataFrame]:
+    """The model, and the SCORED rows for the blocks that asked."""
+    grams = count_grams(asked)
+    sums = grams.agg(*[F.sum(F.get(f"small{o}", F.lit(i))).alias(f"o{o}n{i + 1}") for o in (2, 3) for i in range(KNOWN_RELIABLE + 1)]).first()
+    small = {o: {i + 1: sums[f"o{o}n{i + 1}"] or 0 for i in range(KNOWN_RELIABLE + 1)} for o in (2, 3)}
+    three = discounts(small[3])
+    split = None
+    if len(unigrams.hot):
+        split = hot_pairs(grams, small[2])
+    two = discounts(small[2])
+
+    def score(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for one in batches:
+            for i in range(one.num_rows):
+                row = one.slice(i, 1).to_pylist()[0]
+                yield from answers(row, evaluate(row, unigrams, two, three)).to_batches(1000)
+
+    scored = grams.where("NOT hot").mapInArrow(score, blocks._BLOB)
+    if split is not None:
+        scored = scored.union(hot_scores(grams, split, unigrams, two, three))
+    return Model(unigrams, of_kind(numbered, TABLE), grams, two, three), scored
+
+
+def hot_pairs(grams: DataFrame, small: dict[int, int]) -> DataFrame:
+    """The bigrams of the split middle words: part, middle, last, c1 (the last word's count) and n over all parts; their small counts go into ``small``."""
+
+    def listed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for one in batches:
+            for i in range(one.num_rows):
+                row = one.slice(i, 1).to_pylist()[0]
+                middle, _, last, n, last_count = stored_grams(row)
+                pairs, of_pair = pairs_of(np.zeros_like(middle), last)
+                n2 = np.bincount(of_pair, n, len(pairs)).astype(np.int64)
+                columns = [np.full(len(pairs), row["part"], np.int32), middle[pairs], last[pairs], n2, last_count[pairs]]
+                yield pa.RecordBatch.from_arrays([pa.array(c) for c in columns], names=["part", "middle", "last", "here", "c1"])
+
+    here = grams.where("hot").mapInArrow(listed, "part int, middle long, last long, here long, c1 long")
+    here = materialise(here, "lm-hot-pairs")
+    total = here.groupBy("middle", "last").agg(F.sum("here").alias("n"))
+    found = materialise(here.drop("here").join(total, ["middle", "last"]), "lm-hot-counts")
+    once = found.where(F.col("n").between(1, KNOWN_RELIABLE + 1)).select("middle", "last", "n").distinct()
+    for r in once.groupBy("n").agg(F.count("*").alias("many")).collect():
+        small[r["n"]] = small.get(r["n"], 0) + r["many"]
+    return found
+
+
+def hot_scores(grams: DataFrame, split: DataFrame, unigrams: Unigrams, two: np.ndarray, three: np.ndarray) -> DataFrame:
+    """SCORED rows of the parts of split middle words, whose bigram counts and sums come from ``split``."""
+
+    def summed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for one in batches:
-            keys, c = one.column("key").to_numpy().astype(np.uint32), np.minimum(one.column("c").to_numpy(), 0xFFFFFFFF)
-            part = shares_of(keys, parts)
-            order = np.argsort(part, kind="stable")
-            cuts = np.flatnonzero(np.diff(part[order], prepend=-1))
-            rows = [(int(part[o[0]]), *packed(keys[o], c[o])) for o in np.split(order, cuts[1:])]
-            cols = list(zip(*rows, strict=True))
-            yield pa.RecordBatch.from_arrays([pa.array(cols[0], type=pa.int32()), pa.array(cols[1], type=pa.binary()), pa.array(cols[2], type=pa.binary())], names=["part", "keys", "counts"])
-
-    counts = model.bigrams.where(F.col("c") < model.limit).select("key", "c").mapInArrow(deal, "part int, keys binary, counts binary")
-    ratios, log_whole = model.ratios, model.log_whole
-
-    def meet(wanted: pa.Table, there: pa.Table) -> pa.Table:
-        pairs = [unpacked(k, v) for k, v in zip(there.column("keys").to_pylist(), there.column("counts").to_pylist(), strict=True)]
-        keys = np.concatenate([k for k, _ in pairs]) if pairs else np.zeros(0, np.int64)
-        values = np.concatenate([v for _, v in pairs]).astype(np.int64) if pairs else keys
-        order = np.argsort(keys)
-        keys, values = keys[order], values[order]
-        value = correction(keys, values, ratios, log_whole, log_backoff, log_unigram)
-        starts, ids, sums = [], [], []
-        for start, k, v in zip(*(wanted.column(c).to_pylist() for c in ("first_id", "keys", "ids")), strict=True):
-            if not len(keys):
-                break
-            need, who = unpacked(k, v)
-            at = np.minimum(np.searchsorted(keys, need), len(keys) - 1)
-            hit = keys[at] == need
-            if hit.any():
-                some, place = np.unique(who[hit], return_inverse=True)
-                starts.append(start)
-                ids.append(some.astype("<u4").tobytes())
-                sums.append(np.bincount(place, value[at[hit]]).tobytes())
-        return pa.table({"first_id": pa.array(starts, pa.int64()), "ids": pa.array(ids, pa.binary()), "sums": pa.array(sums, pa.binary())})
+            middle, n, c1 = (one.column(c).to_numpy() for c in ("middle", "n", "c1"))
+            listed, rank = np.unique(middle, return_inverse=True)
+            sums = [np.bincount(rank, x, len(listed)) for x in (n, discounted(n, two), np.where(n > 0, unigrams.share(c1), 0.0))]
+            yield pa.RecordBatch.from_arrays([pa.array(listed), *(pa.array(x.astype(float)) for x in sums)], names=["middle", "total", "kept", "known"])
+
+    once = split.groupBy("middle", "last").agg(F.first("n").alias("n"), F.first("c1").alias("c1"))
+    sums = once.select("middle", "n", "c1").mapInArrow(summed, "middle long, total double, kept double, known double")
+    # A row for each split word, of which there are at most tokens / HOT_TOKENS.
+    of_word = {r["middle"]: (r["total"], r["kept"], r["known"]) for r in sums.groupBy("middle").agg(*[F.sum(c).alias(c) for c in ("total", "kept", "known")]).collect()}
+
+    def score(found: pa.Table, pairs: pa.Table) -> pa.Table:
+        made = [pa.Table.from_batches([blocks.blobs([])])]
+        for row in found.to_pylist():
+            middle = int(np.cumsum(unpack(row["middle"]))[0])
+            order = np.argsort(pairs.column("last").to_numpy())
+            n2 = pairs.column("n").to_numpy()[order]
+            made.append(answers(row, evaluate(row, unigrams, two, three, (n2, tuple(np.array([x]) for x in of_word[middle])))))
+        return pa.concat_tables(made)
+
+    pairs = split.select("part", "last", "n")
+    return grams.where("hot").groupBy("part").cogroup(pairs.groupBy("part")).applyInArrow(score, blocks._BLOB)
+
+
+def score(docs: DataFrame, kept: list[str], learns: Column) -> tuple[DataFrame, Model]:
+    """The ``kept`` columns of each row, with n_tokens, n_known, base_score and score, and the model learnt from the rows where ``learns`` is true."""
+    parts = blocks.parts_for(docs)
+    made = blocks.cut(docs, kept, F.coalesce(learns, F.lit(False)), words, parts, "lm-blocks")
+    numbered = number_words(blob_rows(made, WORDS), parts)
+    unigrams = sum_words(numbered, parts)
+    everything = parts + int(unigrams.hot_parts.sum())
+    known = blob_rows(made, TEXT).union(blob_rows(numbered, NUMBERED))
+
+    def ask(found: pa.Table) -> pa.Table:
+        block = read_block(found, unigrams, parts)
+        if block is None:
+            return shape.empty_table()
+        rows = []
+        for part, of in by_part(block.part):
+            columns = [np.diff(block.middle[of], prepend=0), *(getattr(block, c)[of] for c in _ASK[1:])]
+            rows.append((found.column("block")[0].as_py(), part, part >= parts, *map(pack, columns)))
+        return pa.Table.from_arrays([pa.array(c, type=f.type) for c, f in zip(zip(*rows, strict=True), shape, strict=True)], schema=shape)
+
+    shape = pa.schema({"block": pa.int64(), "part": pa.int32(), "hot": pa.bool_(), **{c: pa.binary() for c in _ASK}})
+    asked = dealt(known, "block", parts).groupBy("block").applyInArrow(ask, "block long, part int, hot boolean, " + ", ".join(f"{c} binary" for c in _ASK))
+    model, scored = train(dealt(asked, "part", everything), unigrams, numbered)
+    base_total = unigrams.tokens + 0.5 * (unigrams.types + 1)
 
     def total(found: pa.Table) -> pa.Table:
-        """The sums of a block of documents over all groups of bigrams."""
-        start = found.column("first_id")[0].as_py()
-        ids = np.concatenate([np.frombuffer(x, "<u4") for x in found.column("ids").to_pylist()])
-        sums = np.concatenate([np.frombuffer(x) for x in found.column("sums").to_pylist()])
-        some, place = np.unique(ids, return_inverse=True)
-        return pa.table({"row_id": some.astype(np.int64) + start, "seen": np.bincount(place, sums)})
-
-    met = asked.groupBy("part").cogroup(counts.groupBy("part")).applyInArrow(meet, "first_id long, ids binary, sums binary")
-    seen = met.groupBy("first_id").applyInArrow(total, "row_id long, seen double")
-    rare = first.select("row_id", F.explode("rare").alias("word")).join(model.unigrams, "word", "left").withColumn("c", F.coalesce("c", F.lit(0)))
-    other_total = model.other_tokens + 0.5 * (model.other_types + 1)
-    rare = rare.groupBy("row_id").agg(
-        F.sum(F.log10((F.col("c") + 0.5) / base_total)).alias("rare_base"),
-        F.sum(F.log10((F.col("c") + 0.5) / other_total)).alias("rare_share"),
-        F.sum((F.col("c") > 0).cast("long")).alias("rare_known"),
-    )
-    whole = first.drop("rare").join(seen, "row_id", "left").join(rare, "row_id", "left")
-    zero = lambda c: F.coalesce(c, F.lit(0))
-    return whole.select(
-        *kept,
-        "n_tokens",
-        (F.col("known") + zero("rare_known")).alias("n_known"),
-        (F.col("base") + zero("rare_base")).alias("base_score"),
-        (F.col("backed") + zero("seen") + zero("rare_share")).alias("score"),
-    )
+        block = read_block(found, unigrams, parts)
+        if block is None:
+            return sums.empty_table()
+        value = np.zeros(len(block.part))
+        told = {found.column("part")[i].as_py(): i for i, k in enumerate(found.column("kind").to_pylist()) if k == SCORED}
+        for part, of in by_part(block.part):
+            value[of] = np.frombuffer(found.column("a")[told[part]].as_py(), "<f4")
+        docs_ = len(block.lengths)
+        doc = np.repeat(np.arange(docs_), block.lengths)
+        columns = [
+            np.full(docs_, found.column("block")[0].as_py()),
+            np.arange(docs_, dtype=np.int32),
+            block.lengths,
+            np.bincount(doc, block.known, docs_).astype(np.int64),
+            np.bincount(doc, np.log10((block.counts + 0.5) / base_total), docs_),
+            np.bincount(doc[block.order], value[block.of_token], docs_),
+        ]
+        return pa.Table.from_arrays([pa.array(c, type=f.type) for c, f in zip(columns, sums, strict=True)], schema=sums)
+
+    sums = pa.schema({"block": pa.int64(), "part": pa.int32(), "n_tokens": pa.int64(), "n_known": pa.int64(), "base_score": pa.float64(), "score": pa.float64()})
+    whole = dealt(known.union(scored), "block", parts).groupBy("block").applyInArrow(total, "block long, part int, n_tokens long, n_known long, base_score double, score double")
+    heads = of_kind(made, blocks.DOC).select(*kept, "block", "part")
+    return heads.join(whole, ["block", "part"]).select(*kept, "n_tokens", "n_known", "base_score", "score"), model
 
 
 def held_out() -> Column:
@@ -363,7 +465,5 @@ def held_out() -> Column:
 
 
 def op4_katz(spark: SparkSession, sf_dir: str) -> DataFrame:
-    docs = table(spark, sf_dir, "documents")
-    model = train(docs.where(~held_out()))
-    scored = score(docs.select("doc_id", "text"), model, ["doc_id"])
-    return scored.select("doc_id", held_out().alias("held_out"), "n_tokens", "n_known", F.lit(model.tokens).cast("long").alias("train_tokens"), "base_score", "score")
+    scored, model = score(table(spark, sf_dir, "documents").select("doc_id", "text"), ["doc_id"], ~held_out())
+    return scored.select("doc_id", held_out().alias("held_out"), "n_tokens", "n_known", F.lit(model.unigrams.tokens).cast("long").alias("train_tokens"), "base_score", "score")

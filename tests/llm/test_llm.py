@@ -10,7 +10,7 @@ import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
-from outline_engine.llm import bpe, chat, classifier, components, fingerprints, katz, packing, quality_rules, rollups, simhash, warc
+from outline_engine.llm import blocks, bpe, chat, classifier, components, fingerprints, katz, packing, quality_rules, rollups, simhash, warc
 from outline_engine.llm.storage import scratch, table
 from outline_engine.llm.vocabularies import default_path, rank_file_encoder
 
@@ -137,62 +137,65 @@ def test_bpe_is_tiktoken(spark, odd, empty):
 
 
 # Language model.
-def test_katz_is_brute_force_and_normalised(spark, monkeypatch):
-    monkeypatch.setattr(katz, "VOCABULARY", 25)
-    monkeypatch.setattr(katz, "FREQUENT", 30)
+@pytest.mark.parametrize("hot", [10**9, 40])
+def test_katz_is_brute_force_and_normalised(spark, monkeypatch, hot):
+    for name, value in (("BLOCK_TOKENS", 700), ("PART_BYTES", 2500)):
+        monkeypatch.setattr(blocks, name, value)
+    monkeypatch.setattr(katz, "HOT_TOKENS", hot)
     rng = random.Random(4)
     vocab = [f"w{i}" for i in range(60)]
-    docs = [(i, " ".join(rng.choices(vocab, weights=[1 / (k + 1) for k in range(60)], k=rng.randint(0, 40)))) for i in range(150)] + [(500, "never seen words w0"), (501, None)]
+    docs = [(i, " ".join(rng.choices(vocab, weights=[1 / (k + 1) for k in range(60)], k=rng.randint(0, 40)))) for i in range(150)] + [(500, "never seen words W0"), (501, None)]
     df = spark.createDataFrame(docs, "doc_id long, text string")
-    learnt = df.where("doc_id < 120")
-    model = katz.train(learnt)
-    got = {r["doc_id"]: r for r in katz.score(df, model, ["doc_id"]).collect()}
-    train = [(t or "").split() + ["<end>"] for i, t in docs if i < 120]
+    scored, model = katz.score(df, ["doc_id"], F.col("doc_id") < 120)
+    got = {r["doc_id"]: r for r in scored.collect()}
+    assert (len(model.unigrams.hot) > 3) == (hot == 40) and model.grams.where("hot").isEmpty() == (hot != 40)
+    tokens = {i: [*(t or "").lower().split(), "<end>"] for i, t in docs}
+    train = [tokens[i] for i in range(120)]
     c = Counter(w for d in train for w in d)
     n, v = sum(c.values()), len(c)
-    kept = {w for w in sorted((w for w in c if w != "<end>"), key=lambda w: (-c[w], w))[:25]} | {"<end>"}
-    name = lambda w: w if w in kept else None
-    after = defaultdict(Counter)
+    after = [None, c, defaultdict(Counter), defaultdict(Counter)]
     for d in train:
-        for a, b in zip(["<s>", *map(name, d[:-1])], map(name, d), strict=True):
-            after[a][b] += 1
-    one = katz.discounts(Counter(x for x in c.values() if x <= 6))
-    two = katz.discounts(Counter(x for f in after.values() for x in f.values() if x <= 6))
-    cut = lambda x, r: x * r[x] if x <= 5 else x
-    uni = {w: cut(c[w], one) / (n + 0.5) for w in kept}
-    uni[None] = 1 - sum(uni.values())
-    other_n, other_v = n - sum(c[w] for w in kept), v - len(kept)
-
-    def prob(a, w):
-        b = name(w)
-        share = 1.0 if b else (c[w] + 0.5) / (other_n + 0.5 * (other_v + 1))
-        f = after.get(a)
+        for x, y, z in zip(["<s>", "<s>", *d], ["<s>", *d], d):
+            after[2][y][z] += 1
+            after[3][x, y][z] += 1
+    ratios = [None, katz.discounts(Counter(x for x in c.values() if x <= 6)), *(katz.discounts(Counter(x for f in after[o].values() for x in f.values() if x <= 6)) for o in (2, 3))]
+    cut = lambda x, order: x * ratios[order][x] if x <= 5 else x
+    unseen = 1 - sum(cut(x, 1) for x in c.values()) / (n + 0.5)
+
+    def prob(order, context, w):
+        if order == 1:
+            return cut(c[w], 1) / (n + 0.5) if w in c else unseen
+        lower = lambda x: prob(order - 1, context[1:], x)
+        f = after[order].get(context if order == 3 else context[0])
         if not f:
-            return uni[b] * share
-        held = sum(cut(x, two) for x in f.values())
-        left = 1 - sum(uni[x] for x in f)
+            return lower(w)
+        held, left = sum(cut(x, order) for x in f.values()), 1 - sum(map(lower, f))
         whole = held if left < 1e-9 else sum(f.values()) + (0.5 if sum(f.values()) - held < 1e-9 else 0)
-        if b in f:
-            return cut(f[b], two) / whole * share
-        return (1 - held / whole) / left * uni[b] * share
-
-    for i, t in docs:
-        tokens = (t or "").split() + ["<end>"]
-        want = sum(math.log10(prob(a, b)) for a, b in zip(["<s>", *map(name, tokens[:-1])], tokens, strict=True))
-        base = sum(math.log10((c[w] + 0.5) / (n + 0.5 * (v + 1))) for w in tokens)
+        return cut(f[w], order) / whole if w in f else (1 - held / whole) / left * lower(w)
+
+    for i, d in tokens.items():
+        want = sum(math.log10(prob(3, (x, y), z)) for x, y, z in zip(["<s>", "<s>", *d], ["<s>", *d], d))
+        base = sum(math.log10((c[w] + 0.5) / (n + 0.5 * (v + 1))) for w in d)
         r = got[i]
         assert r["score"] == pytest.approx(want, abs=1e-4) and r["base_score"] == pytest.approx(base, abs=1e-6)
-        assert (r["n_tokens"], r["n_known"]) == (len(tokens), sum(w in c for w in tokens))
-    for a in list(after)[:8]:
-        total = sum(prob(a, w) for w in c) + prob(a, "unheard-of")
+        assert (r["n_tokens"], r["n_known"]) == (len(d), sum(w in c for w in d))
+    for context in [*list(after[3])[:8], ("<s>", "<s>"), ("w0", "w1"), ("unheard-of", "w3")]:
+        total = sum(prob(3, context, w) for w in c) + prob(3, context, "unheard-of")
         assert total == pytest.approx(1.0, abs=1e-9)
 
 
 def test_katz_odd_rows(spark, odd, empty):
-    assert katz.score(odd, katz.train(odd), ["doc_id"]).count() == len(ODD)
-    none = katz.score(odd, katz.train(empty), ["doc_id"]).collect()
-    assert all(r["n_known"] == 0 and math.isfinite(r["score"]) for r in none)
-    assert katz.score(empty, katz.train(odd), ["doc_id"]).count() == 0
+    assert katz.score(odd, ["doc_id"], F.lit(True))[0].count() == len(ODD)
+    none = katz.score(odd, ["doc_id", "row"], F.col("n_chars") < 0)[0].collect()
+    assert len(none) == len(ODD) and all(r["n_known"] == 0 and r["score"] == 0 and r["row"] == "x" for r in none)
+    assert katz.score(empty, ["doc_id"], F.lit(True))[0].count() == 0
+
+
+def test_packed_numbers():
+    for x in ([], [0], [255, 256, 0], [2**40, 3], [2**62]):
+        assert blocks.unpack(blocks.pack(np.array(x, dtype=np.int64))).tolist() == x
+    words = [b"a", b"", b"\n b", "é".encode()]
+    assert blocks.unpack_words(*blocks.pack_words(words)) == words and blocks.unpack_words(*blocks.pack_words([])) == []
 
 
 # Quality rules.
