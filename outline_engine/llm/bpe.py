@@ -5,20 +5,23 @@ one-byte pieces; a fold merges, step by step, the adjacent pair of least rank, l
 map of ranks, until no pair has one.  Bytes are held as the characters of the same number, so pieces
 are strings.  The literal is an array of small maps by hash, so a look-up reads one or two keys.
 
-The fold runs over the distinct words of the whole corpus, of which the most frequent, ``DICTIONARY``
-at most, then go to the tasks that read the texts; there a text's ids are its words' ids in order.
-Words beyond that bound are rare: tasks fold them by the same ranks, and remember them.  A word of over
-``LONGEST`` bytes would make a fold quadratic; ``tiktoken`` merges those.  Whatever the dictionary
-holds, the ids are the same.  No text is moved.  Decoding concatenates the pieces of the ids.
-
-Defined cases: a null or empty text has no ids and decodes to no bytes; repeated rows are encoded
-alike; null ids of documents are carried; an empty table gives an empty result; other columns are
-never read.
+The fold runs over every distinct word of the corpus, once.  Texts are cut once, into blocks (see
+``blocks``), which ask for the ids of their distinct words part by part; a text's ids are those of its
+words in order.  Nothing that grows with the corpus is broadcast or held by a worker, and no text is
+moved.  Decoding concatenates the binary pieces of the ids.
+
+A fold copies a word's pieces at every step, so its cost is the square of the word's length.  Words of
+over ``LONGEST`` bytes are merged by the same ranks in the same order with a heap instead.
+
+Defined cases: a null or empty text has no ids and decodes to no bytes; a very long text is one block;
+repeated rows are encoded alike; null ids of documents are carried; an empty table gives an empty
+result; other columns are never read.
 """
 
 from __future__ import annotations
 
 import hashlib
+import heapq
 import json
 import re
 from collections.abc import Iterator
@@ -28,34 +31,24 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from outline_engine.llm.columns import let, text_of
+from outline_engine.llm import blocks
+from outline_engine.llm.blocks import TEXT, WORDS, blob_rows, dealt, of_kind, pack, unpack, unpack_words
+from outline_engine.llm.columns import let
 from outline_engine.llm.storage import materialise, table
-from outline_engine.llm.vocabularies import default_path, rank_file_encoder, read_ranks
+from outline_engine.llm.vocabularies import default_path, read_ranks
 
 VOCABULARY = "byte_bpe_multi_50k.tiktoken"
-DICTIONARY = 1_000_000
-LONGEST = 256
+LONGEST = 1024
 _NONE = 2**31 - 1
 _RANK_SLOTS = 1 << 16
-#: Words that a worker remembers beside the dictionary before it starts anew.
-_MEMO = 100_000
+#: A further kind of rows: a part's answer to a block.
+ENCODED = 3
 #: White space as Unicode has it, which the pattern's \s means.
 _SPACE = r"\t-\r\x20\x85\xA0\x{1680}\x{2000}-\x{200A}\x{2028}\x{2029}\x{202F}\x{205F}\x{3000}"
 
 _PYTHON_SPACE = re.sub(r"\\x\{(\w+)\}", lambda m: chr(int(m[1], 16)), _SPACE)
 
 
-def java_pattern(pattern: str) -> str:
-    """The pattern for Java's engine, whose \\s and \\S know ASCII only."""
-    return _with_space(pattern, _SPACE)
-
-
-def words_by_pattern(text: Column) -> Column:
-    import public_tokenizers
-
-    return F.regexp_extract_all(text, F.lit(java_pattern(public_tokenizers.PATTERN)), F.lit(0))
-
-
 def _slot(key: Column, slots: int) -> Column:
     return F.xxhash64(key).bitwiseAND(F.lit(slots - 1)).cast("int")
 
@@ -110,63 +103,83 @@ def folded(word: Column, ranks: Column) -> Column:
     return let(F.decode(F.encode(word, "UTF-8"), "ISO-8859-1"), of_bytes)
 
 
-def python_pattern(pattern: str) -> str:
-    """The same for Python's engine, whose \\s has four controls too many."""
-    return _with_space(pattern, _PYTHON_SPACE)
+def decoded(ids: Column, pieces: Column) -> Column:
+    """The bytes of an array of ids; ``pieces``: all pieces by id, as in ``piece_literal``."""
+    return F.encode(F.array_join(F.transform(ids, lambda i: F.get(pieces, i)), ""), "ISO-8859-1")
 
 
-def _with_space(pattern: str, space: str) -> str:
-    return pattern.replace(r"[^\s", f"[^{space}").replace(r"\s", f"[{space}]").replace(r"\S", f"[^{space}]")
+def piece_literal(ranks: dict[bytes, int]) -> Column:
+    listed = [""] * (max(ranks.values()) + 1)
+    for piece, rank in ranks.items():
+        listed[rank] = piece.decode("latin-1")
+    return F.from_json(F.lit(json.dumps(listed)), "array<string>")
 
 
-def dictionary(texts: DataFrame, ranks: dict[bytes, int]) -> dict[str, bytes]:
-    """Frequent words and their ids: all words of at least the count that keeps the bound."""
-    counted = texts.select(F.explode(words_by_pattern(F.col("text"))).alias("w")).groupBy("w").agg(F.count("*").alias("n"))
-    counted = materialise(counted.where(F.octet_length("w") <= LONGEST), "bpe-words")
-    spread = sorted(((r["n"], r["words"]) for r in counted.groupBy(F.least("n", F.lit(1 << 20)).alias("n")).agg(F.count("*").alias("words")).collect()), reverse=True)
-    least, held = 1 << 62, 0
-    for n, words in spread:
-        if held + words > DICTIONARY:
-            break
-        least, held = n, held + words
-    literal = rank_literal(ranks)
-    found = counted.where(F.col("n") >= least).repartition(max(8, held // 20_000)).select("w", let(literal, lambda r: folded(F.col("w"), r)).alias("i")).toArrow()
-    ids = found.column("i").combine_chunks()
-    flat, ends = ids.flatten().to_numpy(zero_copy_only=False).astype("<u4").tobytes(), np.asarray(ids.offsets) - ids.offsets[0].as_py()
-    return {w: flat[4 * a : 4 * b] for w, a, b in zip(found.column("w").to_pylist(), ends[:-1].tolist(), ends[1:].tolist(), strict=True)}
+def python_pattern(pattern: str) -> str:
+    """The pattern for Python's engine, whose \\s has four controls too many."""
+    return pattern.replace(r"[^\s", f"[^{_PYTHON_SPACE}").replace(r"\s", f"[{_PYTHON_SPACE}]").replace(r"\S", f"[^{_PYTHON_SPACE}]")
 
 
 def merge(piece: bytes, ranks: dict[bytes, int]) -> list[int]:
-    """The ids of a word by the same fold, for words outside the dictionary."""
-    parts = [piece[i : i + 1] for i in range(len(piece))]
-    pairs = [ranks.get(a + b, _NONE) for a, b in zip(parts, parts[1:])]
-    while pairs and (least := min(pairs)) != _NONE:
-        k = pairs.index(least)
-        parts[k : k + 2] = [parts[k] + parts[k + 1]]
-        del pairs[k]
-        for j in (k - 1, k):
-            if 0 <= j < len(pairs):
-                pairs[j] = ranks.get(parts[j] + parts[j + 1], _NONE)
-    return [ranks[p] for p in parts]
-
-
-class _Words(dict):
-    """Words beside the dictionary, folded when first met."""
-
-    def __init__(self, known: dict[str, bytes], ranks: dict[bytes, int], path: str):
-        super().__init__()
-        self.known, self.ranks, self.path = known, ranks, path
-
-    def __missing__(self, word: str) -> bytes:
-        found = self.known.get(word)
-        if found is None:
-            piece = word.encode()
-            ids = merge(piece, self.ranks) if len(piece) <= LONGEST else rank_file_encoder(self.path)._core_bpe.encode_single_piece(piece)
-            found = np.array(ids, dtype="<u4").tobytes()
-        if len(self) >= _MEMO:
-            self.clear()
-        self[word] = found
-        return found
+    """The ids of a long word: the pair of least rank, the first of equal ones, is taken from a heap; parts are chained."""
+    n = len(piece)
+    end, before, after = list(range(1, n + 1)), list(range(-1, n - 1)), list(range(1, n + 1))
+    heap: list[tuple[int, int, int, int]] = []
+
+    def offer(i: int) -> None:
+        j = after[i]
+        if j < n and (rank := ranks.get(piece[i : end[j]])) is not None:
+            heapq.heappush(heap, (rank, i, end[i], end[j]))
+
+    for i in range(n):
+        offer(i)
+    while heap:
+        _, i, middle, last = heapq.heappop(heap)
+        if end[i] != middle or middle >= n or end[middle] != last:
+            continue
+        end[i], end[middle], after[i] = last, -1, after[middle]
+        if last < n:
+            before[last] = i
+        offer(i)
+        if before[i] >= 0:
+            offer(before[i])
+    found, i = [], 0
+    while i < n:
+        found.append(ranks[piece[i : end[i]]])
+        i = end[i]
+    return found
+
+
+def distinct_words(rows: DataFrame) -> DataFrame:
+    """part, word: each word of the WORDS ``rows`` once."""
+
+    def run(found: pa.Table) -> pa.Table:
+        words = {w for a, b in zip(found.column("a").to_pylist(), found.column("b").to_pylist(), strict=True) for w in unpack_words(a, b)}
+        listed = pa.array([w.decode() for w in sorted(words)], type=pa.string())
+        return pa.table({"part": pa.array(np.full(len(listed), found.column("part")[0].as_py(), np.int32)), "word": listed})
+
+    return rows.groupBy("part").applyInArrow(run, "part int, word string")
+
+
+def word_ids(words: DataFrame, path: str) -> DataFrame:
+    """part, word, ids of the rows part, word."""
+    literal = rank_literal(read_ranks(path))
+
+    def long(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        ranks = read_ranks(path)
+        for one in batches:
+            ids = pa.array([merge(w.as_py().encode(), ranks) for w in one.column("word")], type=pa.list_(pa.int32()))
+            yield pa.RecordBatch.from_arrays([one.column("part"), one.column("word"), ids], names=["part", "word", "ids"])
+
+    is_long = F.octet_length("word") > LONGEST
+    folds = words.where(~is_long).select("part", "word", let(literal, lambda r: folded(F.col("word"), r)).alias("ids"))
+    return folds.union(words.where(is_long).mapInArrow(long, "part int, word string, ids array<int>"))
+
+
+def gathered(flat: np.ndarray, starts: np.ndarray, sizes: np.ndarray) -> np.ndarray:
+    """The pieces of ``flat`` from ``starts`` on, of ``sizes``, one after another."""
+    ends = np.cumsum(sizes)
+    return flat[np.repeat(starts - (ends - sizes), sizes) + np.arange(ends[-1] if len(ends) else 0)]
 
 
 def run(docs: DataFrame, *, vocabulary: str | None = None, digests: bool = False) -> DataFrame:
@@ -174,32 +187,56 @@ def run(docs: DataFrame, *, vocabulary: str | None = None, digests: bool = False
     import public_tokenizers
 
     path, pattern = vocabulary or default_path(VOCABULARY), python_pattern(public_tokenizers.PATTERN)
-    texts = docs.select("doc_id", text_of().alias("text"))
-    # Bounded by DICTIONARY, whatever the corpus.
-    known = docs.sparkSession.sparkContext.broadcast(dictionary(texts, read_ranks(path)))
-    id_type = docs.schema["doc_id"].dataType.simpleString()
+    parts = blocks.parts_for(docs)
 
-    def encode(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    def words(text: str) -> list[str]:
         import regex
 
-        ranks = read_ranks(path)
-        pieces = [piece for piece, _ in sorted(ranks.items(), key=lambda x: x[1])]
-        words, cut = _Words(known.value, ranks, path), regex.compile(pattern).findall
-        for batch in batches:
-            for begin in range(0, batch.num_rows, 1000):
-                one = batch.slice(begin, 1000)
-                rows = []
-                for text in one.column("text"):
-                    data = b"".join(map(words.__getitem__, cut(text.as_py())))
-                    ids = np.frombuffer(data, dtype="<u4")
-                    decoded = b"".join(map(pieces.__getitem__, ids.tolist()))
-                    rows.append((len(ids), hashlib.sha256(data).hexdigest(), hashlib.sha256(decoded).hexdigest()) if digests else (ids.astype(np.int32), decoded))
-                columns = list(zip(*rows, strict=True)) or [()] * len(kinds)
-                yield pa.RecordBatch.from_arrays([one.column("doc_id"), *(pa.array(c, type=k) for c, k in zip(columns, kinds, strict=True))], names=names)
-
-    kinds = [pa.int64(), pa.string(), pa.string()] if digests else [pa.list_(pa.int32()), pa.binary()]
-    names = ["doc_id", "n_tokens", "ids_sha256", "decoded_sha256"] if digests else ["doc_id", "ids", "decoded"]
-    return texts.mapInArrow(encode, f"doc_id {id_type}, " + ("n_tokens long, ids_sha256 string, decoded_sha256 string" if digests else "ids array<int>, decoded binary"))
+        return regex.findall(pattern, text)
+
+    made = blocks.cut(docs, ["doc_id"], F.lit(False), words, parts, "bpe-blocks")
+    listed = dealt(blob_rows(made, WORDS), "part", parts)
+    encoded = materialise(word_ids(distinct_words(listed), path), "bpe-words")
+
+    def answer(asked: pa.Table, known: pa.Table) -> pa.Table:
+        if not asked.num_rows:
+            return pa.Table.from_batches([blocks.blobs([])])
+        place = {w: i for i, w in enumerate(known.column("word").cast(pa.binary()).to_pylist())}
+        ids = known.column("ids").combine_chunks()
+        flat, ends = ids.flatten().to_numpy(zero_copy_only=False), np.asarray(ids.offsets, dtype=np.int64) - ids.offsets[0].as_py()
+        rows = []
+        for block, part, a, b in zip(*(asked.column(c).to_pylist() for c in ("block", "part", "a", "b")), strict=True):
+            at = np.fromiter(map(place.__getitem__, unpack_words(a, b)), np.int64)
+            sizes = ends[at + 1] - ends[at]
+            rows.append((block, ENCODED, part, pack(sizes), pack(gathered(flat, ends[at], sizes)), None, None))
+        return pa.Table.from_batches([blocks.blobs(rows)])
+
+    answers = listed.groupBy("part").cogroup(dealt(encoded, "part", parts).groupBy("part")).applyInArrow(answer, blocks._BLOB)
+
+    def join(found: pa.Table) -> pa.Table:
+        kinds = found.column("kind").to_pylist()
+        at = kinds.index(TEXT)
+        stream, lengths = unpack(found.column("a")[at].as_py()), unpack(found.column("b")[at].as_py())
+        told = sorted((found.column("part")[i].as_py(), i) for i, k in enumerate(kinds) if k == ENCODED)
+        none = [np.zeros(0, np.int64)]
+        sizes, flat = (np.concatenate([unpack(found.column(c)[i].as_py()) for _, i in told] or none) for c in "ab")
+        starts = np.cumsum(sizes) - sizes
+        ids = gathered(flat, starts[stream], sizes[stream]).astype("<u4")
+        ends = np.concatenate([[0], np.cumsum(sizes[stream])])[np.cumsum(lengths)]
+        pieces = [piece for piece, _ in sorted(read_ranks(path).items(), key=lambda x: x[1])]
+        rows = []
+        for i, (begin, end) in enumerate(zip([0, *ends[:-1].tolist()], ends.tolist(), strict=True)):
+            own = ids[begin:end]
+            whole = b"".join(map(pieces.__getitem__, own.tolist()))
+            rows.append((i, len(own), hashlib.sha256(own.tobytes()).hexdigest(), hashlib.sha256(whole).hexdigest()) if digests else (i, own.astype(np.int32), whole))
+        columns = [pa.array(c, type=t) for c, t in zip(zip(*rows, strict=True), types, strict=True)]
+        return pa.Table.from_arrays([pa.array(np.full(len(rows), found.column("block")[0].as_py())), *columns], names=["block", "part", *names])
+
+    types = [pa.int32(), pa.int64(), pa.string(), pa.string()] if digests else [pa.int32(), pa.list_(pa.int32()), pa.binary()]
+    names = ["n_tokens", "ids_sha256", "decoded_sha256"] if digests else ["ids", "decoded"]
+    schema = "n_tokens long, ids_sha256 string, decoded_sha256 string" if digests else "ids array<int>, decoded binary"
+    whole = dealt(blob_rows(made, TEXT).union(answers), "block", parts).groupBy("block").applyInArrow(join, f"block long, part int, {schema}")
+    return of_kind(made, blocks.DOC).select("doc_id", "block", "part").join(whole, ["block", "part"]).select("doc_id", *names)
 
 
 def op3_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -121,21 +121,33 @@ def test_near_copies_go(spark):
 
 
 # BPE.
-def test_bpe_is_tiktoken(spark, odd, empty):
+def test_bpe_is_tiktoken(spark, odd, empty, monkeypatch):
+    for name, value in (("BLOCK_TOKENS", 900), ("PART_BYTES", 4000)):
+        monkeypatch.setattr(blocks, name, value)
     enc = rank_file_encoder(default_path(bpe.VOCABULARY))
     rng = random.Random(2)
     letters = "abcdefgh ABC  \n\t\r'stremld019²½ßüéñ日本カ한국😀́\xa0\x85\x1c|#*!?"
-    texts = ["".join(rng.choices(letters, k=rng.randint(0, 50))) for _ in range(300)] + [None, "a" * 3000 + " b", "I'll <|endoftext|> don't"]
+    texts = ["".join(rng.choices(letters, k=rng.randint(0, 50))) for _ in range(300)] + [None, "a" * 3000 + " b", "I'll <|endoftext|> don't", "x" + "abcdefgh" * 700, "ha" * 500]
     df = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
-    for r in bpe.run(df).collect():
+    got = bpe.run(df).collect()
+    assert len(got) == len(texts)
+    for r in got:
         text = texts[r["doc_id"]] or ""
         assert list(r["ids"]) == enc.encode_ordinary(text) and bytes(r["decoded"]) == text.encode()
-    for w in ("", "a", " the", "zzzqqq", "a" * 200, "日本語"):
+    for w in ("", "a", " the", "zzzqqq", "a" * 200, "日本語", "".join(rng.choices("abetr ", k=2000))):
         assert bpe.merge(w.encode(), enc._mergeable_ranks) == (enc._core_bpe.encode_single_piece(w.encode()) if w else [])
     assert bpe.run(odd).count() == len(ODD)
     assert bpe.run(empty, digests=True).count() == 0
 
 
+def test_bpe_decodes_ids_by_columns(spark):
+    enc = rank_file_encoder(default_path(bpe.VOCABULARY))
+    texts = ["", "naïve 日本語 😀", "plain words"]
+    df = spark.createDataFrame([(t, enc.encode_ordinary(t)) for t in texts], "text string, ids array<int>")
+    pieces = bpe.piece_literal(enc._mergeable_ranks)
+    assert all(bytes(r["b"]).decode() == r["text"] for r in df.select("text", bpe.let(pieces, lambda p: bpe.decoded(F.col("ids"), p)).alias("b")).collect())
+
+
 # Language model.
 @pytest.mark.parametrize("hot", [10**9, 40])
 def test_katz_is_brute_force_and_normalised(spark, monkeypatch, hot):
