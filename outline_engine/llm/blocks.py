@@ -1,11 +1,12 @@
 """Blocks of tokenised documents, whose distinct words are looked up part by part.
 
 A reading task cuts its documents into blocks of about ``BLOCK_TOKENS`` tokens.  A block keeps its
-token stream as places in its own list of distinct words; the list is dealt to parts by a hash of the
-word.  What a part finds out about its words goes back to the blocks as columns in the order of the
-list, so no dictionary of the corpus is ever in one place, and a word that a block has a million times
-travels once.  The number of parts follows the bytes of text: a part's share is bounded, a worker holds
-one block or one part at a time.
+token stream as codes of its own distinct words; the list of these is dealt to parts by a hash of the
+word, frequent ones first.  A word's code is its rank in the part's list, times the number of parts,
+plus the part, so frequent words have small codes.  What a part finds out about its words goes back to
+the blocks as columns in the order of the list, so no dictionary of the corpus is ever in one place, and
+a word that a block has a million times travels once.  The number of parts follows the bytes of text: a
+part's share is bounded, a worker holds one block or one part at a time.
 
 Columns of numbers are packed: as many byte planes as the largest needs, compressed.
 """
@@ -24,9 +25,9 @@ from pyspark.sql import functions as F
 from outline_engine.llm.columns import text_of
 from outline_engine.llm.storage import materialise
 
-BLOCK_TOKENS = 2_000_000
+BLOCK_TOKENS = 1_500_000
 #: Bytes of text for a part.
-PART_BYTES = 12 << 20
+PART_BYTES = 8 << 20
 #: Exchanges have as many partitions as there are parts, up to this number.
 MOST_TASKS = 20_000
 #: Kinds of rows: a document, a block's token stream, a block's words of a part.
@@ -42,7 +43,7 @@ def pack(x: np.ndarray) -> bytes:
 
     width = max(1, (int(x.max()).bit_length() + 7) // 8) if len(x) else 1
     planes = x.astype("<u8").view(np.uint8).reshape(-1, 8)[:, :width].T
-    return bytes([width]) + zstandard.ZstdCompressor(level=1).compress(planes.tobytes())
+    return bytes([width]) + zstandard.ZstdCompressor(level=3).compress(planes.tobytes())
 
 
 def unpack(packed: bytes) -> np.ndarray:
@@ -57,7 +58,7 @@ def unpack(packed: bytes) -> np.ndarray:
 def pack_words(words: list[bytes]) -> tuple[bytes, bytes]:
     import zstandard
 
-    return zstandard.ZstdCompressor(level=1).compress(b"".join(words)), pack(np.fromiter(map(len, words), np.int64, len(words)))
+    return zstandard.ZstdCompressor(level=3).compress(b"".join(words)), pack(np.fromiter(map(len, words), np.int64, len(words)))
 
 
 def unpack_words(data: bytes, lengths: bytes) -> list[bytes]:
@@ -68,6 +69,13 @@ def unpack_words(data: bytes, lengths: bytes) -> list[bytes]:
     return [whole[i:j] for i, j in zip([0, *ends], ends, strict=False)]
 
 
+def places(codes: np.ndarray, parts: int, listed: list[int], sizes: list[int]) -> np.ndarray:
+    """Where the words of ``codes`` stand in a block's lists one after another: those of the parts ``listed``, of ``sizes`` words."""
+    begins = np.zeros(max(listed, default=0) + 1, np.int64)
+    begins[listed] = np.cumsum(sizes, dtype=np.int64) - np.array(sizes, dtype=np.int64)
+    return begins[codes % parts] + codes // parts
+
+
 def parts_for(docs: DataFrame) -> int:
     total = docs.agg(F.sum(F.octet_length(text_of()))).first()[0] or 0
     return max(1, total // PART_BYTES + 1)
@@ -91,12 +99,12 @@ def blobs(rows: list[tuple]) -> pa.RecordBatch:
     return pa.RecordBatch.from_arrays([pa.array(c, type=t) for c, t in zip(columns, _TYPES, strict=True)], names=list(_NAMES))
 
 
-def cut(docs: DataFrame, kept: list[str], flag: Column, tokens: Callable[[str], list], parts: int, name: str) -> DataFrame:
+def cut(docs: DataFrame, kept: list[str], flag: Column, tokens: Callable[[str], list], parts: int, name: str, counted: bool = True) -> DataFrame:
     """Stored rows of three kinds.
 
     DOC: the ``kept`` columns, block and part (here the number of the document in its block).
-    TEXT: block, a the places of its tokens in the block's list of words, b the number of tokens of each document, c its flag.
-    WORDS: block, part, a and b the words (the list is that of its parts in order), c how often each occurs, d how often in flagged documents.
+    TEXT: block, a the codes of its tokens, b the number of tokens of each document, c its flag.
+    WORDS: block, part, a and b the part's words, if ``counted`` c how often each occurs, d how often in flagged documents.
     """
     schema = ", ".join(f"{c} {docs.schema[c].dataType.simpleString()}" for c in kept)
 
@@ -114,16 +122,17 @@ def cut(docs: DataFrame, kept: list[str], flag: Column, tokens: Callable[[str],
             yield from heads
             words = [w if isinstance(w, bytes) else w.encode("utf-8", "surrogatepass") for w in numbers]
             part = np.fromiter(map(zlib.crc32, words), np.int64, len(words)) % parts
-            order = np.argsort(part, kind="stable")
-            place = np.empty_like(order)
-            place[order] = np.arange(len(order))
-            stream = place[np.concatenate(held)] if held else np.zeros(0, np.int64)
+            stream = np.concatenate(held) if held else np.zeros(0, np.int32)
             marked = np.repeat(np.array(flags, dtype=bool), lengths)
             every, some = np.bincount(stream, minlength=len(words)), np.bincount(stream[marked], minlength=len(words))
-            rows = [(block, TEXT, None, pack(stream), pack(np.array(lengths, dtype=np.int64)), pack(np.array(flags, dtype=np.int64)), None)]
+            order = np.lexsort((-every, part))
             cuts = np.flatnonzero(np.diff(part[order], prepend=-1, append=-1))
+            codes = np.empty_like(order)
+            codes[order] = (np.arange(len(order)) - np.repeat(cuts[:-1], np.diff(cuts))) * parts + part[order]
+            rows = [(block, TEXT, None, pack(codes[stream]), pack(np.array(lengths, dtype=np.int64)), pack(np.array(flags, dtype=np.int64)), None)]
             for i, j in zip(cuts[:-1], cuts[1:], strict=True):
-                rows.append((block, WORDS, int(part[order[i]]), *pack_words([words[k] for k in order[i:j]]), pack(every[i:j]), pack(some[i:j])))
+                of = order[i:j]
+                rows.append((block, WORDS, int(part[of[0]]), *pack_words([words[k] for k in of]), *((pack(every[of]), pack(some[of])) if counted else (None, None))))
             yield widened(blobs(rows), {})
             numbers, held, lengths, flags, size, heads = Numbers(), [], [], [], 0, []
 

@@ -194,7 +194,7 @@ def run(docs: DataFrame, *, vocabulary: str | None = None, digests: bool = False
 
         return regex.findall(pattern, text)
 
-    made = blocks.cut(docs, ["doc_id"], F.lit(False), words, parts, "bpe-blocks")
+    made = blocks.cut(docs, ["doc_id"], F.lit(False), words, parts, "bpe-blocks", counted=False)
     listed = dealt(blob_rows(made, WORDS), "part", parts)
     encoded = materialise(word_ids(distinct_words(listed), path), "bpe-words")
 
@@ -219,7 +219,9 @@ def run(docs: DataFrame, *, vocabulary: str | None = None, digests: bool = False
         stream, lengths = unpack(found.column("a")[at].as_py()), unpack(found.column("b")[at].as_py())
         told = sorted((found.column("part")[i].as_py(), i) for i, k in enumerate(kinds) if k == ENCODED)
         none = [np.zeros(0, np.int64)]
-        sizes, flat = (np.concatenate([unpack(found.column(c)[i].as_py()) for _, i in told] or none) for c in "ab")
+        listed = [unpack(found.column("a")[i].as_py()) for _, i in told]
+        stream = blocks.places(stream, parts, [part for part, _ in told], [len(x) for x in listed])
+        sizes, flat = np.concatenate(listed or none), np.concatenate([unpack(found.column("b")[i].as_py()) for _, i in told] or none)
         starts = np.cumsum(sizes) - sizes
         ids = gathered(flat, starts[stream], sizes[stream]).astype("<u4")
         ends = np.concatenate([[0], np.cumsum(sizes[stream])])[np.cumsum(lengths)]

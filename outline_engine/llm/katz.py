@@ -197,11 +197,13 @@ def read_block(found: pa.Table, unigrams: Unigrams, parts: int) -> Block | None:
     stream, lengths, flags = (unpack(found.column(c)[at].as_py()) for c in "abc")
     answers = sorted((found.column("part")[i].as_py(), i) for i, k in enumerate(kinds) if k == NUMBERED)
     none = [np.zeros(0, np.int64)]
-    ids = np.concatenate([unpack(found.column("a")[i].as_py()) for _, i in answers] or none)
+    told = [unpack(found.column("a")[i].as_py()) for _, i in answers]
+    stream = blocks.places(stream, parts, [part for part, _ in answers], [len(x) for x in told])
+    ids = np.concatenate(told or none)
     counts = np.concatenate([unpack(found.column("b")[i].as_py()) for _, i in answers] or none)
     # Words by their numbers; the start mark is number 0 of both.
     by_id = np.argsort(ids)
-    small = np.empty_like(by_id)
+    small = np.empty(len(ids), np.int32)
     small[by_id] = np.arange(1, len(ids) + 1)
     number, count = np.concatenate([[START], ids[by_id]]), np.concatenate([[0], counts[by_id]])
     w3 = small[stream]
@@ -232,7 +234,31 @@ def by_part(part: np.ndarray) -> Iterator[tuple[int, np.ndarray]]:
         yield int(part[order[i]]), order[i:j]
 
 
-_ASK = ("middle", "first", "last", "n", "last_count")
+_ASK = ("middle", "first", "last", "n", "counts")
+
+
+def steps(x: np.ndarray, new: np.ndarray) -> np.ndarray:
+    """Numbers that ascend within runs, as differences; ``new`` marks where runs begin."""
+    return x - np.where(new, 0, np.concatenate([[0], x[:-1]]))
+
+
+def climbed(d: np.ndarray, new: np.ndarray) -> np.ndarray:
+    """The numbers of ``steps``."""
+    whole = np.cumsum(d)
+    starts = np.flatnonzero(new)
+    return whole - np.repeat((whole - d)[starts], np.diff(starts, append=len(d)))
+
+
+def packed_grams(middle: np.ndarray, first: np.ndarray, last: np.ndarray, n: np.ndarray, last_count: np.ndarray) -> list[bytes]:
+    """Trigrams in order, their counts, and the counts of their distinct last words."""
+    at = np.unique(last, return_index=True)[1]
+    return [pack(np.diff(middle, prepend=0)), pack(steps(first, starts_of(middle))), pack(last), pack(n), pack(last_count[at])]
+
+
+def unpacked_grams(packed: list[bytes]) -> tuple[np.ndarray, ...]:
+    d, first, last, n, counts = map(unpack, packed)
+    middle = np.cumsum(d)
+    return middle, climbed(first, starts_of(middle)), last, n, counts[np.unique(last, return_inverse=True)[1]]
 
 
 def count_grams(asked: DataFrame) -> DataFrame:
@@ -242,14 +268,11 @@ def count_grams(asked: DataFrame) -> DataFrame:
     """
 
     def run(found: pa.Table) -> pa.Table:
-        packed = [found.column(c).to_pylist() for c in _ASK]
-        sizes, columns = [], []
-        for one in packed:
-            arrays = [unpack(x) for x in one]
-            sizes = [len(x) for x in arrays]
-            columns.append(np.concatenate(arrays))
-        middle = columns[0] = np.concatenate([np.cumsum(x) for x in np.split(columns[0], np.cumsum(sizes)[:-1])])
-        listed, rank = np.unique(middle, return_inverse=True)
+        grams = [unpacked_grams(x) for x in zip(*(found.column(c).to_pylist() for c in _ASK), strict=True)]
+        sizes = [len(x[0]) for x in grams]
+        columns = [np.concatenate(x) for x in zip(*grams, strict=True)]
+        del grams
+        listed, rank = np.unique(columns[0], return_inverse=True)
         order = sorted_by(rank, columns[1], columns[2])
         new = starts_of(*(c[order] for c in (rank, columns[1], columns[2])))
         starts = np.flatnonzero(new)
@@ -264,11 +287,7 @@ def count_grams(asked: DataFrame) -> DataFrame:
         row = {
             "part": found.column("part")[0].as_py(),
             "hot": hot,
-            "middle": pack(np.diff(listed[rank], prepend=0)),
-            "first": pack(first),
-            "last": pack(last),
-            "n": pack(n),
-            "last_count": pack(last_count),
+            **dict(zip(_ASK, packed_grams(listed[rank], first, last, n, last_count), strict=True)),
             "blocks": found.column("block").to_pylist(),
             "places": [pack(np.diff(x, prepend=0)) for x in np.split(place, np.cumsum(sizes)[:-1])],
             "small3": small_counts(n),
@@ -277,9 +296,9 @@ def count_grams(asked: DataFrame) -> DataFrame:
         return pa.Table.from_pylist([row], schema=shape)
 
     many = pa.list_(pa.int64())
-    binary = {c: pa.binary() for c in ("middle", "first", "last", "n", "last_count")}
+    binary = {c: pa.binary() for c in _ASK}
     shape = pa.schema({"part": pa.int32(), "hot": pa.bool_(), **binary, "blocks": many, "places": pa.list_(pa.binary()), "small3": many, "small2": many})
-    schema = "part int, hot boolean, middle binary, first binary, last binary, n binary, last_count binary, blocks array<long>, places array<binary>, small3 array<long>, small2 array<long>"
+    schema = "part int, hot boolean, middle binary, first binary, last binary, n binary, counts binary, blocks array<long>, places array<binary>, small3 array<long>, small2 array<long>"
     return materialise(asked.groupBy("part").applyInArrow(run, schema), "lm-grams")
 
 
@@ -314,14 +333,9 @@ def backed_off(context: np.ndarray, n: np.ndarray, lower: np.ndarray, ratios: np
         return np.where(n > 0, held / whole[context], weight[context] * lower)
 
 
-def stored_grams(row: dict) -> tuple[np.ndarray, ...]:
-    middle = np.cumsum(unpack(row["middle"]))
-    return (middle, *(unpack(row[c]) for c in ("first", "last", "n", "last_count")))
-
-
 def evaluate(row: dict, unigrams: Unigrams, two: np.ndarray, three: np.ndarray, hot: tuple | None = None) -> np.ndarray:
     """The probabilities of a part's trigrams.  ``hot``: for its bigrams in order, their counts, and the sums of their one context."""
-    middle, first, last, n, last_count = stored_grams(row)
+    middle, first, last, n, last_count = unpacked_grams([row[c] for c in _ASK])
     rank = np.cumsum(starts_of(middle)) - 1
     pairs, of_pair = pairs_of(rank, last)
     n2 = hot[0] if hot else np.bincount(of_pair, n, len(pairs)).astype(np.int64)
@@ -366,7 +380,7 @@ def hot_pairs(grams: DataFrame, small: dict[int, int]) -> DataFrame:
         for one in batches:
             for i in range(one.num_rows):
                 row = one.slice(i, 1).to_pylist()[0]
-                middle, _, last, n, last_count = stored_grams(row)
+                middle, _, last, n, last_count = unpacked_grams([row[c] for c in _ASK])
                 pairs, of_pair = pairs_of(np.zeros_like(middle), last)
                 n2 = np.bincount(of_pair, n, len(pairs)).astype(np.int64)
                 columns = [np.full(len(pairs), row["part"], np.int32), middle[pairs], last[pairs], n2, last_count[pairs]]
@@ -400,7 +414,7 @@ def hot_scores(grams: DataFrame, split: DataFrame, unigrams: Unigrams, two: np.n
     def score(found: pa.Table, pairs: pa.Table) -> pa.Table:
         made = [pa.Table.from_batches([blocks.blobs([])])]
         for row in found.to_pylist():
-            middle = int(np.cumsum(unpack(row["middle"]))[0])
+            middle = int(unpack(row["middle"])[0])
             order = np.argsort(pairs.column("last").to_numpy())
             n2 = pairs.column("n").to_numpy()[order]
             made.append(answers(row, evaluate(row, unigrams, two, three, (n2, tuple(np.array([x]) for x in of_word[middle])))))
@@ -425,8 +439,8 @@ def score(docs: DataFrame, kept: list[str], learns: Column) -> tuple[DataFrame,
             return shape.empty_table()
         rows = []
         for part, of in by_part(block.part):
-            columns = [np.diff(block.middle[of], prepend=0), *(getattr(block, c)[of] for c in _ASK[1:])]
-            rows.append((found.column("block")[0].as_py(), part, part >= parts, *map(pack, columns)))
+            grams = (x[of] for x in (block.middle, block.first, block.last, block.n, block.last_count))
+            rows.append((found.column("block")[0].as_py(), part, part >= parts, *packed_grams(*grams)))
         return pa.Table.from_arrays([pa.array(c, type=f.type) for c, f in zip(zip(*rows, strict=True), shape, strict=True)], schema=shape)
 
     shape = pa.schema({"block": pa.int64(), "part": pa.int32(), "hot": pa.bool_(), **{c: pa.binary() for c in _ASK}})
