@@ -32,6 +32,8 @@ PART_BYTES = 8 << 20
 MOST_TASKS = 20_000
 #: Kinds of rows: a document, a block's token stream, a block's words of a part.
 DOC, TEXT, WORDS = 0, 1, 2
+#: Of later tables: a part's answer to a block.
+ANSWER = 3
 _BLOB = "block long, kind int, part int, a binary, b binary, c binary, d binary"
 _NAMES = ("block", "kind", "part", "a", "b", "c", "d")
 _TYPES = (pa.int64(), pa.int32(), pa.int32(), pa.binary(), pa.binary(), pa.binary(), pa.binary())
@@ -99,7 +101,7 @@ def blobs(rows: list[tuple]) -> pa.RecordBatch:
     return pa.RecordBatch.from_arrays([pa.array(c, type=t) for c, t in zip(columns, _TYPES, strict=True)], names=list(_NAMES))
 
 
-def cut(docs: DataFrame, kept: list[str], flag: Column, tokens: Callable[[str], list], parts: int, name: str, counted: bool = True) -> DataFrame:
+def cut(docs: DataFrame, kept: list[str], flag: Column, tokens: Callable[[str], list], parts: int, name: str, *, counted: bool = True, block_tokens: int | None = None) -> DataFrame:
     """Stored rows of three kinds.
 
     DOC: the ``kept`` columns, block and part (here the number of the document in its block).
@@ -107,6 +109,7 @@ def cut(docs: DataFrame, kept: list[str], flag: Column, tokens: Callable[[str],
     WORDS: block, part, a and b the part's words, if ``counted`` c how often each occurs, d how often in flagged documents.
     """
     schema = ", ".join(f"{c} {docs.schema[c].dataType.simpleString()}" for c in kept)
+    bound = block_tokens or BLOCK_TOKENS
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         task = TaskContext.get().partitionId() << 32
@@ -125,7 +128,9 @@ def cut(docs: DataFrame, kept: list[str], flag: Column, tokens: Callable[[str],
             stream = np.concatenate(held) if held else np.zeros(0, np.int32)
             marked = np.repeat(np.array(flags, dtype=bool), lengths)
             every, some = np.bincount(stream, minlength=len(words)), np.bincount(stream[marked], minlength=len(words))
-            order = np.lexsort((-every, part))
+            # Words of equal count, most of them, stand by their bytes, so that neighbours share their beginnings.
+            order = np.array(sorted(range(len(words)), key=words.__getitem__), dtype=np.int64)
+            order = order[np.lexsort((-every[order], part[order]))]
             cuts = np.flatnonzero(np.diff(part[order], prepend=-1, append=-1))
             codes = np.empty_like(order)
             codes[order] = (np.arange(len(order)) - np.repeat(cuts[:-1], np.diff(cuts))) * parts + part[order]
@@ -150,7 +155,7 @@ def cut(docs: DataFrame, kept: list[str], flag: Column, tokens: Callable[[str],
                     size += len(found)
                 head = blobs([(task + made, DOC, i, None, None, None, None) for i in range(first, len(lengths))])
                 heads.append(widened(head, {c: one.column(c) for c in kept}))
-                if size >= BLOCK_TOKENS:
+                if size >= bound:
                     yield from flush()
         if lengths:
             yield from flush()

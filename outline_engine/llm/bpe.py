@@ -24,7 +24,8 @@ import hashlib
 import heapq
 import json
 import re
-from collections.abc import Iterator
+import unicodedata
+from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -32,7 +33,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from outline_engine.llm import blocks
-from outline_engine.llm.blocks import TEXT, WORDS, blob_rows, dealt, of_kind, pack, unpack, unpack_words
+from outline_engine.llm.blocks import ANSWER, TEXT, WORDS, Numbers, blob_rows, dealt, of_kind, pack, unpack, unpack_words
 from outline_engine.llm.columns import let
 from outline_engine.llm.storage import materialise, table
 from outline_engine.llm.vocabularies import default_path, read_ranks
@@ -41,11 +42,14 @@ VOCABULARY = "byte_bpe_multi_50k.tiktoken"
 LONGEST = 1024
 _NONE = 2**31 - 1
 _RANK_SLOTS = 1 << 16
-#: A further kind of rows: a part's answer to a block.
-ENCODED = 3
+#: A further kind of rows: a word of a part.
+LISTED = 5
+#: Blocks hold little more than their distinct words here, of which larger ones have fewer.
+BLOCK_TOKENS = 4_000_000
 #: White space as Unicode has it, which the pattern's \s means.
 _SPACE = r"\t-\r\x20\x85\xA0\x{1680}\x{2000}-\x{200A}\x{2028}\x{2029}\x{202F}\x{205F}\x{3000}"
 
+_LATIN_SPACE = "\t-\r\x20\x85\xA0"
 _PYTHON_SPACE = re.sub(r"\\x\{(\w+)\}", lambda m: chr(int(m[1], 16)), _SPACE)
 
 
@@ -120,6 +124,29 @@ def python_pattern(pattern: str) -> str:
     return pattern.replace(r"[^\s", f"[^{_PYTHON_SPACE}").replace(r"\s", f"[{_PYTHON_SPACE}]").replace(r"\S", f"[^{_PYTHON_SPACE}]")
 
 
+def latin_pattern(pattern: str) -> str:
+    """The pattern for texts of Latin-1 characters only, with classes that Python's plain engine knows."""
+
+    def those(category: str) -> str:
+        return "".join(re.escape(c) for c in map(chr, range(256)) if unicodedata.category(c)[0] == category)
+
+    letters, digits = those("L"), those("N")
+    pattern = pattern.replace(r"[^\s\p{L}\p{N}]", f"[^{_LATIN_SPACE}{letters}{digits}]").replace(r"\p{L}", f"[{letters}]").replace(r"\p{N}", f"[{digits}]")
+    return pattern.replace(r"\s", f"[{_LATIN_SPACE}]").replace(r"\S", f"[^{_LATIN_SPACE}]")
+
+
+def cutter(pattern: str) -> Callable[[str], list[str]]:
+    whole, latin = python_pattern(pattern), latin_pattern(pattern)
+    wide = re.compile("[^\x00-\xff]").search
+
+    def words(text: str) -> list[str]:
+        import regex
+
+        return re.findall(latin, text) if wide(text) is None else regex.findall(whole, text)
+
+    return words
+
+
 def merge(piece: bytes, ranks: dict[bytes, int]) -> list[int]:
     """The ids of a long word: the pair of least rank, the first of equal ones, is taken from a heap; parts are chained."""
     n = len(piece)
@@ -150,30 +177,39 @@ def merge(piece: bytes, ranks: dict[bytes, int]) -> list[int]:
     return found
 
 
-def distinct_words(rows: DataFrame) -> DataFrame:
-    """part, word: each word of the WORDS ``rows`` once."""
+def list_words(rows: DataFrame) -> DataFrame:
+    """Of the WORDS ``rows``: LISTED rows, each word of a part once with its number, and ANSWER rows for the blocks (a the numbers of their words); stored."""
 
     def run(found: pa.Table) -> pa.Table:
-        words = {w for a, b in zip(found.column("a").to_pylist(), found.column("b").to_pylist(), strict=True) for w in unpack_words(a, b)}
-        listed = pa.array([w.decode() for w in sorted(words)], type=pa.string())
-        return pa.table({"part": pa.array(np.full(len(listed), found.column("part")[0].as_py(), np.int32)), "word": listed})
+        part, numbers, answers = found.column("part")[0].as_py(), Numbers(), []
+        for block, a, b in zip(*(found.column(c).to_pylist() for c in ("block", "a", "b")), strict=True):
+            words = unpack_words(a, b)
+            answers.append((block, ANSWER, part, pack(np.fromiter(map(numbers.__getitem__, words), np.int64, len(words))), None, None, None))
+        n = len(numbers)
+        listed = blocks.blobs([(None, LISTED, part, None, None, None, None)] * n)
+        words = pa.array([w.decode() for w in numbers], type=pa.string())
+        told = blocks.blobs(answers)
+        return pa.concat_tables(
+            pa.Table.from_batches([x.append_column("number", place).append_column("word", w)])
+            for x, place, w in ((listed, pa.array(np.arange(n)), words), (told, pa.nulls(len(answers), pa.int64()), pa.nulls(len(answers), pa.string())))
+        )
 
-    return rows.groupBy("part").applyInArrow(run, "part int, word string")
+    return materialise(rows.groupBy("part").applyInArrow(run, f"{blocks._BLOB}, number long, word string"), "bpe-words")
 
 
 def word_ids(words: DataFrame, path: str) -> DataFrame:
-    """part, word, ids of the rows part, word."""
+    """part, number, ids of the rows part, number, word; stored."""
     literal = rank_literal(read_ranks(path))
 
     def long(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         ranks = read_ranks(path)
         for one in batches:
             ids = pa.array([merge(w.as_py().encode(), ranks) for w in one.column("word")], type=pa.list_(pa.int32()))
-            yield pa.RecordBatch.from_arrays([one.column("part"), one.column("word"), ids], names=["part", "word", "ids"])
+            yield pa.RecordBatch.from_arrays([one.column("part"), one.column("number"), ids], names=["part", "number", "ids"])
 
     is_long = F.octet_length("word") > LONGEST
-    folds = words.where(~is_long).select("part", "word", let(literal, lambda r: folded(F.col("word"), r)).alias("ids"))
-    return folds.union(words.where(is_long).mapInArrow(long, "part int, word string, ids array<int>"))
+    folds = words.where(~is_long).select("part", "number", let(literal, lambda r: folded(F.col("word"), r)).alias("ids"))
+    return materialise(folds.union(words.where(is_long).mapInArrow(long, "part int, number long, ids array<int>")), "bpe-ids")
 
 
 def gathered(flat: np.ndarray, starts: np.ndarray, sizes: np.ndarray) -> np.ndarray:
@@ -186,38 +222,31 @@ def run(docs: DataFrame, *, vocabulary: str | None = None, digests: bool = False
     """Encode and decode: doc_id, ids and decoded bytes, or their number and digests; a row per row of ``docs``."""
     import public_tokenizers
 
-    path, pattern = vocabulary or default_path(VOCABULARY), python_pattern(public_tokenizers.PATTERN)
+    path = vocabulary or default_path(VOCABULARY)
     parts = blocks.parts_for(docs)
-
-    def words(text: str) -> list[str]:
-        import regex
-
-        return regex.findall(pattern, text)
-
-    made = blocks.cut(docs, ["doc_id"], F.lit(False), words, parts, "bpe-blocks", counted=False)
-    listed = dealt(blob_rows(made, WORDS), "part", parts)
-    encoded = materialise(word_ids(distinct_words(listed), path), "bpe-words")
+    made = blocks.cut(docs, ["doc_id"], F.lit(False), cutter(public_tokenizers.PATTERN), parts, "bpe-blocks", counted=False, block_tokens=BLOCK_TOKENS)
+    listed = list_words(dealt(blob_rows(made, WORDS), "part", parts))
+    encoded = word_ids(of_kind(listed, LISTED).select("part", "number", "word"), path)
 
     def answer(asked: pa.Table, known: pa.Table) -> pa.Table:
-        if not asked.num_rows:
-            return pa.Table.from_batches([blocks.blobs([])])
-        place = {w: i for i, w in enumerate(known.column("word").cast(pa.binary()).to_pylist())}
+        order = np.argsort(known.column("number").to_numpy())
         ids = known.column("ids").combine_chunks()
         flat, ends = ids.flatten().to_numpy(zero_copy_only=False), np.asarray(ids.offsets, dtype=np.int64) - ids.offsets[0].as_py()
+        starts, sizes = ends[:-1][order], np.diff(ends)[order]
         rows = []
-        for block, part, a, b in zip(*(asked.column(c).to_pylist() for c in ("block", "part", "a", "b")), strict=True):
-            at = np.fromiter(map(place.__getitem__, unpack_words(a, b)), np.int64)
-            sizes = ends[at + 1] - ends[at]
-            rows.append((block, ENCODED, part, pack(sizes), pack(gathered(flat, ends[at], sizes)), None, None))
+        for block, part, a in zip(*(asked.column(c).to_pylist() for c in ("block", "part", "a")), strict=True):
+            at = unpack(a)
+            rows.append((block, ANSWER, part, pack(sizes[at]), pack(gathered(flat, starts[at], sizes[at])), None, None))
         return pa.Table.from_batches([blocks.blobs(rows)])
 
-    answers = listed.groupBy("part").cogroup(dealt(encoded, "part", parts).groupBy("part")).applyInArrow(answer, blocks._BLOB)
+    asked = dealt(blob_rows(listed, ANSWER), "part", parts)
+    answers = asked.groupBy("part").cogroup(dealt(encoded, "part", parts).groupBy("part")).applyInArrow(answer, blocks._BLOB)
 
     def join(found: pa.Table) -> pa.Table:
         kinds = found.column("kind").to_pylist()
         at = kinds.index(TEXT)
         stream, lengths = unpack(found.column("a")[at].as_py()), unpack(found.column("b")[at].as_py())
-        told = sorted((found.column("part")[i].as_py(), i) for i, k in enumerate(kinds) if k == ENCODED)
+        told = sorted((found.column("part")[i].as_py(), i) for i, k in enumerate(kinds) if k == ANSWER)
         none = [np.zeros(0, np.int64)]
         listed = [unpack(found.column("a")[i].as_py()) for _, i in told]
         stream = blocks.places(stream, parts, [part for part, _ in told], [len(x) for x in listed])

@@ -43,7 +43,7 @@ HOT_TOKENS = 2_000_000
 END_MARK = b" "
 START = 0
 #: Further kinds of rows: a part's answers about words and about trigrams, its word table.
-NUMBERED, SCORED, TABLE = 3, 4, 5
+NUMBERED, SCORED, TABLE = blocks.ANSWER, 4, 5
 _MIX = np.uint64(0x9E3779B97F4A7C15)
 
 

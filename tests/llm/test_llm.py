@@ -122,8 +122,8 @@ def test_near_copies_go(spark):
 
 # BPE.
 def test_bpe_is_tiktoken(spark, odd, empty, monkeypatch):
-    for name, value in (("BLOCK_TOKENS", 900), ("PART_BYTES", 4000)):
-        monkeypatch.setattr(blocks, name, value)
+    monkeypatch.setattr(bpe, "BLOCK_TOKENS", 900)
+    monkeypatch.setattr(blocks, "PART_BYTES", 4000)
     enc = rank_file_encoder(default_path(bpe.VOCABULARY))
     rng = random.Random(2)
     letters = "abcdefgh ABC  \n\t\r'stremld019²½ßüéñ日本カ한국😀́\xa0\x85\x1c|#*!?"
@@ -140,6 +140,16 @@ def test_bpe_is_tiktoken(spark, odd, empty, monkeypatch):
     assert bpe.run(empty, digests=True).count() == 0
 
 
+def test_plain_engine_cuts_latin_texts_alike():
+    import public_tokenizers
+    import regex
+
+    cut, pattern, rng = bpe.cutter(public_tokenizers.PATTERN), bpe.python_pattern(public_tokenizers.PATTERN), random.Random(6)
+    texts = ["".join(rng.choices([*map(chr, range(256)), *" 'sta1 \n"], k=400)) for _ in range(300)]
+    for text in [*texts, *(t + "\u3000x" for t in texts[:50]), "", *map(chr, range(256))]:
+        assert cut(text) == regex.findall(pattern, text)
+
+
 def test_bpe_decodes_ids_by_columns(spark):
     enc = rank_file_encoder(default_path(bpe.VOCABULARY))
     texts = ["", "naïve 日本語 😀", "plain words"]
