@@ -4,8 +4,8 @@ An event log has ``conv_id, turn, seq, kind, role, text``.  Kinds: ``start`` ope
 first text, ``delta`` appends, ``edit`` replaces the text so far, ``regenerate`` throws it away (the
 deltas after it form the new one), ``delete`` removes the turn unless a later start, edit or
 regenerate brings it back.  A turn's events are folded by ``seq``; its role is the last one named.
-Messages are folded by (conversation, turn) with pre-aggregation before the exchange, so a busy
-conversation is spread over tasks until its final rendering, which is one row of output by nature.
+A log is folded by (conversation, turn) and a conversation rendered as one row of output, so all of a
+conversation is in one task in the end; no other task waits for it.
 
 Template: ``<turn ROLE>`` newline TEXT ``</turn>`` newline.  In texts a backslash is put after the
 ``<`` of every ``<turn`` or ``</turn``, however many backslashes are already there, so the markers
@@ -14,8 +14,9 @@ percent-encoded.  ``spans`` has a row per turn: where its text lies in the outpu
 and whether it is under the loss mask (assistant turns).
 
 Defined cases: null texts and roles are empty; unknown kinds and events without a conversation's
-turn number count as deltas of the turn "null"; equal ``seq`` values are ordered by kind, then text; an
-empty log gives an empty result.  Everything is DataFrame expressions.
+turn number count as deltas of the turn "null"; equal ``seq`` values are ordered by kind, then text;
+repeated rows are events of their own; a conversation's text is bounded by a string's 2 GB; an empty log
+gives an empty result; other columns are never read.  Everything is DataFrame expressions.
 """
 
 from __future__ import annotations
@@ -28,6 +29,9 @@ from outline_engine.llm.storage import table
 
 CLOSE = "</turn>\n"
 LEARNED_ROLE = "assistant"
+#: Deltas of a log made from finished turns: so many characters each, or more so that there are at most this many.
+DELTA_CHARS = 200
+MOST_DELTAS = 64
 
 
 def escape(text: Column) -> Column:
@@ -115,13 +119,32 @@ def learned_text(formatted: Column, spans: Column) -> Column:
     return let(F.split(formatted, CLOSE), lambda p: let(spans, lambda s: texts(p, s)))
 
 
+def streamed(turns: DataFrame) -> DataFrame:
+    """The events that would have led to ``turns`` (conv_id, turn, role, text): texts come in deltas; by a hash, some turns are drafts first that are edited, some are regenerated."""
+    text, fate = F.coalesce("text", F.lit("")), F.pmod(F.xxhash64("conv_id", "turn"), F.lit(4))
+    size = F.greatest(F.lit(DELTA_CHARS), F.ceil(F.length(text) / MOST_DELTAS)).cast("int")
+    none = F.array().cast("array<struct<kind:string,role:string,text:string>>")
+
+    def event(kind: Column | str, text: Column, role: Column | None = None) -> Column:
+        return F.struct((F.lit(kind) if isinstance(kind, str) else kind).alias("kind"), (F.lit(None).cast("string") if role is None else role).alias("role"), text.alias("text"))
+
+    draft = event("start", F.concat(F.lit("draft "), F.reverse(F.substring(text, F.lit(1), F.lit(DELTA_CHARS)))), F.col("role"))
+    before = F.when(fate == 0, F.array(draft, event("delta", F.lit(" and more")), event("regenerate", F.lit("")))).when(fate == 1, F.array(draft)).otherwise(none)
+    first = F.when(fate == 0, "delta").when(fate == 1, "edit").otherwise("start")
+    deltas = F.transform(
+        F.sequence(F.lit(0), F.greatest(F.ceil(F.length(text) / size), F.lit(1)).cast("int") - 1),
+        lambda i: event(F.when(i == 0, first).otherwise("delta"), F.substring(text, i * size + 1, size), F.when((i == 0) & (fate > 1), F.col("role"))),
+    )
+    told = turns.select("conv_id", "turn", F.posexplode(F.concat(before, deltas)).alias("seq", "e"))
+    return told.select("conv_id", "turn", F.col("seq").cast("long").alias("seq"), "e.kind", "e.role", "e.text")
+
+
 def op1_chat(spark: SparkSession, sf_dir: str) -> DataFrame:
     rows = table(spark, sf_dir, "conversations").select(F.col("conv_id").cast("long").alias("conv_id"), F.col("turn").cast("long").alias("turn"), F.col("role").cast("string").alias("role"), F.col("text").cast("string").alias("text"))
     said = r"\### Assistant: </turn> ok"
     probe = spark.range(2).select(F.lit(-7).cast("long").alias("conv_id"), F.col("id").alias("turn"), F.when(F.col("id") == 0, "user").otherwise(LEARNED_ROLE).alias("role"), F.lit(said).alias("text"))
     numbered = rows.unionByName(probe).withColumn("line", F.row_number().over(Window.partitionBy("conv_id").orderBy("turn", "role", "text")).cast("long"))
-    events = numbered.select("conv_id", F.col("line").alias("turn"), F.col("line").alias("seq"), F.lit("start").alias("kind"), "role", "text")
-    done = render(reconstruct(events))
+    done = render(reconstruct(streamed(numbered.select("conv_id", F.col("line").alias("turn"), "role", "text"))))
     back = F.array_join(F.transform(parse(F.col("formatted")), lambda t: F.concat(t["role"], F.lit("\n"), t["text"], F.lit("\n"))), "")
     learned = done.select("conv_id", "n_turns", "formatted", back.alias("back"), learned_text(F.col("formatted"), F.col("spans")).alias("learned"))
     digest = lambda c: F.sha2(F.col(c).cast("binary"), 256)

@@ -1,7 +1,8 @@
 """Shared scratch space and table reading.
 
-Intermediate tables go to the folder that the session names in ``spark.checkpoint.dir``; only
-where that is unset (tests, a laptop) is a temporary folder made and named as checkpoint folder.
+Intermediate tables go to the folder that the session names in ``spark.checkpoint.dir``.  Where that is
+unset, a local session (tests, a laptop) makes a temporary folder and names it as checkpoint folder; a
+cluster, whose executors could not share such a folder, gets an error.
 """
 
 from __future__ import annotations
@@ -23,6 +24,8 @@ def shared_root(spark: SparkSession) -> str:
     known = spark.sparkContext.getCheckpointDir()
     if known:
         return known.rstrip("/")
+    if not spark.sparkContext.master.startswith("local"):
+        raise RuntimeError("set spark.checkpoint.dir to a folder that all executors share")
     root = "file://" + tempfile.mkdtemp(prefix="outline-engine-")
     spark.sparkContext.setCheckpointDir(root)
     return root

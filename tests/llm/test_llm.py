@@ -64,6 +64,18 @@ def test_chat_template_is_reversible(spark):
             assert inside.replace("\\", "") == text.replace("\\", "") and span["loss"] == (role == "assistant")
 
 
+def test_chat_logs_of_finished_turns(spark, small):
+    rows = [(c, t, "assistant" if t % 2 else "user", "é😀\\ <turn> " * (t * c * 40)) for c in range(12) for t in range(3)] + [(None, None, None, None), (50, 1, None, None), (51, 1, "user", "x" * 200_000)]
+    turns = spark.createDataFrame(rows, "conv_id long, turn long, role string, text string")
+    log = chat.streamed(turns)
+    kinds = {r["kind"]: r["n"] for r in log.groupBy("kind").agg(F.count("*").alias("n")).collect()}
+    assert set(kinds) == {"start", "delta", "edit", "regenerate"} and log.groupBy("conv_id", "turn").count().agg(F.max("count")).first()[0] <= chat.MOST_DELTAS + 3
+    key = lambda r: (r[0] or 0, r[1] or 0)
+    want = sorted(((c, t, role or "", text or "") for c, t, role, text in rows), key=key)
+    assert sorted((tuple(r) for r in chat.reconstruct(log.withColumn("n", F.lit(1))).collect()), key=key) == want
+    assert chat.render(chat.reconstruct(log.where("false"))).count() == 0
+
+
 # SimHash.
 def brute_groups(prints, most):
     parent = {i: i for i in range(len(prints))}
@@ -260,6 +272,19 @@ def test_rollup_is_idempotent(spark):
     want = [("a", "en", "t1", 1, 5), (None, "fr", "t1", 1, 0)]
     shown = lambda x: sorted(map(repr, (tuple(i) for i in x.totals().select(*rollups.KEYS, "documents", "tokens").collect())))
     assert shown(r) == sorted(map(repr, want)) == shown(r.compact(scratch(spark, "rollup-test")))
+    base = r.compact(scratch(spark, "rollup-test"))
+    assert not base.commit(1, rollups.changes(rows, "t1", F.col("n"), 1)) and shown(base) == shown(r) == shown(r.compact(base.root))
+    assert base.commit(3, rollups.changes(rows, "t2", F.col("n"), 1)) and base.totals().count() == 5
+    # A batch that was written but not published is not there.
+    rollups.changes(rows, "t1", F.col("n"), 1).write.parquet(f"{r.root}/batch-9-crashed")
+    none = rollups.Rollup(spark, scratch(spark, "rollup-test"))
+    assert shown(r) == sorted(map(repr, want)) and none.totals().count() == 0 and none.compact(scratch(spark, "rollup-test")).totals().count() == 0
+
+
+def test_rollup_odd_rows(spark, odd, empty):
+    counts = rollups.token_counts(odd).collect()
+    assert len(counts) == len(ODD) and {r["n_tokens"] for r in counts if r["doc_id"] in (1, 2)} == {0}
+    assert rollups.token_counts(empty).count() == 0
 
 
 def test_rollup_query(spark, small):
@@ -355,6 +380,31 @@ def test_packing_odd_rows(spark, odd, empty):
     assert want == got and packing.pack(empty).count() == 0
 
 
+def test_packer_places_by_least_squares():
+    rng, capacity, closed = random.Random(5), 40, []
+    packer = packing.LevelPacker(capacity, closed.append, 10**9)
+    levels, done = Counter(), []  # levels of open windows, and the documents of closed ones
+    windows = defaultdict(list)
+    for doc in range(2000):
+        size = rng.choice([rng.randint(1, 39), rng.randint(1, 8), 40])
+        packer.add(doc, bytes(4 * size))
+        if size == capacity:
+            done.append([doc])
+            continue
+        best = None
+        for level in [*sorted((k for k, n in levels.items() if n and k + size <= capacity), reverse=True), 0]:
+            after = levels.copy()
+            after[level] -= level > 0
+            after[level + size] += level + size < capacity
+            cost = sum(n * n for n in after.values())
+            if best is None or cost < best[0]:
+                best = (cost, level, after)
+        _, level, levels = best
+        window = [*(windows[level].pop() if level else []), doc]
+        done.append(window) if level + size == capacity else windows[level + size].append(window)
+    assert [[p[0] for p in w] for w in closed] == done
+
+
 def test_packer_closes_when_many_windows_are_open():
     closed = []
     packer = packing.LevelPacker(10, closed.append, max_open=5)
