@@ -16,16 +16,45 @@ from pyspark.sql import functions as F
 from outline_engine.schemas import TREE
 
 
-def by_bands(h: DataFrame) -> DataFrame:
+def by_bands(h: DataFrame, root: str = "first") -> DataFrame:
     """Each header stands in its own band and all deeper ones of its document; two frames over (document,
-    band) then see just the headers that count.  A long document is spread over as many tasks as it has bands."""
+    band) then see just the headers that count.  A long document is spread over as many tasks as it has bands.
+
+    ``root``: "first" takes the headers of the least band as they are; "auto" puts a virtual root before
+    them, at the position before the first, where there are several; "virtual" always does.  The frame of
+    the least band holds just these headers, so it costs no exchange.
+    """
     doc = Window.partitionBy("doc_id")
     rows = h.select("doc_id", "pos", "band").withColumn("last", F.max("band").over(doc)).withColumn("end", F.max("pos").over(doc) + 1)
+    if root != "first":
+        rows = rows.withColumn("least", F.min("band").over(doc))
     spread = rows.withColumn("b", F.explode(F.sequence("band", "last")))
     order = Window.partitionBy("doc_id", "b").orderBy("pos")
     parent = F.last(F.when(F.col("band") < F.col("b"), F.col("pos")), ignorenulls=True).over(order.rowsBetween(Window.unboundedPreceding, -1))
     after = F.lead("pos").over(order)
-    return spread.withColumn("parent_pos", parent).withColumn("span_end", F.coalesce(after, "end")).where("b = band").select("doc_id", "pos", "parent_pos", F.col("span_end").cast("int"))
+    found = spread.withColumn("parent_pos", parent).withColumn("span_end", F.coalesce(after, "end"))
+    if root == "first":
+        return found.where("b = band").select("doc_id", "pos", "parent_pos", F.col("span_end").cast("int"))
+    frame = Window.partitionBy("doc_id", "b")
+    top = (F.col("band") == F.col("least")) & (F.count("*").over(frame) > (0 if root == "virtual" else 1))
+    first = F.min("pos").over(frame)
+    marked = found.withColumn("root", F.when(top, (first - 1).cast("int"))).withColumn("opens", first == F.col("pos")).where("b = band")
+    own = F.struct("pos", F.coalesce("parent_pos", "root").alias("parent_pos"), F.col("span_end").cast("int").alias("span_end"))
+    above = F.struct(F.col("root").alias("pos"), F.lit(None).cast("int").alias("parent_pos"), F.col("end").cast("int").alias("span_end"))
+    return marked.select("doc_id", F.explode(F.when(F.col("root").isNotNull() & F.col("opens"), F.array(above, own)).otherwise(F.array(own))).alias("x")).select("doc_id", "x.*")
+
+
+def with_root(tree: DataFrame, root: str = "auto") -> DataFrame:
+    """The same policy for a tree that is made already."""
+    if root == "first":
+        return tree
+    doc = Window.partitionBy("doc_id")
+    orphan = F.col("parent_pos").isNull()
+    marked = tree.withColumn("n", F.count_if(orphan).over(doc)).withColumn("root", (F.min("pos").over(doc) - 1).cast("int")).withColumn("end", F.max("span_end").over(doc))
+    needed = F.col("n") > (0 if root == "virtual" else 1)
+    own = F.struct("pos", F.when(orphan & needed, F.col("root")).otherwise(F.col("parent_pos")).alias("parent_pos"), "span_end")
+    above = F.struct(F.col("root").alias("pos"), F.lit(None).cast("int").alias("parent_pos"), F.col("end").alias("span_end"))
+    return marked.select("doc_id", F.explode(F.when(needed & (F.col("pos") == F.col("root") + 1), F.array(above, own)).otherwise(F.array(own))).alias("x")).select("doc_id", "x.*")
 
 
 def by_fold(h: DataFrame) -> DataFrame:
@@ -92,8 +121,8 @@ def by_stack(h: DataFrame) -> DataFrame:
 STRATEGIES = {"bands": by_bands, "fold": by_fold, "stack": by_stack}
 
 
-def assemble(h: DataFrame, strategy: str = "bands") -> DataFrame:
-    return STRATEGIES[strategy](h)
+def assemble(h: DataFrame, strategy: str = "bands", root: str = "first") -> DataFrame:
+    return by_bands(h, root) if strategy == "bands" else with_root(STRATEGIES[strategy](h), root)
 
 
 def truth(h: DataFrame) -> DataFrame:

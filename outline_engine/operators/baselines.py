@@ -12,9 +12,18 @@ from outline_engine.operators import assembly, depth
 Infer = Callable[[DataFrame], DataFrame]
 
 
-def infer(h: DataFrame, method: str = "local", strategy: str = "bands") -> DataFrame:
-    """The two stages: depths of style groups, then assembly."""
-    return assembly.assemble(depth.banded(h, depth.METHODS[method](depth.groups(h))), strategy)
+def infer(h: DataFrame, method: str = "local", strategy: str = "bands", root: str = "auto") -> DataFrame:
+    """The two stages: depths of style groups, then assembly.
+
+    The methods take the first style for the root's alone.  Where it occurs again, ``root="auto"`` puts a
+    virtual root above; this makes all depths one larger and changes nothing else.
+    """
+    return assembly.assemble(depth.banded(h, depth.METHODS[method](depth.groups(h))), strategy, root)
+
+
+def infer_part(h: DataFrame) -> DataFrame:
+    """A part of a document, whose headers without a parent will hang below the document's root."""
+    return infer(h, root="first")
 
 
 def deep(h: DataFrame) -> DataFrame:
@@ -30,7 +39,7 @@ def wide(h: DataFrame) -> DataFrame:
     return h.select("doc_id", "pos", F.when(F.col("pos") > first, first).alias("parent_pos"), F.when(F.col("pos") == first, end).otherwise(F.coalesce(F.lead("pos").over(order), end)).cast("int").alias("span_end"))
 
 
-def per_part(h: DataFrame, part: Column, infer_fn: Infer = infer) -> DataFrame:
+def per_part(h: DataFrame, part: Column, infer_fn: Infer = infer_part) -> DataFrame:
     """Infer each part of a document by itself and hang all below the document's root.
 
     ``part`` numbers a header's part; the root's is null.  A part stands for a document whose root is
@@ -46,7 +55,7 @@ def per_part(h: DataFrame, part: Column, infer_fn: Infer = infer) -> DataFrame:
     return hung.union(root.select("doc_id", F.col("root").alias("pos"), F.lit(None).cast("int").alias("parent_pos"), F.col("end").alias("span_end")))
 
 
-def batched(h: DataFrame, headers_each: int, infer_fn: Infer = infer) -> DataFrame:
+def batched(h: DataFrame, headers_each: int, infer_fn: Infer = infer_part) -> DataFrame:
     """Infer runs of so many headers by themselves, as a model with a bounded window would."""
     return per_part(h, F.when(F.col("pos") > 0, F.floor((F.col("pos") - 1) / headers_each)), infer_fn)
 
@@ -81,9 +90,12 @@ def from_contents(entries: DataFrame) -> DataFrame:
     return assembly.by_bands(entries.select("doc_id", "pos", F.col("level").alias("band")))
 
 
-def prior_global(h: DataFrame) -> DataFrame:
-    """The earlier algorithm for well-formatted documents: on its class it is global-first."""
-    return infer(h, "global")
+def prior_global(h: DataFrame, well: DataFrame) -> DataFrame:
+    """The earlier algorithm, for well-formatted documents only: on its class it is global-first.
+
+    ``well``: doc_id, well, as ``classes.formats`` gives them; other documents get no tree.
+    """
+    return infer(h.join(well.where("well").select("doc_id"), "doc_id", "left_semi"), "global")
 
 
 APPROACHES: dict[str, Infer] = {"local": infer, "global": lambda h: infer(h, "global"), "half": lambda h: infer(h, "half"), "deep": deep, "wide": wide}

@@ -32,6 +32,28 @@ def conformant(h: DataFrame, true: DataFrame, depths: DataFrame) -> DataFrame:
     return true.select("doc_id").distinct().join(held, "doc_id", "left").select("doc_id", F.coalesce("c", F.lit(True)).alias("conformant"))
 
 
+def conformant_by_openers(h: DataFrame, true: DataFrame) -> DataFrame:
+    """doc_id, conformant under global-first, from the order of openers alone."""
+    openers = h.groupBy("doc_id", "style").agg(F.min("pos").alias("opener"))
+    styles = h.select("doc_id", "pos", "style")
+    child = true.where("parent_pos IS NOT NULL").join(styles, ["doc_id", "pos"]).select("doc_id", "parent_pos", "style")
+    pairs = child.join(styles.select("doc_id", F.col("pos").alias("parent_pos"), F.col("style").alias("above")), ["doc_id", "parent_pos"]).select("doc_id", "style", "above").distinct()
+    first = pairs.join(openers, ["doc_id", "style"]).join(openers.select("doc_id", F.col("style").alias("above"), F.col("opener").alias("above_opener")), ["doc_id", "above"])
+    held = first.groupBy("doc_id").agg(F.bool_and(F.col("above_opener") < F.col("opener")).alias("c"))
+    return true.select("doc_id").distinct().join(held, "doc_id", "left").select("doc_id", F.coalesce("c", F.lit(True)).alias("conformant"))
+
+
+def excess_words(tree: DataFrame, true: DataFrame, h: DataFrame) -> DataFrame:
+    """doc_id, excess_headers, excess_words: what the spans hold beyond the true ones."""
+    from outline_engine.operators import metrics
+
+    t = true.select("doc_id", "pos", F.col("span_end").alias("true_end"))
+    beyond = tree.join(t, ["doc_id", "pos"]).where("span_end > true_end").select("doc_id", "true_end", "span_end")
+    sums = metrics.with_words(beyond, h, "true_end", "span_end", "w").groupBy("doc_id").agg(F.sum(F.col("span_end") - F.col("true_end")).alias("n"), F.sum("w").alias("w"))
+    zero = lambda c: F.coalesce(F.col(c), F.lit(0)).cast("bigint")
+    return true.select("doc_id").distinct().join(sums, "doc_id", "left").select("doc_id", zero("n").alias("excess_headers"), zero("w").alias("excess_words"))
+
+
 def formats(h: DataFrame, true: DataFrame) -> DataFrame:
     """doc_id, well, loose, aligned."""
     nodes = assembly.levels(true).join(h.select("doc_id", "pos", "style"), ["doc_id", "pos"])

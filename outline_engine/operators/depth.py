@@ -65,6 +65,16 @@ def blend_finished(g: DataFrame, k: float) -> DataFrame:
     return a.join(b, ["doc_id", "g"]).select("doc_id", "style", "g", F.round(k * F.col("a") + (1 - k) * F.col("b"), DIGITS).alias("sd"))
 
 
+def with_k(g: DataFrame, table: DataFrame, default: float = 1.0) -> DataFrame:
+    """Groups with the k of a table (doc_id, style, k), for ``blend(g, F.col("k"))``."""
+    return g.join(table.select("doc_id", "style", F.col("k").cast("double").alias("k")), ["doc_id", "style"], "left").withColumn("k", F.coalesce("k", F.lit(float(default))))
+
+
+def k_by(condition: Column, k: float = 1.0, otherwise: float = 0.0) -> Column:
+    """A k that depends on a feature of the group's style."""
+    return F.when(condition, float(k)).otherwise(float(otherwise))
+
+
 def hashed_k(seed: int, steps: int = 8) -> Column:
     """A k per group that depends on nothing but its number: pseudo-random in steps of 1/steps."""
     return F.pmod(F.col("g").cast("bigint") * 2654435761 + F.lit(seed * 40503), F.lit(steps + 1)) / F.lit(steps)

@@ -7,6 +7,7 @@ from functools import reduce
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from outline_engine.functions.text import norm_words
 from outline_engine.operators import assembly, depth
 
 
@@ -61,35 +62,48 @@ def with_words(spans: DataFrame, h: DataFrame, begin: str, end: str, name: str)
     return joined.withColumn(name, zero("__to") - zero("__from")).drop("__to", "__from")
 
 
-def topdown(trees: DataFrame, h: DataFrame, true: DataFrame) -> DataFrame:
+def _nearest(trees: DataFrame, true: DataFrame, approaches: tuple[str, ...] | None) -> DataFrame:
+    """approach, doc_id, pos, true_end of each true header below the root, with u and u_end: the header of the tree
+    that it is, or the nearest earlier one, whose span covers it."""
+    heads = true.where("pos > 0").select("doc_id", "pos", F.col("span_end").alias("true_end"))
+    if approaches is None:
+        named = heads.crossJoin(F.broadcast(trees.select("approach").distinct()))
+    else:
+        named = heads.withColumn("approach", F.explode(F.array(*[F.lit(a) for a in approaches])))
+    asks = named.select("approach", "doc_id", "pos", "true_end", F.lit(None).cast("int").alias("u"), F.lit(None).cast("int").alias("u_end"))
+    have = trees.select("approach", "doc_id", "pos", F.lit(None).cast("int").alias("true_end"), F.col("pos").alias("u"), F.col("span_end").alias("u_end"))
+    order = Window.partitionBy("approach", "doc_id").orderBy("pos", F.col("u").isNull())
+    near = have.union(asks).withColumn("x", F.last(F.when(F.col("u").isNotNull(), F.struct("u", "u_end")), ignorenulls=True).over(order)).where("true_end IS NOT NULL")
+    return near.select("approach", "doc_id", "pos", "true_end", F.col("x.u").alias("u"), F.col("x.u_end").alias("u_end"))
+
+
+def topdown(trees: DataFrame, h: DataFrame, true: DataFrame, approaches: tuple[str, ...] | None = None) -> DataFrame:
     """approach, doc_id, pos, rec, prec, f1 of each true header's span, in words.
 
     A header that the tree has starts its span where the true one starts, so the smaller word count is
     the intersection.  For one that is missing, the nearest earlier header of the tree stands in, and
-    the words that both spans cover are their intersection.
+    the words that both spans cover are their intersection.  ``approaches`` saves finding out their names.
     """
-    heads = true.where("pos > 0").select("doc_id", "pos", F.col("span_end").alias("true_end"))
-    names = trees.select("approach").distinct()
-    asks = heads.crossJoin(F.broadcast(names)).select("approach", "doc_id", "pos", "true_end", F.lit(None).cast("int").alias("u"), F.lit(None).cast("int").alias("u_end"))
-    have = trees.select("approach", "doc_id", "pos", F.lit(None).cast("int").alias("true_end"), F.col("pos").alias("u"), F.col("span_end").alias("u_end"))
-    order = Window.partitionBy("approach", "doc_id").orderBy("pos", F.col("u").isNull())
-    near = have.union(asks).withColumn("x", F.last(F.when(F.col("u").isNotNull(), F.struct("u", "u_end")), ignorenulls=True).over(order)).where("true_end IS NOT NULL")
-    spans = near.select("approach", "doc_id", "pos", "true_end", F.col("x.u").alias("u"), F.col("x.u_end").alias("u_end"), F.greatest("pos", F.least("true_end", F.col("x.u_end"))).alias("both_end"))
+    near = _nearest(trees, true, approaches)
+    spans = near.withColumn("both_end", F.greatest("pos", F.least("true_end", "u_end")))
     sized = with_words(with_words(with_words(spans, h, "pos", "true_end", "true_w"), h, "u", "u_end", "found_w"), h, "pos", "both_end", "both_w")
     return sized.select("approach", "doc_id", "pos", *shares(F.col("both_w"), F.col("true_w"), F.col("found_w")))
 
 
-def bottomup(trees: DataFrame, true: DataFrame) -> DataFrame:
-    """approach, doc_id, pos, rec, prec, f1 of each true header's list of ancestors (itself with them, the root without)."""
+def bottomup(trees: DataFrame, true: DataFrame, approaches: tuple[str, ...] | None = None) -> DataFrame:
+    """approach, doc_id, pos, rec, prec, f1 of each true header's list of ancestors (itself with them, the root without).
+
+    For a header that the tree lacks, the list of the nearest earlier header of the tree stands in.
+    """
     heads = assembly.levels(true).where("pos > 0").select("doc_id", "pos", F.col("level").alias("true_n"))
     own = true.where("pos > 0").select("doc_id", "pos", F.col("pos").alias("anc_pos"))
     lists = assembly.closure(true).where("anc_pos > 0").union(own)
-    by_key = trees.select("approach").distinct().withColumn("a", F.crc32(F.col("approach").cast("binary")))
-    keyed = trees.join(F.broadcast(by_key), "approach").withColumn("key", F.struct("doc_id", "a"))
-    level = assembly.levels(keyed.select(F.col("key").alias("doc_id"), "pos", "parent_pos", "span_end")).select(F.col("doc_id.doc_id").alias("doc_id"), F.col("doc_id.a").alias("a"), "pos", F.col("level").alias("found_n"))
-    level = level.join(F.broadcast(by_key), "a").select("approach", "doc_id", "pos", "found_n")
-    held = lists.join(trees.select("approach", "doc_id", F.col("pos").alias("anc_pos"), "span_end"), ["doc_id", "anc_pos"]).where("pos < span_end").groupBy("approach", "doc_id", "pos").agg(F.count("*").alias("both_n"))
-    scored = heads.crossJoin(F.broadcast(by_key.select("approach"))).join(level, ["approach", "doc_id", "pos"], "left").join(held, ["approach", "doc_id", "pos"], "left")
+    keyed = trees.withColumn("key", F.struct("doc_id", "approach"))
+    level = assembly.levels(keyed.select(F.col("key").alias("doc_id"), "pos", "parent_pos", "span_end")).select(F.col("doc_id.approach").alias("approach"), F.col("doc_id.doc_id").alias("doc_id"), F.col("pos").alias("u"), F.col("level").alias("found_n"))
+    near = _nearest(trees, true, approaches).select("approach", "doc_id", "pos", "u")
+    at = trees.select("approach", "doc_id", F.col("pos").alias("anc_pos"), "span_end")
+    held = lists.join(near, ["doc_id", "pos"]).join(at, ["approach", "doc_id", "anc_pos"]).where("anc_pos <= u AND u < span_end").groupBy("approach", "doc_id", "pos").agg(F.count("*").alias("both_n"))
+    scored = near.join(heads, ["doc_id", "pos"]).join(level, ["approach", "doc_id", "u"], "left").join(held, ["approach", "doc_id", "pos"], "left")
     zero = lambda c: F.coalesce(c, F.lit(0))
     return scored.select("approach", "doc_id", "pos", *shares(zero("both_n"), F.col("true_n"), zero("found_n")))
 
@@ -110,11 +124,12 @@ def header_scores(detected: DataFrame, true: DataFrame) -> DataFrame:
     return sums.select("true_n", "found_n", "both_n", *[F.round(c, 6).alias(n) for c, n in zip(shares(F.col("both_n"), F.col("true_n"), F.col("found_n")), ("rec", "prec", "f1"), strict=True)])
 
 
-def fabricated(reported: DataFrame, phrases: DataFrame) -> DataFrame:
-    """Share of reported headers whose text is in no phrase of their document."""
-    made = reported.select("doc_id", "title").join(phrases.select("doc_id", F.col("line").alias("title")), ["doc_id", "title"], "left_anti")
-    n = reported.agg(F.count("*").alias("reported"))
-    return made.agg(F.count("*").alias("fabricated")).crossJoin(n).select("reported", "fabricated", F.round(F.col("fabricated") / F.nullif(F.col("reported"), F.lit(0)), 6).alias("share"))
+def fabricated(reported: DataFrame, docs: DataFrame) -> DataFrame:
+    """Share of reported headers (doc_id, title) whose normalised words do not stand in their document (doc_id, text)."""
+    padded = lambda c: F.concat(F.lit(" "), F.array_join(norm_words(c), " "), F.lit(" "))
+    made = reported.select("doc_id", "title").join(docs.select("doc_id", "text"), "doc_id", "left")
+    marked = made.withColumn("made_up", ~F.coalesce(F.contains(padded(F.col("text")), padded(F.col("title"))), F.lit(False)))
+    return marked.agg(F.count("*").alias("reported"), F.count_if("made_up").alias("fabricated")).select("reported", "fabricated", F.round(F.col("fabricated") / F.nullif(F.col("reported"), F.lit(0)), 6).alias("share"))
 
 
 def bag_overlap(pairs: DataFrame, tokens: DataFrame) -> DataFrame:

@@ -7,7 +7,7 @@ from pyspark.sql import functions as F
 
 from outline_engine.operators import assembly
 
-MAX_ROUNDS, RETRIES, CONTEXT = 100, 3, 1000
+MAX_ROUNDS, CONTEXT = 100, 1000
 
 
 def numbered(tree: DataFrame) -> DataFrame:
@@ -49,17 +49,19 @@ def read_section(requests: DataFrame, tree: DataFrame, phrases: DataFrame) -> Da
 def grep(calls: DataFrame, docs: DataFrame) -> DataFrame:
     """Each call of a pattern in a session gives its next match; other patterns do not move its cursor.
 
-    ``calls``: session, call_no, doc_id, pattern (a literal).  Returns the match number, its position
-    (from 1, null when there is none left) and up to CONTEXT characters around it.
+    ``calls``: session, call_no, doc_id, pattern (a regular expression).  Returns the match number, its
+    position (from 1, null when there is none left) and up to CONTEXT characters around it.  A pattern that
+    matches the empty text finds nothing.
     """
     turn = F.row_number().over(Window.partitionBy("session", "pattern").orderBy("call_no"))
     asked = calls.withColumn("match_no", turn).join(docs.select("doc_id", "text"), "doc_id")
-    pieces = F.split("text", F.concat(F.lit(r"\Q"), F.col("pattern"), F.lit(r"\E")))
-    before = F.aggregate(F.slice(pieces, 1, F.col("match_no")), F.lit(0), lambda a, x: a + F.length(x))
-    at = F.when(F.size(pieces) > F.col("match_no"), before + (F.col("match_no") - 1) * F.length("pattern") + 1)
-    middle = F.col("at") + F.floor(F.length("pattern") / 2).cast("int")
-    begin = F.greatest(middle - CONTEXT // 2, F.lit(1))
-    return asked.withColumn("at", at).select("session", "call_no", "doc_id", "pattern", "match_no", "at", F.when(F.col("at").isNotNull(), F.substring("text", begin, F.lit(CONTEXT))).alias("context"))
+    cut = asked.withColumn("hits", F.when(F.regexp_like(F.lit(""), F.col("pattern")), F.array().cast("array<string>")).otherwise(F.regexp_extract_all("text", F.col("pattern"), F.lit(0)))).withColumn("pieces", F.split("text", F.col("pattern")))
+    sizes = lambda xs: F.aggregate(xs, F.lit(0), lambda a, x: a + F.length(x))
+    before = sizes(F.slice("pieces", 1, F.col("match_no"))) + sizes(F.slice("hits", 1, F.col("match_no") - 1))
+    hit = F.get("hits", F.col("match_no") - 1)
+    placed = cut.withColumn("at", F.when(hit.isNotNull(), before + 1)).withColumn("n", F.length(hit))
+    begin = F.greatest(F.col("at") + F.floor(F.col("n") / 2).cast("int") - CONTEXT // 2, F.lit(1))
+    return placed.select("session", "call_no", "doc_id", "pattern", "match_no", "at", F.when(F.col("at").isNotNull(), F.substring("text", begin, F.lit(CONTEXT))).alias("context"))
 
 
 LETTERS = "abcdefghijklmnopqrstuvwxyz"

@@ -11,7 +11,8 @@ from functools import partial, reduce
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from outline_engine.operators import assembly, baselines, classes, depth, metrics, outline
+from outline_engine.functions import text
+from outline_engine.operators import assembly, baselines, classes, depth, metrics, outline, qa
 from outline_engine.plans import fixtures, planner, relational
 from outline_engine.plans import sql_twins as sql
 from outline_engine.sources import corpora
@@ -61,6 +62,16 @@ add(
     lambda s, d: depth.blend(depth.groups(CORPORA["composite4"](s, d)), depth.hashed_k(3)).select("doc_id", "style", "g", "sd"),
     _with(sql.CORPORA["composite4"], sql.GROUPS, sql.depths("((x.g * 2654435761 + 3 * 40503) % 9) / 8.0", "x")) + " SELECT doc_id, style, g, sd FROM x_sd",
 )
+add(
+    "m_blend_by_style_parity",
+    lambda s, d: depth.blend(depth.groups(CORPORA["parity"](s, d)), depth.k_by(F.col("style").startswith("customer"), 0.25, 0.75)).select("doc_id", "style", "g", "sd"),
+    _with(sql.CORPORA["parity"], sql.GROUPS, sql.depths("CASE WHEN starts_with(x.style, 'customer') THEN 0.25 ELSE 0.75 END", "x")) + " SELECT doc_id, style, g, sd FROM x_sd",
+)
+add(
+    "m_blend_finished_composite4",
+    lambda s, d: depth.blend_finished(depth.groups(CORPORA["composite4"](s, d)), 0.25),
+    _with(sql.CORPORA["composite4"], sql.GROUPS, sql.depths("1", "a"), sql.depths("0", "b")) + " SELECT a_sd.doc_id, a_sd.style, a_sd.g, round(0.25 * a_sd.sd + 0.75 * b_sd.sd, 9) AS sd FROM a_sd JOIN b_sd USING (doc_id, g)",
+)
 add("m_groups_lines", lambda s, d: depth.groups(CORPORA["lines"](s, d)).select("doc_id", "style", "g", "opener", "prev_g", "n_nodes"), _with(sql.LINES, sql.GROUPS) + " SELECT doc_id, style, g, CAST(opener AS INTEGER) AS opener, prev_g, n_nodes FROM grp")
 add("m_spans_truth_parity", lambda s, d: assembly.truth(CORPORA["parity"](s, d)), _with(sql.CORPORA["parity"], sql.tree("h", "rk", "true_t")) + f" SELECT {TREE} FROM true_t")
 _LEVEL = "lv AS (SELECT t.*, (SELECT count(*) FROM true_t u WHERE u.doc_id = t.doc_id AND u.pos < t.pos AND t.pos < u.span_end) AS level FROM true_t t)"
@@ -79,7 +90,6 @@ for c in ("lines", "parity"):
     add(f"b_wide_{c}", lambda s, d, c=c: baselines.wide(CORPORA[c](s, d)), _with(sql.CORPORA[c], sql.WIDE) + f" SELECT {TREE} FROM wide")
 add("b_batched_composite8", lambda s, d: baselines.batched(CORPORA["composite8"](s, d), 20))
 add("b_per_part_composite4", lambda s, d: (lambda h: baselines.per_part(h.withColumn("part_no", F.count_if(F.col("style") == "TITLE").over(_upto())).select(*h.columns, "part_no"), F.when(F.col("pos") > 0, F.col("part_no"))))(CORPORA["composite4"](s, d)))
-add("b_prior_global_dialogue", lambda s, d: baselines.prior_global(CORPORA["dialogue"](s, d)), _with(sql.DIALOGUE, sql.trees("global")) + f" SELECT {TREE} FROM global_t")
 _MIX = "((doc_id * 7919 + pos * 104729 + {seed} * 31) % 100)"
 add(
     "b_text_model_dialogue",
@@ -127,10 +137,17 @@ def _flags_sql(c: str) -> str:
     return _with(sql.CORPORA[c], sql.trees("local", "global", "half")) + _FLAGS + " " + _FLAG_SELECT
 
 
+add(
+    "b_prior_global_dialogue",
+    lambda s, d: (lambda h: baselines.prior_global(h, classes.formats(h, assembly.truth(h))))(CORPORA["dialogue"](s, d)),
+    _with(sql.DIALOGUE, sql.trees("local", "global", "half")) + _FLAGS + f" SELECT {TREE} FROM global_t WHERE doc_id NOT IN (SELECT doc_id FROM badw)",
+)
+add("c_by_openers_composite4", lambda s, d: (lambda h: classes.conformant_by_openers(h, assembly.truth(h)))(CORPORA["composite4"](s, d)), f"SELECT doc_id, conf_global AS conformant FROM ({_flags_sql('composite4')})")
 for c in FLAG_CORPORA:
     add(f"c_flags_{c}", lambda s, d, c=c: classes.flags(CORPORA[c](s, d), stored), _flags_sql(c))
 add("r_edges_memo", lambda s, d: (lambda h: classes.robust_by_edges(baselines.infer(h), assembly.truth(h)))(CORPORA["memo"](s, d)), _with(sql.CORPORA["memo"], sql.trees("local")) + " SELECT t.doc_id, bool_and(a.span_end >= t.span_end) AS robust FROM true_t t JOIN local_t a USING (doc_id, pos) GROUP BY 1")
-add("r_valid_composite4", lambda s, d: classes.valid_tree(baselines.infer(CORPORA["composite4"](s, d))), _with(sql.CORPORA["composite4"]) + " SELECT DISTINCT doc_id, true AS valid FROM h")
+_VALID = " SELECT t.doc_id, bool_and(t.parent_pos IS NULL OR (p.pos < t.pos AND t.pos < p.span_end AND t.span_end <= p.span_end)) AND count(*) FILTER (t.parent_pos IS NULL) = 1 AS valid FROM {t} t LEFT JOIN {t} p ON p.doc_id = t.doc_id AND p.pos = t.parent_pos GROUP BY t.doc_id"
+add("r_valid_composite4", lambda s, d: classes.valid_tree(baselines.infer(CORPORA["composite4"](s, d))), _with(sql.CORPORA["composite4"], sql.trees("local")) + _VALID.format(t="local_t"))
 add(
     "r_depth_bound_composite4",
     lambda s, d: (lambda h: classes.tree_depth(baselines.infer(h)).join(depth.groups(h).groupBy("doc_id").agg(F.count("*").alias("n_groups")), "doc_id").select("doc_id", F.col("depth").cast("bigint").alias("depth"), "n_headers", "n_groups", (F.col("depth") <= F.col("n_groups")).alias("bounded")))(CORPORA["composite4"](s, d)),
@@ -139,6 +156,21 @@ add(
 SELECT doc_id, max(level) AS depth, count(*) AS n_headers, any_value(n) AS n_groups, max(level) <= any_value(n) AS bounded FROM lv JOIN (SELECT doc_id, count(*) AS n FROM grp GROUP BY 1) USING (doc_id) GROUP BY doc_id""",
 )
 
+add(
+    "r_excess_words_parity",
+    lambda s, d: (lambda h: classes.excess_words(baselines.infer(h, "global"), assembly.truth(h), h))(stored(CORPORA["parity"](s, d))),
+    _with(sql.CORPORA["parity"], sql.trees("global"))
+    + """, cum AS (SELECT doc_id, pos, CAST(sum(body_words) OVER (PARTITION BY doc_id ORDER BY pos) AS BIGINT) AS upto FROM h)
+SELECT t.doc_id, CAST(sum(greatest(0, a.span_end - t.span_end)) AS BIGINT) AS excess_headers, CAST(sum(CASE WHEN a.span_end > t.span_end THEN x.upto - y.upto ELSE 0 END) AS BIGINT) AS excess_words
+FROM true_t t JOIN global_t a USING (doc_id, pos) JOIN cum x ON x.doc_id = t.doc_id AND x.pos = a.span_end - 1 JOIN cum y ON y.doc_id = t.doc_id AND y.pos = t.span_end - 1 GROUP BY t.doc_id""",
+)
+# Lines without the row of the root: the first style may occur again, and a virtual root is put above.
+_ROOTLESS = _with(sql.LINES.replace("\nh AS (", "\nhall AS ("), "h AS (SELECT * FROM hall WHERE pos > 0)", sql.trees("local"))
+_ROOTLESS += """, m AS (SELECT *, count(*) FILTER (parent_pos IS NULL) OVER w AS n, min(pos) OVER w AS f, max(span_end) OVER w AS e FROM local_t WINDOW w AS (PARTITION BY doc_id)),
+vt AS (SELECT doc_id, pos, CASE WHEN parent_pos IS NULL AND n > 1 THEN f - 1 ELSE parent_pos END AS parent_pos, span_end FROM m UNION ALL SELECT DISTINCT doc_id, f - 1, NULL, e FROM m WHERE n > 1)"""
+add("m_virtual_root_lines", lambda s, d: baselines.infer(CORPORA["lines"](s, d).where("pos > 0")), _ROOTLESS + f" SELECT {TREE} FROM vt")
+add("r_valid_virtual_root_lines", lambda s, d: classes.valid_tree(baselines.infer(CORPORA["lines"](s, d).where("pos > 0"))), _ROOTLESS + _VALID.format(t="vt"))
+
 
 # Workloads.
 def _union(parts: list[DataFrame]) -> DataFrame:
@@ -168,10 +200,17 @@ add("w03_header_scores", w03, _with(sql.LINES) + f", x AS (SELECT count(*) AS tr
 def w03_fabricated(s: SparkSession, d: str) -> DataFrame:
     h = CORPORA["lines"](s, d).where("pos > 0")
     made = h.withColumn("title", F.when(baselines.mixed(F.col("doc_id"), F.col("pos"), 9, 100) < 4, F.concat("title", F.lit(" (continued)"))).otherwise(F.col("title")))
-    return metrics.fabricated(made, corpora.line_phrases(s, d))
+    return metrics.fabricated(made, corpora.read(s, d, "documents"))
 
 
-add("w03_fabricated", w03_fabricated, _with(sql.LINES) + f", m AS (SELECT doc_id, CASE WHEN {_MIX.format(seed=9)} < 4 THEN title || ' (continued)' ELSE title END AS title FROM h WHERE pos > 0), f AS (SELECT count(*) AS fabricated FROM m WHERE NOT EXISTS (SELECT 1 FROM phrase p WHERE p.doc_id = m.doc_id AND p.line = m.title)) SELECT (SELECT count(*) FROM m) AS reported, fabricated, round(fabricated / (SELECT count(*) FROM m), 6) AS share FROM f")
+add(
+    "w03_fabricated",
+    w03_fabricated,
+    _with(sql.LINES)
+    + f""", m AS (SELECT doc_id, CASE WHEN {_MIX.format(seed=9)} < 4 THEN title || ' (continued)' ELSE title END AS title FROM h WHERE pos > 0),
+x AS (SELECT contains(' ' || {text.normalised_sql('d.text')} || ' ', ' ' || {text.normalised_sql('m.title')} || ' ') AS there FROM m JOIN documents d USING (doc_id))
+SELECT count(*) AS reported, count(*) FILTER (NOT there) AS fabricated, round(count(*) FILTER (NOT there) / count(*), 6) AS share FROM x""",
+)
 
 _SHARES = "CASE WHEN {t} = 0 THEN 1 ELSE {b} / {t} END AS rec, CASE WHEN {f} = 0 THEN 1 ELSE {b} / {f} END AS prec, CASE WHEN {t} + {f} = 0 THEN 1 ELSE 2 * {b} / ({t} + {f}) END AS f1"
 _AVG = "count(*) AS n, round(avg(rec), 6) AS rec, round(avg(prec), 6) AS prec, round(avg(f1), 6) AS f1"
@@ -190,19 +229,19 @@ bu AS (SELECT approach, doc_id, pos, {_SHARES.format(t="t", f="f", b="b")} FROM
 
 def topdown(s: SparkSession, d: str, c: str, approaches: tuple[str, ...] = APPROACHES) -> DataFrame:
     h = stored(CORPORA[c](s, d))
-    return metrics.topdown(metrics.all_trees(h, approaches), h, assembly.truth(h))
+    return metrics.topdown(metrics.all_trees(h, approaches), h, assembly.truth(h), approaches)
 
 
 def bottomup(s: SparkSession, d: str, c: str, approaches: tuple[str, ...] = APPROACHES) -> DataFrame:
     h = stored(CORPORA[c](s, d))
-    return metrics.bottomup(stored(metrics.all_trees(h, approaches)), stored(assembly.truth(h)))
+    return metrics.bottomup(stored(metrics.all_trees(h, approaches)), stored(assembly.truth(h)), approaches)
 
 
 for name, c in DATASETS.items():
     add(f"w04_topdown_{name}", lambda s, d, c=c: metrics.averages(topdown(s, d, c), "approach"), _with(sql.CORPORA[c], sql.trees(*APPROACHES), sql.union_trees(*APPROACHES), _TOPDOWN) + f" SELECT approach, {_AVG} FROM td GROUP BY approach")
     # The oracle's lists are quadratic; the long data set is left to the tests.
     add(f"w04_bottomup_{name}", lambda s, d, c=c: metrics.averages(bottomup(s, d, c), "approach"), None if name == "long" else _with(sql.CORPORA[c], sql.trees(*APPROACHES), sql.union_trees(*APPROACHES), _BOTTOMUP) + f" SELECT approach, {_AVG} FROM bu GROUP BY approach")
-add("w04_stratified", lambda s, d: metrics.stratified(_union([metrics.averages(topdown(s, d, c), "approach") for c in DATASETS.values()]), "approach"))
+add("w04_stratified", lambda s, d: metrics.stratified(_union([metrics.averages(topdown(s, d, c), "approach") for c in DATASETS.values()]), "approach"), f"SELECT approach, round(avg(rec), 6) AS rec, round(avg(prec), 6) AS prec, round(avg(f1), 6) AS f1 FROM ({' UNION ALL '.join(f'SELECT * FROM ({ORACLES[f'w04_topdown_{n}']})' for n in DATASETS)}) GROUP BY approach")
 
 
 def w05(s: SparkSession, d: str, kinds: tuple[str, ...] = ("html", "dialogue", "composite4")) -> DataFrame:
@@ -240,7 +279,12 @@ add(
     _with(sql.CORPORA["composite4"], sql.GROUPS, sql.tree("h", "rk", "true_t"), *[sql.depths(str(k), f"k{i}") + "," + sql.tree(f"k{i}_h", "sd", f"k{i}_t") for i, k in enumerate(SWEEP)])
     + " UNION ALL ".join(f" SELECT CAST({k} AS DOUBLE) AS k, count(*) FILTER (ok) AS robust, CAST(sum(e) AS BIGINT) AS excess FROM (SELECT bool_and(a.span_end >= t.span_end) AS ok, sum(greatest(0, a.span_end - t.span_end)) AS e FROM true_t t JOIN k{i}_t a USING (doc_id, pos) GROUP BY t.doc_id)" for i, k in enumerate(SWEEP)),
 )
-add("w08_depth_ratio", lambda s, d: (lambda h: (lambda tree, true: metrics.by_depth_ratio(metrics.topdown(tree.withColumn("approach", F.lit("local")), h, true), tree, true))(stored(baselines.infer(h)), stored(assembly.truth(h))))(stored(CORPORA["composite4"](s, d))))
+add("w08_depth_ratio", lambda s, d: (lambda h: (lambda tree, true: metrics.by_depth_ratio(metrics.topdown(tree.withColumn("approach", F.lit("local")), h, true), tree, true))(stored(baselines.infer(h)), stored(assembly.truth(h))))(stored(CORPORA["composite4"](s, d))),
+    _with(sql.CORPORA["composite4"], sql.trees("local"), sql.union_trees("local"), _TOPDOWN)
+    + """, dp AS (SELECT x.doc_id, x.t, 1 + max((SELECT count(*) FROM both_t u WHERE u.t = x.t AND u.doc_id = x.doc_id AND u.pos < x.pos AND x.pos < u.span_end)) AS n FROM both_t x GROUP BY ALL),
+r AS (SELECT doc_id, floor(f.n / g.n * 4) / 4 AS ratio FROM (SELECT * FROM dp WHERE t = 'found') f JOIN (SELECT * FROM dp WHERE t = 'true') g USING (doc_id)),
+pd AS (SELECT doc_id, avg(prec) AS prec FROM td GROUP BY 1) SELECT ratio, count(*) AS n_docs, round(avg(prec), 6) AS prec FROM pd JOIN r USING (doc_id) GROUP BY ratio""".replace(", dp AS", ", both_t AS (SELECT 'found' AS t, doc_id, pos, span_end FROM local_t UNION ALL SELECT 'true', doc_id, pos, span_end FROM true_t), dp AS", 1),
+)
 add(
     "w08_groups_vs_headers",
     lambda s, d: depth.groups(CORPORA["composite8"](s, d)).groupBy("doc_id").agg(F.count("*").alias("n_groups"), F.sum("n_nodes").alias("n_headers")),
@@ -248,15 +292,51 @@ add(
 )
 
 
-def w09(s: SparkSession, d: str) -> DataFrame:
-    """Trees of found headers against trees of true ones."""
+HEADERS_OF = ("true headers", "found headers")
+
+
+def _found_headers(s: SparkSession, d: str) -> tuple[DataFrame, DataFrame, DataFrame]:
+    """Headers, their true tree, and trees of true headers and of those found, of which ten in a hundred are missed."""
     h = stored(CORPORA["composite4"](s, d))
-    true = stored(assembly.truth(h))
-    trees = baselines.infer(h).withColumn("approach", F.lit("true headers")).union(baselines.infer(baselines.perturbed(h, 10)).withColumn("approach", F.lit("found headers")))
-    return metrics.averages(metrics.topdown(trees, h, true), "approach")
+    trees = baselines.infer(h).withColumn("approach", F.lit(HEADERS_OF[0])).union(baselines.infer(baselines.perturbed(h, 10)).withColumn("approach", F.lit(HEADERS_OF[1])))
+    return h, stored(assembly.truth(h)), stored(trees)
 
 
-add("w09_true_headers", w09)
+def w09(s: SparkSession, d: str) -> DataFrame:
+    """Trees of found headers against trees of true ones."""
+    h, true, trees = _found_headers(s, d)
+    return metrics.averages(metrics.topdown(trees, h, true, HEADERS_OF), "approach")
+
+
+def w09_bottomup(s: SparkSession, d: str) -> DataFrame:
+    _, true, trees = _found_headers(s, d)
+    return metrics.averages(metrics.bottomup(trees, true, HEADERS_OF), "approach")
+
+
+_FOUND = _with(
+    sql.CORPORA["composite4"].replace("\nh AS (", "\nhall AS ("),
+    f"h AS (SELECT * FROM hall WHERE pos = 0 OR {_MIX.format(seed=1)} >= 10)",
+    # Positions have gaps here, so the header before an opener is looked up and not counted back.
+    sql.GROUPS.replace("p.pos = a.opener - 1", "p.pos = (SELECT max(z.pos) FROM h z WHERE z.doc_id = a.doc_id AND z.pos < a.opener)"),
+    sql.depths("1", "found"),
+    sql.tree("found_h", "sd", "found_t"),
+    sql.tree("hall", "rk", "true_t"),
+    "cum AS (SELECT doc_id, pos, CAST(sum(body_words) OVER (PARTITION BY doc_id ORDER BY pos) AS BIGINT) AS upto FROM hall)",
+    "cover AS (SELECT v.doc_id, v.pos, v.span_end AS te, (SELECT max(a.pos) FROM found_t a WHERE a.doc_id = v.doc_id AND a.pos <= v.pos) AS u FROM true_t v WHERE v.pos > 0)",
+    "nu AS (SELECT n.*, a.span_end AS ue, greatest(n.pos, least(n.te, a.span_end)) AS be FROM cover n JOIN found_t a ON a.doc_id = n.doc_id AND a.pos = n.u)",
+)
+_BETWEEN = "(SELECT upto FROM cum WHERE cum.doc_id = nu.doc_id AND cum.pos = nu.{b} - 1) - coalesce((SELECT upto FROM cum WHERE cum.doc_id = nu.doc_id AND cum.pos = nu.{a} - 1), 0)"
+for name, (query, columns) in {
+    "w09_true_headers": (w09, f"SELECT {_BETWEEN.format(a='pos', b='te')} AS t, {_BETWEEN.format(a='u', b='ue')} AS f, {_BETWEEN.format(a='pos', b='be')} AS b FROM nu"),
+    "w09_bottomup": (
+        w09_bottomup,
+        """SELECT (SELECT count(*) FROM true_t a WHERE a.doc_id = nu.doc_id AND a.pos > 0 AND a.pos <= nu.pos AND nu.pos < a.span_end) AS t,
+  (SELECT count(*) FROM found_t a WHERE a.doc_id = nu.doc_id AND a.pos > 0 AND a.pos <= nu.u AND nu.u < a.span_end) AS f,
+  (SELECT count(*) FROM found_t a JOIN true_t z USING (doc_id, pos) WHERE a.doc_id = nu.doc_id AND a.pos > 0 AND a.pos <= nu.u AND nu.u < a.span_end AND nu.pos < z.span_end) AS b FROM nu""",
+    ),
+}.items():
+    whole = _with(sql.CORPORA["composite4"], sql.trees("local"), "tr AS (SELECT 'true headers' AS approach, * FROM local_t)", _TOPDOWN if name == "w09_true_headers" else _BOTTOMUP)
+    add(name, query, f"SELECT * FROM ({whole} SELECT approach, {_AVG} FROM {'td' if name == 'w09_true_headers' else 'bu'} GROUP BY approach) UNION ALL SELECT * FROM ({_FOUND}, x AS ({columns}) SELECT 'found headers' AS approach, {_AVG} FROM (SELECT {_SHARES.format(t='t', f='f', b='b')} FROM x))")
 
 _ASK = "style LIKE 'customer%'"
 
@@ -266,38 +346,65 @@ def _questions(s: SparkSession, d: str) -> tuple[DataFrame, DataFrame, DataFrame
     return h, assembly.truth(h), h.where(_ASK).select("doc_id", "pos")
 
 
-def w12(s: SparkSession, d: str) -> DataFrame:
-    """One question per customer, answered from its section: share of complete sections, and words read, per tree."""
-    h, true, asked = _questions(s, d)
-    got = outline.answer(metrics.all_trees(h), asked, true, h)
-    return got.groupBy("approach").agg(F.count("*").alias("questions"), F.count_if("found").alias("complete"), F.sum(F.col("section_words") + F.col("outline_lines")).alias("words_read"))
-
-
 _ANSWERS = """
 cum AS (SELECT doc_id, pos, CAST(sum(body_words) OVER (PARTITION BY doc_id ORDER BY pos) AS BIGINT) AS upto FROM h),
 ans AS (SELECT tr.approach, t.doc_id, t.pos, tr.span_end >= t.span_end AS found, fe.upto - coalesce(b.upto, 0) AS w, (SELECT count(*) - 1 FROM h x WHERE x.doc_id = t.doc_id) AS n FROM h q JOIN true_t t USING (doc_id, pos) JOIN tr USING (doc_id, pos)
   JOIN cum fe ON fe.doc_id = t.doc_id AND fe.pos = tr.span_end - 1 LEFT JOIN cum b ON b.doc_id = t.doc_id AND b.pos = t.pos - 1 WHERE q.style LIKE 'customer%')"""
-add("w12_tree_ablation", w12, _with(sql.CORPORA["parity"], sql.trees(*APPROACHES), sql.union_trees(*APPROACHES), _ANSWERS) + " SELECT approach, count(*) AS questions, count(*) FILTER (found) AS complete, CAST(sum(w + n) AS BIGINT) AS words_read FROM ans GROUP BY approach")
+ABLATED = (*APPROACHES, "text model", "true")
 
 
-def w10(s: SparkSession, d: str) -> DataFrame:
-    """Words in context by strategy: the whole document, with its outline, or the outline and one section of the true tree."""
+def w12(s: SparkSession, d: str) -> DataFrame:
+    """One question per customer about all of its orders, answered by the tree agent with each tree: accuracy, tokens and cost."""
     h, true, asked = _questions(s, d)
-    got = outline.answer(true.withColumn("approach", F.lit("tree agent")), asked, true, h).join(h.groupBy("doc_id").agg(F.sum("body_words").alias("doc_words")), "doc_id")
-    rows = got.select("doc_id", F.explode(F.array(*[F.struct(F.lit(n).alias("strategy"), w.alias("words")) for n, w in (("in context", F.col("doc_words")), ("outline and context", F.col("doc_words") + F.col("outline_lines")), ("tree agent", F.col("section_words") + F.col("outline_lines")))])).alias("x"))
-    return rows.groupBy("x.strategy").agg(F.count("*").alias("questions"), F.sum("x.words").alias("words"))
-
+    named = lambda t, n: t.select(F.lit(n).alias("approach"), "doc_id", "pos", "parent_pos", "span_end")
+    trees = metrics.all_trees(h).union(named(baselines.simulated_model(h, deep_drop=20, tail_drop=20), "text model")).union(named(true, "true"))
+    return qa.report(qa.reading(qa.asked_parts(h, true, asked), trees, h, ABLATED, ("tree agent",)), "approach")
 
-add(
-    "w10_qa_strategies",
-    w10,
-    _with(sql.CORPORA["parity"], sql.tree("h", "rk", "true_t"), "tr AS (SELECT 'tree agent' AS approach, * FROM true_t)", _ANSWERS, "dw AS (SELECT doc_id, sum(body_words) AS dw FROM h GROUP BY 1), a AS (SELECT * FROM ans JOIN dw USING (doc_id))")
-    + " SELECT 'in context' AS strategy, count(*) AS questions, CAST(sum(dw) AS BIGINT) AS words FROM a UNION ALL SELECT 'outline and context', count(*), CAST(sum(dw + n) AS BIGINT) FROM a UNION ALL SELECT 'tree agent', count(*), CAST(sum(w + n) AS BIGINT) FROM a",
-)
 
-
-def w11(s: SparkSession, d: str) -> DataFrame:
-    """The chunk agent on documents: rounds and words until the chunk with the document's last words is read."""
+def _read(s: SparkSession, d: str, strategies: tuple[str, ...]) -> DataFrame:
+    h, true, asked = _questions(s, d)
+    true = stored(true)
+    return qa.report(qa.reading(qa.asked_parts(h, true, asked), true.withColumn("approach", F.lit("true")), h, ("true",), strategies), "strategy")
+
+
+_WAYS = {
+    "in context": ("ceil(doc_chars / 4) + 500 <= 128000", "doc_chars", "1"),
+    "outline and context": ("ceil((doc_chars + outline_chars) / 4) + 500 <= 128000", "doc_chars + outline_chars", "1"),
+    "grep agent": ("stop <= q_begin + q_length // 2 + 500", "1000", "1"),
+    "embed agent": ("q_begin // 1000 = (stop - 1) // 1000", "1000", "1"),
+    "tree agent": ("coalesce(part < q_end, false) AND ceil((outline_chars + section_chars) / 4) + 500 <= 128000", "outline_chars + section_chars", "1"),
+    "tree and grep agent": ("coalesce(part < q_end, false) AND rank <= 100 AND ceil(outline_chars / 4) + 500 <= 128000", "outline_chars", "NULL"),
+    "tree and embed agent": ("coalesce(part < q_end, false) AND rank <= 100 AND ceil(outline_chars / 4) + 500 <= 128000", "outline_chars", "NULL"),
+}
+
+
+def _qa_sql(strategies: tuple[str, ...], by: str) -> str:
+    """Over CTEs of the parity ledger, true_t and tr."""
+    ways = " UNION ALL ".join(f"SELECT approach, '{n}' AS strategy, doc_id, q, {w[0]} AS seen, ceil(({w[1]}) / 4) AS context, {w[2]} AS rounds FROM x" for n, w in _WAYS.items() if n in strategies)
+    return f""",
+lay AS (SELECT doc_id, pos, title, style, size, CAST(sum(size) OVER (PARTITION BY doc_id ORDER BY pos) AS BIGINT) - size AS begins FROM (SELECT *, length(title) + 1 + 6 * body_words AS size FROM h)),
+parts AS (SELECT p.doc_id, q.pos AS q, p.pos AS part, row_number() OVER (PARTITION BY p.doc_id, q.pos ORDER BY p.pos) AS rank, p.begins + p.size AS stop, q.begins AS q_begin, length(q.title) AS q_length
+  FROM true_t c JOIN lay q ON q.doc_id = c.doc_id AND q.pos = c.parent_pos JOIN lay p ON p.doc_id = c.doc_id AND p.pos = c.pos WHERE q.{_ASK}),
+sums AS (SELECT doc_id, CAST(sum(size) AS BIGINT) AS doc_chars, CAST(sum(length(title) + 8) AS BIGINT) AS outline_chars FROM lay GROUP BY 1),
+x AS (SELECT a.approach, parts.*, doc_chars, outline_chars, t.span_end AS q_end, coalesce(e.begins + e.size - q_begin, 0) AS section_chars FROM (SELECT DISTINCT approach FROM tr) a CROSS JOIN parts JOIN sums USING (doc_id)
+  LEFT JOIN tr t ON t.approach = a.approach AND t.doc_id = parts.doc_id AND t.pos = q LEFT JOIN lay e ON e.doc_id = parts.doc_id AND e.pos = t.span_end - 1),
+ways AS ({ways}),
+g AS (SELECT approach, strategy, doc_id, q, count(*) AS gold, count(*) FILTER (seen) AS hits, max(context) AS context, coalesce(max(rounds), greatest(count(*) FILTER (seen), 1)) AS n FROM ways GROUP BY ALL),
+u AS (SELECT *, 2 * hits / (hits + gold) AS f1, n * (500 + context) + CASE WHEN strategy LIKE 'tree and%' THEN 250 ELSE 0 END * (n * (n + 1) // 2) AS paid FROM g)
+SELECT {by}, count(*) AS questions, round(avg(f1), 6) AS set_f1, round(avg(CASE WHEN f1 = 1 THEN 1.0 ELSE 0 END), 6) AS exact, round(avg(CASE WHEN f1 >= 0.5 THEN 1.0 ELSE 0 END), 6) AS judged,
+  CAST(sum(paid) AS BIGINT) AS in_tokens, CAST(sum(50 * n) AS BIGINT) AS out_tokens, round((sum(paid) * 2.5 + sum(50 * n) * 10.0) / 1000000, 6) AS usd FROM u GROUP BY {by}"""
+
+
+_TEXT_MODEL = "kept AS (SELECT * FROM (SELECT *, CASE WHEN rk >= 2 THEN 20 ELSE 0 END + CASE WHEN pos * 2 > max(pos) OVER (PARTITION BY doc_id) THEN 20 ELSE 0 END AS dr FROM h) WHERE pos = 0 OR " + _MIX.format(seed=2) + " >= dr)"
+_ALL_TREES = sql.union_trees(*APPROACHES)[:-1] + " UNION ALL SELECT 'text model', * FROM model_t UNION ALL SELECT 'true', * FROM true_t)"
+add("w12_tree_ablation", w12, _with(sql.CORPORA["parity"], sql.trees(*APPROACHES), _TEXT_MODEL, sql.tree("kept", "rk", "model_t"), _ALL_TREES) + _qa_sql(("tree agent",), "approach"))
+_TRUE = _with(sql.CORPORA["parity"], sql.tree("h", "rk", "true_t"), "tr AS (SELECT 'true' AS approach, * FROM true_t)")
+add("w10_qa_strategies", lambda s, d: _read(s, d, qa.TEXT_STRATEGIES), _TRUE + _qa_sql(qa.TEXT_STRATEGIES, "strategy"))
+add("w11_retrieval", lambda s, d: _read(s, d, qa.AGENTS), _TRUE + _qa_sql(qa.AGENTS, "strategy"))
+
+
+def w11_chunks(s: SparkSession, d: str) -> DataFrame:
+    """The chunk agent on the texts of documents: rounds and words until the chunk with the document's last words is read."""
     docs = corpora.read(s, d, "documents").select("doc_id", "text")
     ranked = outline.embed_search(docs.select("doc_id", F.substring("text", -200, 200).alias("question")), docs)
     last = F.max("chunk_no").over(_by_doc())
@@ -310,7 +417,7 @@ def _by_doc():
     return Window.partitionBy("doc_id")
 
 
-add("w11_retrieval", w11)
+add("w11_chunks", w11_chunks)
 
 
 def w13(s: SparkSession, d: str) -> DataFrame:
@@ -343,20 +450,25 @@ add(
     lambda s, d: outline.numbered(assembly.truth(CORPORA["dialogue"](s, d))).where("pos > 0"),
     _with(sql.DIALOGUE, sql.tree("h", "rk", "t"), "n AS (SELECT *, row_number() OVER (PARTITION BY doc_id, parent_pos ORDER BY pos) AS no FROM t), p AS (SELECT doc_id, pos, 0 AS level, '' AS prefix FROM n WHERE parent_pos IS NULL UNION ALL SELECT n.doc_id, n.pos, p.level + 1, CASE WHEN p.prefix = '' THEN CAST(n.no AS VARCHAR) ELSE p.prefix || '.' || n.no END FROM n JOIN p ON p.doc_id = n.doc_id AND p.pos = n.parent_pos)") + " SELECT doc_id, pos, level, prefix FROM p WHERE pos > 0",
 )
-add("t_render_html", lambda s, d: (lambda h: outline.render(assembly.truth(h), h))(CORPORA["html"](s, d)))
+_PREFIXES = "n AS (SELECT *, row_number() OVER (PARTITION BY doc_id, parent_pos ORDER BY pos) AS no FROM t), p AS (SELECT doc_id, pos, 0 AS level, '' AS prefix FROM n WHERE parent_pos IS NULL UNION ALL SELECT n.doc_id, n.pos, p.level + 1, CASE WHEN p.prefix = '' THEN CAST(n.no AS VARCHAR) ELSE p.prefix || '.' || n.no END FROM n JOIN p ON p.doc_id = n.doc_id AND p.pos = n.parent_pos)"
+add("t_render_html", lambda s, d: (lambda h: outline.render(assembly.truth(h), h))(CORPORA["html"](s, d)), _with(sql.HTML, sql.tree("h", "rk", "t"), _PREFIXES) + " SELECT doc_id, string_agg(prefix || ' | ' || title, chr(10) ORDER BY pos) AS outline FROM p JOIN h USING (doc_id, pos) WHERE pos > 0 GROUP BY doc_id")
+add("t_normalised_lines", lambda s, d: corpora.line_phrases(s, d).select("doc_id", "ln", text.normalised(F.col("line")).alias("words")), f"WITH {sql.PHRASES} SELECT doc_id, CAST(ln AS INTEGER) AS ln, {text.normalised_sql('line')} AS words FROM phrase")
 
 
 def t_grep(s: SparkSession, d: str) -> DataFrame:
     docs = corpora.read(s, d, "documents")
-    script = F.array(*[F.struct(F.lit(i + 1).alias("call_no"), F.lit(p).alias("pattern")) for i, p in enumerate(("en", "en", "er", "en"))])
+    script = F.array(*[F.struct(F.lit(i + 1).alias("call_no"), F.lit(p).alias("pattern")) for i, p in enumerate(("en", "e[nr]", "er", "en", "e[nr]"))])
     calls = docs.select(F.col("doc_id").alias("session"), "doc_id", F.explode(script).alias("c")).select("session", "doc_id", "c.call_no", "c.pattern")
     return outline.grep(calls, docs).select("doc_id", "call_no", "match_no", F.col("at").alias("hit"), F.length("context").alias("n_context"))
 
 
 add("t_grep", t_grep,
-    "WITH c AS (SELECT doc_id, text, unnest([1, 2, 3, 4]) AS call_no, unnest(['en', 'en', 'er', 'en']) AS pattern, unnest([1, 2, 1, 3]) AS match_no FROM documents), p AS (SELECT *, string_split(text, pattern) AS ps FROM c), a AS (SELECT *, CASE WHEN len(ps) > match_no THEN list_sum(list_transform(ps[1:match_no], lambda x: length(x))) + (match_no - 1) * 2 + 1 END AS hit FROM p) SELECT doc_id, call_no, match_no, CAST(hit AS INTEGER) AS hit, CASE WHEN hit IS NOT NULL THEN length(substring(text, CAST(greatest(hit + 1 - 500, 1) AS BIGINT), 1000)) END AS n_context FROM a")
+    "WITH c AS (SELECT doc_id, text, unnest([1, 2, 3, 4, 5]) AS call_no, unnest(['en', 'e[nr]', 'er', 'en', 'e[nr]']) AS pattern, unnest([1, 1, 1, 2, 2]) AS match_no FROM documents), p AS (SELECT *, string_split_regex(text, pattern) AS ps FROM c), a AS (SELECT *, CASE WHEN len(ps) > match_no THEN list_sum(list_transform(ps[1:match_no], lambda x: length(x))) + (match_no - 1) * 2 + 1 END AS hit FROM p) SELECT doc_id, call_no, match_no, CAST(hit AS INTEGER) AS hit, CASE WHEN hit IS NOT NULL THEN length(substring(text, CAST(greatest(hit + 1 - 500, 1) AS BIGINT), 1000)) END AS n_context FROM a")
 add("t_embed", lambda s, d: (lambda docs: outline.embed_search(docs.select("doc_id", F.substring("text", 1, 100).alias("question")), docs))(corpora.read(s, d, "documents").select("doc_id", "text")))
-add("t_section_lines", lambda s, d: (lambda h: outline.read_section(h.select("doc_id").distinct().withColumn("prefix", F.lit("1")), assembly.truth(h), _owned(s, d)))(CORPORA["lines"](s, d)))
+add("t_section_lines", lambda s, d: (lambda h: outline.read_section(h.select("doc_id").distinct().withColumn("prefix", F.lit("1")), assembly.truth(h), _owned(s, d)))(CORPORA["lines"](s, d)),
+    _with(sql.LINES, sql.tree("h", "rk", "t"), "own AS (SELECT doc_id, ln, line, style, count(style) OVER (PARTITION BY doc_id ORDER BY ln) AS pos FROM phrase)", "b AS (SELECT doc_id, min(pos) AS begins FROM t WHERE parent_pos = 0 GROUP BY 1)")
+    + " SELECT o.doc_id, '1' AS prefix, string_agg(line, chr(10) ORDER BY ln) AS section FROM own o JOIN b USING (doc_id) JOIN t ON t.doc_id = o.doc_id AND t.pos = b.begins WHERE o.style IS NULL AND o.pos >= begins AND o.pos < t.span_end GROUP BY o.doc_id",
+)
 
 
 def _owned(s: SparkSession, d: str) -> DataFrame:
@@ -370,4 +482,4 @@ def _owned(s: SparkSession, d: str) -> DataFrame:
 # Relational operators around the methods, and the planner.
 for name, (query, oracle) in relational.QUERIES.items():
     add(name, query, oracle)
-add("p_planned_parity", lambda s, d: planner.plan(method="half", k=1.0).run(CORPORA["parity"](s, d)), _with(sql.CORPORA["parity"], sql.trees("local")) + f" SELECT {TREE} FROM local_t")
+add("p_planned_parity", lambda s, d: (lambda h: planner.plan(method="half", k=1.0, **planner.measure(h)).run(h))(CORPORA["parity"](s, d)), _with(sql.CORPORA["parity"], sql.trees("local")) + f" SELECT {TREE} FROM local_t")

@@ -9,8 +9,8 @@ import pytest
 from pyspark.sql import functions as F
 
 from outline_engine import workbench
-from outline_engine.functions.sql_functions import register
-from outline_engine.operators import assembly, baselines, metrics, outline
+from outline_engine.functions.sql_functions import explained, register
+from outline_engine.operators import assembly, baselines, metrics, outline, qa
 from outline_engine.schemas import HEADERS
 from outline_engine.sources import corpora, sinks
 from outline_engine.streaming import online
@@ -36,6 +36,45 @@ def test_missing_header_takes_the_one_before(spark):
     assert got[2] == (1.0, 7 / 12)
 
 
+def test_missing_header_bottomup(spark):
+    """The list of the nearest earlier header stands in: its length counts as found, what it shares as common."""
+    h = spark.createDataFrame(DOC, HEADERS)
+    tree = baselines.infer(h.where("pos <> 2")).withColumn("approach", F.lit("x"))
+    for names in (None, ("x",)):
+        got = {r["pos"]: (r["rec"], r["prec"], round(r["f1"], 6)) for r in metrics.bottomup(tree, assembly.truth(h), names).collect()}
+        assert got[2] == (0.5, 1.0, round(2 / 3, 6)) and got[1] == got[4] == (1.0, 1.0, 1.0)
+    none = metrics.bottomup(h.where("pos = 0").select(F.lit("x").alias("approach"), "doc_id", "pos", F.lit(None).cast("int").alias("parent_pos"), F.lit(5).alias("span_end")), assembly.truth(h)).collect()
+    assert {(r["rec"], r["f1"]) for r in none} == {(0.0, 0.0)}
+
+
+def test_question_measures(spark):
+    rows = [(["a", "b"], ["b", "c"], "Net  Income: 5", "net income 5"), ([], [], "", "x"), (["a"], ["a"], "x", "x")]
+    df = spark.createDataFrame(rows, "a array<string>, g array<string>, x string, y string")
+    got = [tuple(r) for r in df.select(qa.set_f1(F.col("a"), F.col("g")), qa.exact(F.col("x"), F.col("y")), qa.judged(F.col("x"), F.col("y"))).collect()]
+    assert got == [(0.5, 0, 1), (1.0, 0, 0), (1.0, 1, 1)]
+
+
+def test_strategies_keep_their_shape(spark, small):
+    """Trees make agents accurate at a fraction of the cost of whole documents; a chain is found in full but costs most."""
+    w10 = {r["strategy"]: r for r in workbench.QUERIES["w10_qa_strategies"](spark, small).collect()}
+    assert w10["tree agent"]["set_f1"] == w10["in context"]["set_f1"] == 1.0 > w10["grep agent"]["set_f1"]
+    assert w10["tree agent"]["usd"] < w10["in context"]["usd"] < w10["outline and context"]["usd"]
+    w11 = {r["strategy"]: r for r in workbench.QUERIES["w11_retrieval"](spark, small).collect()}
+    assert w11["tree and grep agent"]["set_f1"] > w11["grep agent"]["set_f1"] and w11["tree and embed agent"]["set_f1"] > w11["embed agent"]["set_f1"]
+    w12 = {r["approach"]: r for r in workbench.QUERIES["w12_tree_ablation"](spark, small).collect()}
+    assert w12["local"]["set_f1"] == w12["true"]["set_f1"] > w12["wide"]["set_f1"] and w12["deep"]["usd"] > w12["local"]["usd"] > w12["wide"]["usd"]
+
+
+def test_context_limit_fails_whole_documents(spark):
+    """A document over the limit is not read; the sections of its tree are."""
+    rows = [(1, 0, "r", 0, "doc", 0), *((1, i, "q" if i % 3 == 1 else "p", 1 if i % 3 == 1 else 2, f"h{i}", 40_000) for i in range(1, 7))]
+    h = spark.createDataFrame(rows, HEADERS)
+    true = assembly.truth(h)
+    parts = qa.asked_parts(h, true, h.where("style = 'q'").select("doc_id", "pos"))
+    read = qa.reading(parts, true.withColumn("approach", F.lit("true")), h, ("true",), ("in context", "tree agent", "tree and grep agent"))
+    assert {(r["strategy"], r["gold"], r["seen"]) for r in read.collect()} == {("in context", 2, 0), ("tree agent", 2, 0), ("tree and grep agent", 2, 2)}
+
+
 def test_bag_overlap(spark):
     tokens = [(1, 0, "x", 2), (1, 1, "x", 1), (1, 1, "y", 3), (1, 2, "y", 1)]
     t = spark.createDataFrame(tokens, "doc_id long, pos int, token string, n int")
@@ -65,6 +104,13 @@ def test_outline_and_section(spark):
     assert {r["pos"]: r["path"] for r in outline.breadcrumb(tree).collect()}[4] == [0, 3, 4]
 
 
+def test_grep_takes_regular_expressions(spark):
+    docs = spark.createDataFrame([(1, "ab12 ab34 x" + "y" * 2000 + "ab5")], "doc_id long, text string")
+    calls = spark.createDataFrame([(7, i + 1, 1, p) for i, p in enumerate(("ab[0-9]+", "ab[0-9]+", "ab[0-9]+", "ab[0-9]+", "z*"))], "session long, call_no int, doc_id long, pattern string")
+    got = [(r["match_no"], r["at"], r["context"] and len(r["context"])) for r in outline.grep(calls, docs).orderBy("call_no").collect()]
+    assert got == [(1, 1, 1000), (2, 6, 1000), (3, 2012, 503), (4, None, None), (1, None, None)]
+
+
 def test_grep_cursor(spark):
     docs = spark.createDataFrame([(1, "ab..ab..cd..ab")], "doc_id long, text string")
     calls = spark.createDataFrame([(7, i + 1, 1, p) for i, p in enumerate(("ab", "ab", "cd", "ab", "ab"))], "session long, call_no int, doc_id long, pattern string")
@@ -89,6 +135,75 @@ def test_stream_is_the_batch(spark, small, tmp_path):
     assert got == sorted((r["doc_id"], r["pos"], r["parent_pos"]) for r in baselines.infer(h).collect())
 
 
+def run_stream(spark, df, name, folder, **options):
+    q = df.writeStream.format("memory").queryName(name).option("checkpointLocation", str(folder)).outputMode("append").trigger(**(options or {"availableNow": True})).start()
+    try:
+        q.processAllAvailable() if options else q.awaitTermination(120)
+        return q, spark.table(name)
+    finally:
+        if not options:
+            q.stop()
+
+
+def test_stream_closes_spans(spark, tmp_path):
+    """Ends come when headers leave the path, and all the rest when the document has been idle."""
+    import time
+
+    folder = tmp_path / "in"
+    spark.createDataFrame([(1, 0, "r"), (1, 1, "a"), (1, 2, "b"), (1, 3, "a"), (1, 5, "a")], "doc_id long, pos int, style string").coalesce(1).write.parquet(str(folder))
+    stream = spark.readStream.schema("doc_id long, pos int, style string").parquet(str(folder))
+    q, found = run_stream(spark, online.infer(stream, spans=True, idle="1 second"), "closing", tmp_path / "c", processingTime="1 second")
+    ends, until = {}, time.time() + 60
+    while len(ends) < 5 and time.time() < until:
+        ends = {r["pos"]: r["span_end"] for r in spark.table("closing").where("span_end IS NOT NULL").collect()}
+        time.sleep(1)
+    q.stop()
+    assert ends == {0: 6, 1: 3, 2: 3, 3: 5, 5: 6}
+
+
+def test_stream_drops_repeated_headers(spark, tmp_path):
+    folder = tmp_path / "in"
+    rows = [(1, p, s, f"2024-01-01 00:00:0{p}") for p, s in ((0, "r"), (1, "a"), (1, "a"), (0, "r"))]
+    timed = spark.createDataFrame(rows, "doc_id long, pos int, style string, ts string").withColumn("ts", F.to_timestamp("ts"))
+    timed.write.parquet(str(folder))
+    stream = spark.readStream.schema(timed.schema).parquet(str(folder))
+    names = spark.createDataFrame([("a", "section")], "style string, name string")
+    _, found = run_stream(spark, online.with_styles(online.once(stream), names), "repeated", tmp_path / "c")
+    assert sorted((r["pos"], r["name"] or "") for r in found.collect()) == [(0, ""), (1, "section")]
+
+
+def test_contents_from_csv(spark, tmp_path):
+    (tmp_path / "toc.csv").write_text("doc_id,pos,level,title\n1,0,0,Root\n1,1,1,A\n1,2,x,B\n1,3,1,C\n,4,1,D\n")
+    good, broken = sinks.read_contents(spark, str(tmp_path / "toc.csv"))
+    tree = baselines.from_contents(good)
+    assert sorted((r["pos"], r["parent_pos"]) for r in tree.collect()) == [(0, None), (1, 0), (3, 0)] and broken.count() == 2
+
+
+def test_written_trees(spark, tmp_path):
+    h = spark.createDataFrame(DOC, HEADERS)
+    for _ in range(2):
+        sinks.write_tree(baselines.infer(h), str(tmp_path / "trees"), "x")
+    assert spark.read.parquet(str(tmp_path / "trees")).where("corpus = 'x'").count() == len(DOC)
+    sinks.write_bucketed(h, "bucketed_headers", 4)
+    dealt = spark.table("bucketed_headers")
+    assert "Exchange" not in explained(dealt.groupBy("doc_id").count()) and dealt.count() == len(DOC)
+    spark.sql("DROP TABLE bucketed_headers")
+
+
+def test_sql_functions(spark, small):
+    register(spark, small, "dialogue")
+    assert spark.sql("SELECT norm_words('  Größe, über: NAÏVE! 5%') AS w").first()["w"] == ["größe", "uber", "naive", "5"]
+    assert spark.sql("SELECT covers(2, 5, 4), covers(2, 5, 5)").first()[:] == (True, False)
+    got = spark.sql("SELECT match_no, at FROM grep_stream('ab ab1 xab22', 'ab[0-9]+')").collect()
+    assert [tuple(r) for r in got] == [(1, 4), (2, 9)]
+    assert [tuple(r) for r in spark.sql("SELECT tag, said FROM html_phrases('<p>a <b>bold</b> tail<h1 x=1>T')").collect()] == [("p", "a"), ("b", "bold"), ("h1", "T")]
+    assert spark.sql("SELECT count(*) FROM outline").first()[0] == spark.table("tree").select("doc_id").distinct().count()
+    assert spark.sql("SELECT max(rec) FROM metrics_topdown").first()[0] <= 1.0
+    with pytest.raises(AssertionError):
+        explained(spark.table("tree"), most_exchanges=0)
+    assert "Scan" in explained(spark.table("tree"), most_exchanges=9)
+
+
 def test_sql_surface(spark, small):
     register(spark, small, "dialogue")
     made = spark.sql("SELECT t.pos, t.parent_pos FROM build_tree(TABLE(SELECT * FROM headers WHERE doc_id = 0) PARTITION BY doc_id ORDER BY pos) t")
@@ -103,7 +218,7 @@ def test_outline_files(spark, tmp_path):
     assert got == [("a.txt", 0, "1", "A", 0), ("a.txt", 1, "1.1", "B | b", 1)]
 
 
-SOME = ("m_local_lines", "m_tree_local_composite4", "m_tree_global_memo", "c_flags_parity", "w02_composite_phrases", "w04_topdown_dense", "w12_tree_ablation", "t_grep", "t_outline_dialogue", "op_asof", "op_band")
+SOME = ("w09_true_headers", "w09_bottomup", "w10_qa_strategies", "w11_retrieval", "m_virtual_root_lines", "r_excess_words_parity", "c_by_openers_composite4", "m_local_lines", "m_tree_local_composite4", "m_tree_global_memo", "c_flags_parity", "w02_composite_phrases", "w04_topdown_dense", "w12_tree_ablation", "t_grep", "t_outline_dialogue", "op_asof", "op_band")
 
 
 @pytest.mark.parametrize("name", SOME)
