@@ -5,7 +5,7 @@ only.  A document's state is its styles' depths, its open path, its next positio
 before their turn; the path is as long as the tree is deep.  Headers whose position has passed are
 reported as late and change nothing.
 
-With ``idle``, a document from which nothing has come for so long is closed: headers that still wait
+With ``idle_ms``, a document from which nothing has come for so many milliseconds is closed: headers that still wait
 for one before them are settled in order, its state is given up, and what comes later starts a new one.
 With ``spans``, a row tells the end of a header's span as soon as it leaves the path, the rest when the
 document is closed.
@@ -40,9 +40,9 @@ def settle(state: dict, pos: int, style: str, k: float) -> tuple[int | None, flo
     return parent, sd
 
 
-def infer(headers: DataFrame, k: float = 1.0, *, spans: bool = False, idle: str | None = None) -> DataFrame:
+def infer(headers: DataFrame, k: float = 1.0, *, spans: bool = False, idle_ms: int | None = None) -> DataFrame:
     """doc_id, pos, parent_pos, sd, late, span_end (null but in rows of ends) for a stream of doc_id, pos (from 0 without gaps), style."""
-    timeout = GroupStateTimeout.ProcessingTimeTimeout if idle else GroupStateTimeout.NoTimeout
+    timeout = GroupStateTimeout.ProcessingTimeTimeout if idle_ms else GroupStateTimeout.NoTimeout
 
     def step(key: tuple, frames: Iterator[pd.DataFrame], group: GroupState) -> Iterator[pd.DataFrame]:
         state = json.loads(group.get[0]) if group.exists else {"depths": {}, "open": [], "last": 0.0, "top": 0.0, "next": 0, "held": {}}
@@ -71,8 +71,8 @@ def infer(headers: DataFrame, k: float = 1.0, *, spans: bool = False, idle: str
             while str(state["next"]) in state["held"]:
                 take(state["next"])
             group.update((json.dumps(state),))
-            if idle:
-                group.setTimeoutDuration(idle)
+            if idle_ms:
+                group.setTimeoutDuration(idle_ms)
         if out:
             made = pd.DataFrame(out, columns=["doc_id", "pos", "parent_pos", "sd", "late", "span_end"])
             yield made.astype({"parent_pos": "Int32", "pos": "int32", "span_end": "Int32", "sd": "float64"})

@@ -108,7 +108,7 @@ def test_grep_takes_regular_expressions(spark):
     docs = spark.createDataFrame([(1, "ab12 ab34 x" + "y" * 2000 + "ab5")], "doc_id long, text string")
     calls = spark.createDataFrame([(7, i + 1, 1, p) for i, p in enumerate(("ab[0-9]+", "ab[0-9]+", "ab[0-9]+", "ab[0-9]+", "z*"))], "session long, call_no int, doc_id long, pattern string")
     got = [(r["match_no"], r["at"], r["context"] and len(r["context"])) for r in outline.grep(calls, docs).orderBy("call_no").collect()]
-    assert got == [(1, 1, 1000), (2, 6, 1000), (3, 2012, 503), (4, None, None), (1, None, None)]
+    assert got == [(1, 1, 1000), (2, 6, 1000), (3, 2012, 502), (4, None, None), (1, None, None)]
 
 
 def test_grep_cursor(spark):
@@ -135,14 +135,8 @@ def test_stream_is_the_batch(spark, small, tmp_path):
     assert got == sorted((r["doc_id"], r["pos"], r["parent_pos"]) for r in baselines.infer(h).collect())
 
 
-def run_stream(spark, df, name, folder, **options):
-    q = df.writeStream.format("memory").queryName(name).option("checkpointLocation", str(folder)).outputMode("append").trigger(**(options or {"availableNow": True})).start()
-    try:
-        q.processAllAvailable() if options else q.awaitTermination(120)
-        return q, spark.table(name)
-    finally:
-        if not options:
-            q.stop()
+def run_stream(spark, df, name, folder, **trigger):
+    return df.writeStream.format("memory").queryName(name).option("checkpointLocation", str(folder)).outputMode("append").trigger(**(trigger or {"availableNow": True})).start()
 
 
 def test_stream_closes_spans(spark, tmp_path):
@@ -152,7 +146,7 @@ def test_stream_closes_spans(spark, tmp_path):
     folder = tmp_path / "in"
     spark.createDataFrame([(1, 0, "r"), (1, 1, "a"), (1, 2, "b"), (1, 3, "a"), (1, 5, "a")], "doc_id long, pos int, style string").coalesce(1).write.parquet(str(folder))
     stream = spark.readStream.schema("doc_id long, pos int, style string").parquet(str(folder))
-    q, found = run_stream(spark, online.infer(stream, spans=True, idle="1 second"), "closing", tmp_path / "c", processingTime="1 second")
+    q = run_stream(spark, online.infer(stream, spans=True, idle_ms=1000), "closing", tmp_path / "c", processingTime="1 second")
     ends, until = {}, time.time() + 60
     while len(ends) < 5 and time.time() < until:
         ends = {r["pos"]: r["span_end"] for r in spark.table("closing").where("span_end IS NOT NULL").collect()}
@@ -168,8 +162,8 @@ def test_stream_drops_repeated_headers(spark, tmp_path):
     timed.write.parquet(str(folder))
     stream = spark.readStream.schema(timed.schema).parquet(str(folder))
     names = spark.createDataFrame([("a", "section")], "style string, name string")
-    _, found = run_stream(spark, online.with_styles(online.once(stream), names), "repeated", tmp_path / "c")
-    assert sorted((r["pos"], r["name"] or "") for r in found.collect()) == [(0, ""), (1, "section")]
+    run_stream(spark, online.with_styles(online.once(stream), names), "repeated", tmp_path / "c").awaitTermination(120)
+    assert sorted((r["pos"], r["name"] or "") for r in spark.table("repeated").collect()) == [(0, ""), (1, "section")]
 
 
 def test_contents_from_csv(spark, tmp_path):
@@ -192,7 +186,7 @@ def test_written_trees(spark, tmp_path):
 
 def test_sql_functions(spark, small):
     register(spark, small, "dialogue")
-    assert spark.sql("SELECT norm_words('  Größe, über: NAÏVE! 5%') AS w").first()["w"] == ["größe", "uber", "naive", "5"]
+    assert spark.sql("SELECT norm_words('  Größe, über: NAÏVE! 5%') AS w").first()["w"] == ["große", "uber", "naive", "5"]
     assert spark.sql("SELECT covers(2, 5, 4), covers(2, 5, 5)").first()[:] == (True, False)
     got = spark.sql("SELECT match_no, at FROM grep_stream('ab ab1 xab22', 'ab[0-9]+')").collect()
     assert [tuple(r) for r in got] == [(1, 4), (2, 9)]
