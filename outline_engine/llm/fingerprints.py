@@ -112,21 +112,20 @@ def shift(a: Column, b: Column) -> Column:
 
 
 def neighbours(docs: DataFrame) -> DataFrame:
-    """doc_id, prev_id and how many characters the previous document (the next larger id) borrows from it.
+    """doc_id and prev_id, the document before it (the next larger id).
 
     Ids are ranged and stored, then each range is ordered by itself; a range's first id follows the
     last id of the range before, which is looked up in a table of a row per range.
     """
-    slim = docs.select("doc_id", F.length(text_of()).alias("n")).where("doc_id IS NOT NULL").groupBy("doc_id").agg(F.max("n").alias("n"))
+    slim = docs.select("doc_id").where("doc_id IS NOT NULL").distinct()
     ranged = materialise(slim.repartitionByRange(F.desc("doc_id")).withColumn("part", F.spark_partition_id()), "fingerprint-order")
     order = Window.partitionBy("part").orderBy(F.desc("doc_id"))
-    linked = ranged.withColumn("before", F.lag(F.struct("doc_id", "n")).over(order))
-    ends = ranged.groupBy("part").agg(F.min_by(F.struct("doc_id", "n"), "doc_id").alias("last"))
+    linked = ranged.withColumn("before", F.lag("doc_id").over(order))
+    ends = ranged.groupBy("part").agg(F.min("doc_id").alias("last"))
     every = Window.orderBy("part")
     whole = every.rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing)
     ends = ends.select("part", F.coalesce(F.lag("last").over(every), F.last("last").over(whole)).alias("entry"))
-    prev = F.coalesce("before", "entry")
-    return linked.join(ends, "part").select("doc_id", prev["doc_id"].alias("prev_id"), F.floor(prev["n"] / 3).cast("int").alias("borrowed"))
+    return linked.join(ends, "part").select("doc_id", F.coalesce("before", "entry").alias("prev_id"))
 
 
 def compare_edits(docs: DataFrame) -> DataFrame:
@@ -140,15 +139,16 @@ def compare_edits(docs: DataFrame) -> DataFrame:
     # Both sides of the join start from this one exchange of the texts.
     base = texts.where("doc_id IS NOT NULL").repartition(parts, "doc_id")
     one = base.withColumn("rank", F.row_number().over(Window.partitionBy("doc_id").orderBy("text"))).where("rank = 1")
-    sent = one.join(near, "doc_id").select(F.col("prev_id").alias("doc_id"), F.substring("text", F.lit(1), F.col("borrowed")).alias("head"), firsts(sketch(F.col("text"))).alias("next"))
+    # A text is shorter than its anchors are, so it is what travels to the document before.
+    sent = one.join(near, "doc_id").select(F.col("prev_id").alias("doc_id"), F.col("text").alias("follower"))
     joined = base.join(sent, "doc_id", "left").unionByName(texts.where("doc_id IS NULL"), allowMissingColumns=True)
     n = F.length("text")
     third = F.floor(n / 3).cast("int")
-    edited = joined.select(
+    edited = joined.withColumn("follower", text_of("follower")).select(
         "doc_id",
         "text",
-        "next",
-        F.concat(F.substring("text", F.lit(1), n - third), F.substring(F.coalesce("head", F.lit("")), F.lit(1), third)).alias("edited"),
+        "follower",
+        F.concat(F.substring("text", F.lit(1), n - third), F.substring("follower", F.lit(1), third)).alias("edited"),
     )
     made = edited.select(
         "doc_id",
@@ -156,7 +156,7 @@ def compare_edits(docs: DataFrame) -> DataFrame:
         F.sha2(F.col("edited").cast("binary"), 256).alias("edited_sha256"),
         sketch(F.col("text")).alias("own"),
         sketch(F.col("edited")).alias("other"),
-        F.coalesce("next", F.array().cast(ANCHORS)).alias("next"),
+        firsts(sketch(F.col("follower"))).alias("next"),
     ).withColumns({"own_first": firsts(F.col("own")), "other_first": firsts(F.col("other"))})
     made = made.withColumns({"kept": match(F.col("own_first"), F.col("other_first")), "borrowed": match(F.col("next"), F.col("other_first"))})
     return made.select(
