@@ -244,14 +244,14 @@ for name, c in DATASETS.items():
 add("w04_stratified", lambda s, d: metrics.stratified(_union([metrics.averages(topdown(s, d, c), "approach") for c in DATASETS.values()]), "approach"), f"SELECT approach, round(avg(rec), 6) AS rec, round(avg(prec), 6) AS prec, round(avg(f1), 6) AS f1 FROM ({' UNION ALL '.join(f'SELECT * FROM ({ORACLES[f'w04_topdown_{n}']})' for n in DATASETS)}) GROUP BY approach")
 
 
-def w05(s: SparkSession, d: str, kinds: tuple[str, ...] = ("html", "dialogue", "composite4")) -> DataFrame:
+def w05(s: SparkSession, d: str, kinds: tuple[str, ...] = FLAG_CORPORA) -> DataFrame:
     return _union([classes.flags(CORPORA[c](s, d), stored).withColumn("corpus", F.lit(c)) for c in kinds])
 
 
 add(
     "w05_class_freq",
     lambda s, d: w05(s, d).groupBy("corpus").agg(F.count("*").alias("n_docs"), *[F.count_if(c).alias(c) for c in ("well", "loose", "aligned", "conf_local", "conf_global")]),
-    " UNION ALL ".join(f"SELECT '{c}' AS corpus, count(*) AS n_docs, {', '.join(f'count(*) FILTER ({x}) AS {x}' for x in ('well', 'loose', 'aligned', 'conf_local', 'conf_global'))} FROM ({_flags_sql(c)})" for c in ("html", "dialogue", "composite4")),
+    " UNION ALL ".join(f"SELECT '{c}' AS corpus, count(*) AS n_docs, {', '.join(f'count(*) FILTER ({x}) AS {x}' for x in ('well', 'loose', 'aligned', 'conf_local', 'conf_global'))} FROM ({_flags_sql(c)})" for c in FLAG_CORPORA),
 )
 add("w05_venn", lambda s, d: classes.frequency(classes.flags(CORPORA["composite4"](s, d), stored)), f"SELECT well, loose, aligned, conf_local, conf_global, count(*) AS n_docs FROM ({_flags_sql('composite4')}) GROUP BY ALL")
 
