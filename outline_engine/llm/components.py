@@ -2,11 +2,14 @@
 
 Each round is a few equi-joins and aggregations whose result is written to the shared folder, so
 lineage stays short and a lost executor costs a re-read.  Rounds end when a round changes no edge.
+
+The edges of a node are dealt to as many tasks as an exchange has, by their other end: a hub, to which
+most edges of a large component point, is nowhere gathered but as one least node per task.
 """
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from outline_engine.llm.storage import materialise
@@ -14,8 +17,11 @@ from outline_engine.llm.storage import materialise
 
 def _stars(pairs: DataFrame) -> DataFrame:
     """``pairs``: (u, v).  Links every v, and u, to the least node around u."""
-    least = pairs.groupBy("u").agg(F.least(F.min("v"), F.col("u")).alias("m"))
-    return pairs.join(least, "u")
+    parts = int(pairs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    dealt = pairs.withColumn("slice", F.pmod(F.xxhash64("v"), F.lit(parts)))
+    least = dealt.groupBy("u", "slice").agg(F.min("v").alias("m"))
+    least = least.select("u", "slice", F.least(F.min("m").over(Window.partitionBy("u")), F.col("u")).alias("m"))
+    return dealt.join(least, ["u", "slice"]).drop("slice")
 
 
 def components(edges: DataFrame) -> DataFrame:

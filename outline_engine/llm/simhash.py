@@ -356,7 +356,8 @@ def near_links(docs: DataFrame, classes: DataFrame) -> DataFrame:
     """Edges (a, b) that join the ``classes`` (node, same, lanes, bands) as all pairs of similar sets would.
 
     Pairs of short runs and the forests of long ones are settled first.  Then all pairs of long runs
-    that are still in different groups are: few where a run is a group of near copies.
+    that are still in different groups are: few where a run is a group of near copies.  The groups found
+    by then are given as stars.
     """
     names = [f"f{i}" for i in range(NEAR_LANES)]
     ordered = lambda found: found.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
@@ -367,9 +368,10 @@ def near_links(docs: DataFrame, classes: DataFrame) -> DataFrame:
     if long.isEmpty():
         return found
     roots = components(found)
+    stars = roots.select(F.col("node").alias("a"), F.col("root").alias("b"))
     rooted = keyed.join(long, "key").join(roots, "node", "left").withColumn("root", F.coalesce("root", "node"))
     rest = materialise(ordered(met(rooted.select("key", "node", *names, "root"), apart_pairs)).join(tried, ["a", "b"], "left_anti"), "near-pairs")
-    return found if rest.isEmpty() else found.union(similar(docs, classes, rest))
+    return stars if rest.isEmpty() else stars.union(similar(docs, classes, rest))
 
 
 def near_groups(docs: DataFrame) -> DataFrame:
