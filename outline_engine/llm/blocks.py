@@ -23,7 +23,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from outline_engine.llm.columns import text_of
-from outline_engine.llm.storage import materialise
+from outline_engine.llm.storage import bucketed, materialise
 
 BLOCK_TOKENS = 1_500_000
 #: Bytes of text for a part.
@@ -101,12 +101,13 @@ def blobs(rows: list[tuple]) -> pa.RecordBatch:
     return pa.RecordBatch.from_arrays([pa.array(c, type=t) for c, t in zip(columns, _TYPES, strict=True)], names=list(_NAMES))
 
 
-def cut(docs: DataFrame, kept: list[str], flag: Column, tokens: Callable[[str], list], parts: int, name: str, *, counted: bool = True, block_tokens: int | None = None) -> DataFrame:
+def cut(docs: DataFrame, kept: list[str], flag: Column, tokens: Callable[[str], list], parts: int, name: str, *, counted: bool = True, block_tokens: int | None = None, by_block: bool = False) -> DataFrame:
     """Stored rows of three kinds.
 
     DOC: the ``kept`` columns, block and part (here the number of the document in its block).
     TEXT: block, a the codes of its tokens, b the number of tokens of each document, c its flag.
     WORDS: block, part, a and b the part's words, if ``counted`` c how often each occurs, d how often in flagged documents.
+    With ``by_block`` they are stored in buckets by block, as many as ``dealt`` gives partitions.
     """
     schema = ", ".join(f"{c} {docs.schema[c].dataType.simpleString()}" for c in kept)
     bound = block_tokens or BLOCK_TOKENS
@@ -161,7 +162,7 @@ def cut(docs: DataFrame, kept: list[str], flag: Column, tokens: Callable[[str],
             yield from flush()
 
     rows = docs.select(*kept, text_of().alias("__text"), flag.alias("__flag")).mapInArrow(run, f"{schema}, {_BLOB}")
-    return materialise(rows, name)
+    return bucketed(rows, name, "block", min(parts, MOST_TASKS)) if by_block else materialise(rows, name)
 
 
 def of_kind(rows: DataFrame, kind: int) -> DataFrame:

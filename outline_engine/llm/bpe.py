@@ -8,7 +8,7 @@ are strings.  The literal is an array of small maps by hash, so a look-up reads
 The fold runs over every distinct word of the corpus, once.  Texts are cut once, into blocks (see
 ``blocks``), which ask for the ids of their distinct words part by part; a text's ids are those of its
 words in order.  Nothing that grows with the corpus is broadcast or held by a worker, and no text is
-moved.  Decoding concatenates the binary pieces of the ids.
+moved: blocks are stored in buckets, to which the ids come.  Decoding concatenates the binary pieces of the ids.
 
 A fold copies a word's pieces at every step, so its cost is the square of the word's length.  Words of
 over ``LONGEST`` bytes are merged by the same ranks in the same order with a heap instead.
@@ -224,7 +224,7 @@ def run(docs: DataFrame, *, vocabulary: str | None = None, digests: bool = False
 
     path = vocabulary or default_path(VOCABULARY)
     parts = blocks.parts_for(docs)
-    made = blocks.cut(docs, ["doc_id"], F.lit(False), cutter(public_tokenizers.PATTERN), parts, "bpe-blocks", counted=False, block_tokens=BLOCK_TOKENS)
+    made = blocks.cut(docs, ["doc_id"], F.lit(False), cutter(public_tokenizers.PATTERN), parts, "bpe-blocks", counted=False, block_tokens=BLOCK_TOKENS, by_block=True)
     listed = list_words(dealt(blob_rows(made, WORDS), "part", parts))
     encoded = word_ids(of_kind(listed, LISTED).select("part", "number", "word"), path)
 
@@ -242,11 +242,9 @@ def run(docs: DataFrame, *, vocabulary: str | None = None, digests: bool = False
     asked = dealt(blob_rows(listed, ANSWER), "part", parts)
     answers = asked.groupBy("part").cogroup(dealt(encoded, "part", parts).groupBy("part")).applyInArrow(answer, blocks._BLOB)
 
-    def join(found: pa.Table) -> pa.Table:
-        kinds = found.column("kind").to_pylist()
-        at = kinds.index(TEXT)
-        stream, lengths = unpack(found.column("a")[at].as_py()), unpack(found.column("b")[at].as_py())
-        told = sorted((found.column("part")[i].as_py(), i) for i, k in enumerate(kinds) if k == ANSWER)
+    def join(text: pa.Table, found: pa.Table) -> pa.Table:
+        stream, lengths = unpack(text.column("a")[0].as_py()), unpack(text.column("b")[0].as_py())
+        told = sorted((part, i) for i, part in enumerate(found.column("part").to_pylist()))
         none = [np.zeros(0, np.int64)]
         listed = [unpack(found.column("a")[i].as_py()) for _, i in told]
         stream = blocks.places(stream, parts, [part for part, _ in told], [len(x) for x in listed])
@@ -261,12 +259,13 @@ def run(docs: DataFrame, *, vocabulary: str | None = None, digests: bool = False
             whole = b"".join(map(pieces.__getitem__, own.tolist()))
             rows.append((i, len(own), hashlib.sha256(own.tobytes()).hexdigest(), hashlib.sha256(whole).hexdigest()) if digests else (i, own.astype(np.int32), whole))
         columns = [pa.array(c, type=t) for c, t in zip(zip(*rows, strict=True), types, strict=True)]
-        return pa.Table.from_arrays([pa.array(np.full(len(rows), found.column("block")[0].as_py())), *columns], names=["block", "part", *names])
+        return pa.Table.from_arrays([pa.array(np.full(len(rows), text.column("block")[0].as_py())), *columns], names=["block", "part", *names])
 
     types = [pa.int32(), pa.int64(), pa.string(), pa.string()] if digests else [pa.int32(), pa.list_(pa.int32()), pa.binary()]
     names = ["n_tokens", "ids_sha256", "decoded_sha256"] if digests else ["ids", "decoded"]
     schema = "n_tokens long, ids_sha256 string, decoded_sha256 string" if digests else "ids array<int>, decoded binary"
-    whole = dealt(blob_rows(made, TEXT).union(answers), "block", parts).groupBy("block").applyInArrow(join, f"block long, part int, {schema}")
+    texts = blob_rows(made, TEXT).groupBy("block")
+    whole = texts.cogroup(dealt(answers, "block", parts).groupBy("block")).applyInArrow(join, f"block long, part int, {schema}")
     return of_kind(made, blocks.DOC).select("doc_id", "block", "part").join(whole, ["block", "part"]).select("doc_id", *names)
 
 

@@ -42,3 +42,16 @@ def materialise(df: DataFrame, name: str, partition_by: list[str] | None = None)
     writer = df.write.partitionBy(*partition_by) if partition_by else df.write
     writer.parquet(path)
     return df.sparkSession.read.schema(df.schema).parquet(path)
+
+
+def bucketed(df: DataFrame, name: str, key: str, parts: int) -> DataFrame:
+    """As ``materialise``, but dealt by ``key`` into files of ``parts`` buckets, which are grouped later without an exchange.
+
+    Each task writes what it has; the catalog knows the table until the frame is made, and its files stay.
+    """
+    spark = df.sparkSession
+    entry = f"{name}_{uuid.uuid4().hex}".replace("-", "_")
+    df.write.format("parquet").bucketBy(parts, key).option("path", scratch(spark, name)).saveAsTable(entry)
+    stored = spark.table(entry)
+    spark.sql(f"DROP TABLE {entry}")
+    return stored
