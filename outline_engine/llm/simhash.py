@@ -341,11 +341,15 @@ def shingle_sets(texts: DataFrame) -> DataFrame:
     return texts.mapInArrow(run, "node long, found array<long>")
 
 
-def similar(docs: DataFrame, classes: DataFrame, pairs: DataFrame) -> DataFrame:
-    """Those of the ``pairs`` (a, b) of ``classes`` (node, same) whose sets are similar enough, exactly; stored."""
+def sets_of(docs: DataFrame, classes: DataFrame, pairs: DataFrame) -> DataFrame:
+    """node, found: the shingles of the ``classes`` (node, same) that the ``pairs`` (a, b) name; stored."""
     involved = pairs.select(F.explode(F.array("a", "b")).alias("node")).distinct().join(classes.select("node", "same"), "node")
     texts = docs.select(F.xxhash64(text_of()).alias("same"), text_of().alias("text")).join(involved, "same").groupBy("node").agg(F.first("text").alias("text"))
-    sets = materialise(shingle_sets(texts), "near-sets")
+    return materialise(shingle_sets(texts), "near-sets")
+
+
+def similar(sets: DataFrame, pairs: DataFrame) -> DataFrame:
+    """Those of the ``pairs`` (a, b) of ``sets`` (node, found) that are similar enough, exactly; stored."""
     both = pairs.join(sets.select(F.col("node").alias("a"), F.col("found").alias("x")), "a").join(sets.select(F.col("node").alias("b"), F.col("found").alias("y")), "b")
     shared = F.size(F.array_intersect("x", "y"))
     sizes = both.select("a", "b", shared.alias("shared"), (F.size("x") + F.size("y")).alias("sizes"))
@@ -357,13 +361,15 @@ def near_links(docs: DataFrame, classes: DataFrame) -> DataFrame:
 
     Pairs of short runs and the forests of long ones are settled first.  Then all pairs of long runs
     that are still in different groups are: few where a run is a group of near copies.  The groups found
-    by then are given as stars.
+    by then are given as stars.  Of a node of such a pair the forest of the run has a link that differs no
+    more than the pair, so its set is at hand.
     """
     names = [f"f{i}" for i in range(NEAR_LANES)]
     ordered = lambda found: found.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
     keyed = classes.select(F.explode("bands").alias("key"), "node", *names)
     tried = materialise(ordered(met(keyed, near_pairs)), "near-pairs")
-    found = similar(docs, classes, tried)
+    sets = sets_of(docs, classes, tried)
+    found = similar(sets, tried)
     long = materialise(keyed.groupBy("key").agg(F.count("*").alias("n")).where(F.col("n") > SHORT_RUN).select("key"), "near-runs")
     if long.isEmpty():
         return found
@@ -371,7 +377,7 @@ def near_links(docs: DataFrame, classes: DataFrame) -> DataFrame:
     stars = roots.select(F.col("node").alias("a"), F.col("root").alias("b"))
     rooted = keyed.join(long, "key").join(roots, "node", "left").withColumn("root", F.coalesce("root", "node"))
     rest = materialise(ordered(met(rooted.select("key", "node", *names, "root"), apart_pairs)).join(tried, ["a", "b"], "left_anti"), "near-pairs")
-    return stars if rest.isEmpty() else stars.union(similar(docs, classes, rest))
+    return stars if rest.isEmpty() else stars.union(similar(sets, rest))
 
 
 def near_groups(docs: DataFrame) -> DataFrame:
