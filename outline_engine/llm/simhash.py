@@ -11,9 +11,9 @@ joins the same documents as all links would, while a run of many near copies giv
 pairs.  Groups are the connected components.
 
 Near copies for the pipeline are texts whose sets of five-word shingles have a Jaccard similarity of
-``NEAR_SIMILARITY`` or more.  No cut of a fingerprint into segments is sure to meet at that distance,
-so candidates meet under equal bands of minima; the exact similarity of the two sets decides, and
-fingerprints only choose which pairs of a long run are looked at.
+``NEAR_SIMILARITY`` or more.  No cut of a fingerprint into segments is sure to meet at that
+distance, so candidates meet under equal bands of minima.  The exact similarity of the two sets decides; in
+long runs, pairs that their fingerprints or a sketch of their sets rule out are not looked at.
 
 Defined cases: a null or empty text has fingerprint zero; repeated rows are copies of each other; a
 row with a null id gets the group of its fingerprint, null if no other row has it; an empty table
@@ -152,29 +152,35 @@ def run_links(key: np.ndarray, node: np.ndarray, lanes: np.ndarray, most: int) -
 
 
 def met(keyed: DataFrame, find: Callable[..., Iterator[tuple[np.ndarray, np.ndarray]]]) -> DataFrame:
-    """Pairs (a, b) that ``find`` gives for the runs of equal keys of ``keyed`` (key, node and other longs)."""
+    """Pairs (a, b) that ``find`` gives for the runs of equal keys of ``keyed`` (key, node, other longs and, if any, sketch)."""
     parts = int(keyed.sparkSession.conf.get("spark.sql.shuffle.partitions"))
-    names = [c for c in keyed.columns if c not in ("key", "node")]
+    sketched = "sketch" in keyed.columns
+    names = [c for c in keyed.columns if c not in ("key", "node", "sketch")]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held: list[np.ndarray] = []
+        sketches: list[pa.Array] = []
         rows = 0
 
         def settle(final: bool) -> Iterator[pa.RecordBatch]:
-            nonlocal held, rows
+            nonlocal held, sketches, rows
             data = np.concatenate(held, axis=1) if held else np.zeros((2 + len(names), 0), dtype=np.int64)
             end = data.shape[1] if final else int(np.searchsorted(data[0], data[0][-1]))
             held = [data[:, end:]]
             rows = data.shape[1] - end
+            more = [pa.concat_arrays(sketches)] if sketches else []
+            sketches = [x.slice(end) for x in more]
             if end:
                 done = data[:, :end]
-                for a, b in find(done[0], done[1], np.ascontiguousarray(done[2:].T).view(np.uint64)):
+                for a, b in find(done[0], done[1], np.ascontiguousarray(done[2:].T).view(np.uint64), *[x.slice(0, end) for x in more]):
                     if len(a):
                         yield pa.RecordBatch.from_arrays([pa.array(a), pa.array(b)], names=["a", "b"])
 
         bound = _ROWS
         for one in batches:
             held.append(np.stack([one.column(c).to_numpy(zero_copy_only=False) for c in ("key", "node", *names)]))
+            if sketched:
+                sketches.append(one.column("sketch"))
             rows += one.num_rows
             if rows >= bound:
                 yield from settle(False)
@@ -216,6 +222,8 @@ ROWS_EACH = 5
 #: of 5; a pair over ``NEAR_BITS``, six deviations more, is not looked at.
 NEAR_LANES = 3
 NEAR_BITS = 60
+#: Least number of bits of a sketch; one of more than half as many shingles has twice as many bits, and so on.
+SKETCH_BITS = 2048
 _ODD = np.random.default_rng(SEED).integers(0, 1 << 63, size=BANDS * ROWS_EACH + NEAR_LANES + ROWS_EACH + BANDS, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
 
 
@@ -273,7 +281,7 @@ def near_prints(docs: DataFrame) -> DataFrame:
 
 
 def near_pairs(key: np.ndarray, node: np.ndarray, lanes: np.ndarray) -> Iterator[tuple[np.ndarray, np.ndarray]]:
-    """Pairs within runs of equal ``key`` (sorted) that differ in ``NEAR_BITS`` at most.
+    """Pairs within runs of equal ``key`` (sorted) that differ in ``NEAR_BITS`` at most, then the keys of long runs with null.
 
     All of a run of up to ``SHORT_RUN``; of a longer run first those of a spanning forest with the
     least differences.  What the forest leaves apart is looked at by ``apart_pairs``.
@@ -305,18 +313,76 @@ def near_pairs(key: np.ndarray, node: np.ndarray, lanes: np.ndarray) -> Iterator
             outside, far, nearest = outside[:-1], far[:-1], nearest[:-1]
     a, b = np.concatenate(left), np.concatenate(right)
     yield node[a], node[b]
+    long = key[starts[sizes > SHORT_RUN]]
+    yield long, pa.nulls(len(long), pa.int64())
 
 
-def apart_pairs(key: np.ndarray, node: np.ndarray, columns: np.ndarray) -> Iterator[tuple[np.ndarray, np.ndarray]]:
-    """All pairs of long runs of equal ``key`` (sorted) with different roots (the last column) and ``NEAR_BITS`` at most."""
-    lanes, root = columns[:, :-1], columns[:, -1]
+def set_sketch(found: np.ndarray) -> bytes:
+    """Parities of the numbers of a set's hashes in as many buckets as there are bits.
+
+    Two sets differ in at least as many hashes as their sketches in bits, so a sketch rules pairs out and
+    loses none.  Half the buckets are the longer sketch's two halves by exclusive or.
+    """
+    bits = SKETCH_BITS
+    while bits < 2 * len(found):
+        bits *= 2
+    odd = np.bincount((found & np.uint64(bits - 1)).astype(np.int64), minlength=bits) & 1
+    return np.packbits(odd.astype(np.uint8), bitorder="little").tobytes()
+
+
+def set_sketches(sets: DataFrame) -> DataFrame:
+    """node, size and sketch of ``sets`` (node, found)."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for one in batches:
+            found = [x.values.to_numpy().view(np.uint64) for x in one.column("found")]
+            yield pa.RecordBatch.from_arrays([one.column("node"), pa.array([len(x) for x in found], pa.int64()), pa.array([set_sketch(x) for x in found], pa.binary())], names=["node", "size", "sketch"])
+
+    return sets.select("node", "found").mapInArrow(run, "node long, size long, sketch binary")
+
+
+def sketch_tables(sketches: list[bytes]) -> dict[tuple[int, int], tuple[np.ndarray, np.ndarray]]:
+    """By words of the sketches and words that they are folded to: which rows, and their sketches."""
+    words = np.array([len(x) // 8 for x in sketches])
+    out = {}
+    lengths = sorted({*words.tolist()})
+    for n in lengths:
+        rows = np.flatnonzero(words == n)
+        table, short = np.stack([np.frombuffer(sketches[i], dtype="<u8") for i in rows]), n
+        while short >= lengths[0]:
+            out[n, short] = rows, table
+            short //= 2
+            table = table[:, :short] ^ table[:, short:]
+    return out
+
+
+def apart_pairs(key: np.ndarray, node: np.ndarray, columns: np.ndarray, sketch: pa.Array) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+    """Pairs of long runs of equal ``key`` (sorted) with different roots that may be similar enough.
+
+    ``columns``: lanes, sizes of the sets, roots.  A pair has ``NEAR_BITS`` at most, and sketches that allow
+    the similarity: sets of sizes n and m and similarity s differ in (1 - s) / (1 + s) * (n + m) hashes.
+    """
+    lanes, size, root = columns[:, :-2], columns[:, -2].astype(np.int64), columns[:, -1]
+    share = (1 - NEAR_SIMILARITY) / (1 + NEAR_SIMILARITY)
     starts = np.flatnonzero(np.r_[True, key[1:] != key[:-1]])
     left, right, held = [node[:0]], [node[:0]], 0
     for begin, end in zip(starts, [*starts[1:], len(key)], strict=True):
         if end - begin <= SHORT_RUN or (root[begin:end] == root[begin]).all():
             continue
+        tables = sketch_tables(sketch.slice(begin, end - begin).to_pylist())
+        own = {(n, short): dict(zip(rows.tolist(), table, strict=True)) for (n, short), (rows, table) in tables.items()}
+        lengths = sorted({n for n, _ in tables})
+        words = {i: n for n in lengths for i in tables[n, n][0].tolist()}
         for i in range(begin, end - 1):
-            other = np.flatnonzero(root[i + 1 : end] != root[i]) + i + 1
+            parts, n = [], words[i - begin]
+            for m in lengths:
+                short = min(n, m)
+                rows, table = tables[m, short]
+                some = (rows > i - begin) & (root[rows + begin] != root[i])
+                rows, table = rows[some] + begin, table[some]
+                bits = np.bitwise_count(table ^ own[n, short][i - begin]).sum(axis=1, dtype=np.int64)
+                parts.append(rows[bits <= share * (size[rows] + size[i]) + 1e-6])
+            other = np.concatenate(parts)
             other = other[np.bitwise_count(lanes[other] ^ lanes[i]).sum(axis=1, dtype=np.int64) <= NEAR_BITS]
             left.append(np.full(len(other), node[i]))
             right.append(node[other])
@@ -359,25 +425,32 @@ def similar(sets: DataFrame, pairs: DataFrame) -> DataFrame:
 def near_links(docs: DataFrame, classes: DataFrame) -> DataFrame:
     """Edges (a, b) that join the ``classes`` (node, same, lanes, bands) as all pairs of similar sets would.
 
-    Pairs of short runs and the forests of long ones are settled first.  Then all pairs of long runs
-    that are still in different groups are: few where a run is a group of near copies.  The groups found
-    by then are given as stars.  Of a node of such a pair the forest of the run has a link that differs no
-    more than the pair, so its set is at hand.
+    Pairs of short runs and of the forests of long runs are settled first.  Then
+    those pairs of long runs are that are still in different groups and whose sketches allow the similarity.
+    The groups found by then are given as stars.  Of a node of such a pair the forest of the run has a link
+    that differs no more than the pair, so its set is at hand.
     """
     names = [f"f{i}" for i in range(NEAR_LANES)]
     ordered = lambda found: found.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
     keyed = classes.select(F.explode("bands").alias("key"), "node", *names)
-    tried = materialise(ordered(met(keyed, near_pairs)), "near-pairs")
+    seen = materialise(met(keyed, near_pairs), "near-runs")
+    tried = materialise(ordered(seen.where("b IS NOT NULL")), "near-pairs")
     sets = sets_of(docs, classes, tried)
     found = similar(sets, tried)
-    long = materialise(keyed.groupBy("key").agg(F.count("*").alias("n")).where(F.col("n") > SHORT_RUN).select("key"), "near-runs")
+    long = seen.where("b IS NULL").select(F.col("a").alias("key"))
     if long.isEmpty():
         return found
     roots = components(found)
     stars = roots.select(F.col("node").alias("a"), F.col("root").alias("b"))
-    rooted = keyed.join(long, "key").join(roots, "node", "left").withColumn("root", F.coalesce("root", "node"))
-    rest = materialise(ordered(met(rooted.select("key", "node", *names, "root"), apart_pairs)).join(tried, ["a", "b"], "left_anti"), "near-pairs")
-    return stars if rest.isEmpty() else stars.union(similar(sets, rest))
+    inside = materialise(keyed.join(long, "key"), "near-runs")
+    sketches = set_sketches(sets.join(inside.select("node").distinct(), "node", "left_semi"))
+    rooted = inside.join(sketches, "node").join(roots, "node", "left").withColumn("root", F.coalesce("root", "node"))
+    rest = materialise(ordered(met(rooted.select("key", "node", *names, "size", "root", "sketch"), apart_pairs)).join(tried, ["a", "b"], "left_anti"), "near-pairs")
+    if rest.isEmpty():
+        return stars
+    # The sets that these pairs name are cut out before two joins would deal all of them.
+    named = sets.join(rest.select(F.explode(F.array("a", "b")).alias("node")).distinct(), "node", "left_semi")
+    return stars.union(similar(named, rest))
 
 
 def near_groups(docs: DataFrame) -> DataFrame:

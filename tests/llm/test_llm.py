@@ -7,6 +7,7 @@ import zlib
 from collections import Counter, defaultdict
 
 import numpy as np
+import pyarrow as pa
 import pytest
 from pyspark.sql import functions as F
 
@@ -517,6 +518,31 @@ def test_near_copies_of_a_long_run_are_joined(spark):
     assert sorted(r["doc_id"] for r in kept.collect()) == want
 
 
+def test_long_runs_give_few_pairs_and_lose_no_link():
+    rng = random.Random(13)
+    sets = []
+    for words in (300, 1500, 2600):
+        base = [f"w{words}-{i}" for i in range(words)]
+        for _ in range(70):
+            copy = list(base)
+            for at in rng.sample(range(words), rng.randint(words // 150, words // 25)):
+                copy[at] = f"x{rng.randrange(10**6)}"
+            sets.append(simhash.shingle_set(" ".join(copy)))
+    n = len(sets)
+    lanes = np.stack([simhash.near_print(x)[1] for x in sets]).astype(np.uint64)
+    columns = np.column_stack([lanes, np.array([len(x) for x in sets], dtype=np.uint64), np.arange(n, dtype=np.uint64)])
+    sketches = pa.array([simhash.set_sketch(x) for x in sets])
+    assert len({len(x) for x in sketches.to_pylist()}) > 1
+    found = simhash.apart_pairs(np.zeros(n, dtype=np.int64), np.arange(n), columns, sketches)
+    got = {(min(x, y), max(x, y)) for a, b in found for x, y in zip(a.tolist(), b.tolist(), strict=True)}
+    likeness = {(i, j): (lambda c: c / (len(sets[i]) + len(sets[j]) - c))(len(np.intersect1d(sets[i], sets[j]))) for i in range(n) for j in range(i + 1, n)}
+    want = {p for p, x in likeness.items() if x >= 0.8}
+    within = {p for p in likeness if np.bitwise_count(lanes[p[0]] ^ lanes[p[1]]).sum() <= simhash.NEAR_BITS}
+    assert want and want <= got and min(likeness[p] for p in got) > 0.6
+    # Fingerprints alone let through several times as many.
+    assert len(got) - len(want) < 0.25 * (len(within) - len(want))
+
+
 def test_fingerprints_hold_all_anchors(spark):
     rng = random.Random(6)
     passage = [f"p{i}" for i in range(50)]
