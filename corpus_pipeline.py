@@ -28,7 +28,7 @@ def stage_classifier(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataF
 
 
 def stage_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Of each group of near copies the document with the smallest id stays."""
+    """Of each group of near copies, met by deletion variants of fingerprints and by bands, the document with the smallest id stays."""
     return simhash.drop_near_copies(docs)
 
 

@@ -11,8 +11,9 @@ joins the same documents as all links would, while a run of many near copies giv
 pairs.  Groups are the connected components.
 
 Near copies for the pipeline are texts whose sets of five-word shingles have a Jaccard similarity of
-``NEAR_SIMILARITY`` or more.  No cut of a fingerprint into segments is sure to meet at that
-distance, so candidates meet under equal bands of minima.  The exact similarity of the two sets decides; in
+``NEAR_SIMILARITY`` or more.  They meet by the deletion variants of a 64-bit lane, within ``CLOSE_BITS``.
+No cut of a fingerprint into segments is sure to meet at the distance of that similarity, so the rest
+of the candidates meet under equal bands of minima.  The exact similarity of the two sets decides; in
 long runs, pairs that their fingerprints or a sketch of their sets rule out are not looked at.
 
 Defined cases: a null or empty text has fingerprint zero; repeated rows are copies of each other; a
@@ -222,6 +223,8 @@ ROWS_EACH = 5
 #: of 5; a pair over ``NEAR_BITS``, six deviations more, is not looked at.
 NEAR_LANES = 3
 NEAR_BITS = 60
+#: The first lane is a fingerprint whose deletion variants meet up to so many bits.
+CLOSE_BITS = 4
 #: Least number of bits of a sketch; one of more than half as many shingles has twice as many bits, and so on.
 SKETCH_BITS = 2048
 _ODD = np.random.default_rng(SEED).integers(0, 1 << 63, size=BANDS * ROWS_EACH + NEAR_LANES + ROWS_EACH + BANDS, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
@@ -425,7 +428,7 @@ def similar(sets: DataFrame, pairs: DataFrame) -> DataFrame:
 def near_links(docs: DataFrame, classes: DataFrame) -> DataFrame:
     """Edges (a, b) that join the ``classes`` (node, same, lanes, bands) as all pairs of similar sets would.
 
-    Pairs of short runs and of the forests of long runs are settled first.  Then
+    Pairs of close fingerprints, of short runs, and of the forests of long runs are settled first.  Then
     those pairs of long runs are that are still in different groups and whose sketches allow the similarity.
     The groups found by then are given as stars.  Of a node of such a pair the forest of the run has a link
     that differs no more than the pair, so its set is at hand.
@@ -433,7 +436,8 @@ def near_links(docs: DataFrame, classes: DataFrame) -> DataFrame:
     names = [f"f{i}" for i in range(NEAR_LANES)]
     ordered = lambda found: found.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
     keyed = classes.select(F.explode("bands").alias("key"), "node", *names)
-    seen = materialise(met(keyed, near_pairs), "near-runs")
+    close = links(classes.select("node", "f0"), 1, CLOSE_BITS)
+    seen = materialise(met(keyed, near_pairs).union(close), "near-runs")
     tried = materialise(ordered(seen.where("b IS NOT NULL")), "near-pairs")
     sets = sets_of(docs, classes, tried)
     found = similar(sets, tried)

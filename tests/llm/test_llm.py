@@ -543,6 +543,16 @@ def test_long_runs_give_few_pairs_and_lose_no_link():
     assert len(got) - len(want) < 0.25 * (len(within) - len(want))
 
 
+def test_near_copies_meet_by_deletion_variants(spark):
+    words = [f"w{i}" for i in range(2000)]
+    docs = spark.createDataFrame([(1, " ".join(words)), (2, " ".join([*words[:-1], "end"])), (3, " ".join(reversed(words)))], "doc_id long, text string")
+    rows = [(*r[:-1], [r["doc_id"] * 100 + i for i in range(simhash.BANDS)]) for r in simhash.near_prints(docs).collect()]
+    classes = spark.createDataFrame(rows, "doc_id long, same long, node long, f0 long, f1 long, f2 long, bands array<long>")
+    nodes = {r[0]: r[2] for r in rows}
+    # No band is shared, so the fingerprints alone bring the two together.
+    assert [{r["a"], r["b"]} for r in simhash.near_links(docs, classes).collect()] == [{nodes[1], nodes[2]}]
+
+
 def test_fingerprints_hold_all_anchors(spark):
     rng = random.Random(6)
     passage = [f"p{i}" for i in range(50)]
