@@ -58,7 +58,7 @@ def _short(h: Column) -> Column:
 
 def sketch(text: Column) -> Column:
     """All anchors of a text, by hash and position."""
-    return F.array_sort(anchors(text))
+    return F.sort_array(anchors(text))
 
 
 def firsts(found: Column) -> Column:
@@ -68,7 +68,7 @@ def firsts(found: Column) -> Column:
 
 def spell(found: Column) -> Column:
     """A sketch as text: 8 hexadecimal digits of the hash and the position, joined by points."""
-    return F.array_join(F.transform(found, lambda x: F.concat(F.lower(F.lpad(F.hex(x["hash"].cast("long").bitwiseAND(F.lit(0xFFFFFFFF))), 8, "0")), F.lit(":"), x["pos"].cast("string"))), ".")
+    return F.lower(F.array_join(F.transform(found, lambda x: F.concat(F.lpad(F.hex(x["hash"].cast("long").bitwiseAND(F.lit(0xFFFFFFFF))), 8, "0"), F.lit(":"), x["pos"].cast("string"))), "."))
 
 
 def hashes(found: Column) -> Column:
@@ -93,7 +93,7 @@ def match(a: Column, b: Column) -> Column:
     sided = lambda found, side: F.transform(found, lambda e: F.struct(e["hash"].alias("hash"), F.lit(side).alias("side"), e["pos"].alias("pos")))
     after = lambda o, i: F.get(o, i + 1)
     moves = let(
-        F.array_sort(F.concat(sided(a, 0), sided(b, 1))),
+        F.sort_array(F.concat(sided(a, 0), sided(b, 1))),
         lambda o: F.filter(F.transform(o, lambda x, i: F.when(after(o, i)["hash"] == x["hash"], after(o, i)["pos"] - x["pos"])), lambda d: d.isNotNull()),
     )
     none = F.lit(None).cast("int")
@@ -103,7 +103,7 @@ def match(a: Column, b: Column) -> Column:
         n = F.when(s["d"] == d, s["n"] + 1).otherwise(F.lit(1))
         return F.struct(d.alias("d"), n.alias("n"), F.least(s["best"], F.struct((-n).alias("n"), F.abs(d).alias("far"), d.alias("d"))).alias("best"))
 
-    return F.aggregate(F.array_sort(moves), start, step, lambda s: F.struct((-s["best"]["n"]).alias("n"), s["best"]["d"].alias("d")))
+    return F.aggregate(F.sort_array(moves), start, step, lambda s: F.struct((-s["best"]["n"]).alias("n"), s["best"]["d"].alias("d")))
 
 
 def shift(a: Column, b: Column) -> Column:
