@@ -8,6 +8,7 @@ from pyspark.sql import functions as F
 from outline_engine.operators import assembly, baselines, classes, depth
 from outline_engine.plans import fixtures, planner
 from outline_engine.schemas import HEADERS
+from outline_engine.sources.sinks import stored
 
 
 def rows(df, *cols):
@@ -57,6 +58,23 @@ def test_strategies_agree(spark, random_headers):
         assert rows(assembly.assemble(h, s), "doc_id", "pos", "parent_pos", "span_end") == want
 
 
+def test_flags_share_a_pass_and_need_no_large_plan(spark, random_headers):
+    shifted = random_headers.withColumn("doc_id", F.col("doc_id") * 2**55 - 2**60)
+    plans = []
+
+    def keep(df):
+        plans.append(df._jdf.queryExecution().optimizedPlan().toString().count("Join "))
+        return stored(df)
+
+    both = {"plain": random_headers, "shifted": shifted}
+    found = classes.flags_of(both, keep)
+    assert "Join " not in found._jdf.queryExecution().optimizedPlan().toString() and max(plans) <= 4
+    columns = classes.flags(random_headers).columns
+    want = rows(classes.flags(random_headers), *columns)
+    for name, h in both.items():
+        assert rows(found.where(F.col("corpus") == name), *columns) == (want if name == "plain" else [(r[0] * 2**55 - 2**60, *r[1:]) for r in want])
+
+
 def test_theorems_on_random_documents(spark, random_headers):
     h = random_headers
     f = classes.flags(h).collect()
