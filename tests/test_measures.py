@@ -11,6 +11,7 @@ from pyspark.sql import functions as F
 from outline_engine import workbench
 from outline_engine.functions.sql_functions import explained, register
 from outline_engine.operators import assembly, baselines, metrics, outline, qa
+from outline_engine.plans import fixtures
 from outline_engine.schemas import HEADERS
 from outline_engine.sources import corpora, sinks
 from outline_engine.streaming import online
@@ -212,7 +213,21 @@ def test_outline_files(spark, tmp_path):
     assert got == [("a.txt", 0, "1", "A", 0), ("a.txt", 1, "1.1", "B | b", 1)]
 
 
-SOME = ("w09_true_headers", "w09_bottomup", "w10_qa_strategies", "w11_retrieval", "m_virtual_root_lines", "r_excess_words_parity", "c_by_openers_composite4", "m_local_lines", "m_tree_local_composite4", "m_tree_global_memo", "c_flags_parity", "w02_composite_phrases", "w04_topdown_dense", "w12_tree_ablation", "t_grep", "t_outline_dialogue", "op_asof", "op_band")
+def test_recursion_reads_a_table(spark, small):
+    plan = workbench.QUERIES["op_recursive"](spark, small)._jdf.queryExecution().optimizedPlan().toString()
+    assert "l_linenumber" in plan
+
+
+def test_fixture_patterns_stand_in_the_ledgers(spark, small):
+    for name, right in (("filing", set()), ("local_only", {"local"}), ("global_only", {"global"})):
+        got = workbench.QUERIES[f"w16_fixture_{name}"](spark, small)
+        true = assembly.truth(corpora.CORPORA[fixtures.LEDGERS[name]](spark, small)).select("doc_id", "pos", F.col("parent_pos").alias("up"))
+        both = got.join(true, ["doc_id", "pos"], "full")
+        off = both.agg(*[F.count_if(~F.col(m).eqNullSafe(F.col("up"))).alias(m) for m in ("local", "global")]).first()
+        assert {m for m in ("local", "global") if off[m] == 0} == right
+
+
+SOME = ("w16_fixture_filing", "w16_fixture_local_only", "w16_fixture_global_only", "op_recursive", "w05_class_freq", "w06_local_vs_global", "w09_true_headers", "w09_bottomup", "w10_qa_strategies", "w11_retrieval", "m_virtual_root_lines", "r_excess_words_parity", "c_by_openers_composite4", "m_local_lines", "m_tree_local_composite4", "m_tree_global_memo", "c_flags_parity", "w02_composite_phrases", "w04_topdown_dense", "w12_tree_ablation", "t_grep", "t_outline_dialogue", "op_asof", "op_band")
 
 
 @pytest.mark.parametrize("name", SOME)
